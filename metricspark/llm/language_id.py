@@ -9,16 +9,19 @@ With no training text at all every row is `und`.
 """
 from __future__ import annotations
 
+import re
+import zlib
+
 import pyarrow as pa
 import zstandard
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import DataFrame, Window, functions as F
 
 from .common import fold, text_batches
 
 DICT_BYTES = 48_000  # per language
 SAMPLE_DOCS = 400  # per language; with DICT_BYTES the bound of what training collects
 BLOCK_CHARS = 4_000
-LEVEL = 3
+PARAMETERS = dict(strategy=zstandard.STRATEGY_BTOPT, min_match=3, search_log=4, chain_log=16, hash_log=16, window_log=18)  # short matches tell languages apart
 REJECT_MARGIN = 0.02
 MOST_LANGUAGES = 500
 
@@ -27,17 +30,17 @@ def fit_dictionaries(docs: DataFrame, folds: int = 4, out_fold: int = 2, sample_
     """Per language, slices of up to `sample_docs` hash-chosen documents outside fold `out_fold`, `dict_bytes` in all."""
     known = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & (fold(F.col("doc_id"), folds) != out_fold)).select(F.col("lang").cast("string").alias("lang"), F.xxhash64("doc_id").alias("h"), F.substring("text", 1, 4 * dict_bytes // sample_docs * 4).alias("part"))
     kept = known.withColumn("lane", F.pmod("h", F.lit(64)))
-    from pyspark.sql import Window
     for keys, n in ((["lang", "lane"], sample_docs), (["lang"], sample_docs)):
         kept = kept.withColumn("r", F.row_number().over(Window.partitionBy(*keys).orderBy("h", "part"))).where(F.col("r") <= n).drop("r")
     langs: dict[str, list[bytes]] = {}
     for row in kept.select("lang", "h", "part").orderBy("lang", "h", "part").toLocalIterator():
         if len(langs) >= MOST_LANGUAGES and row.lang not in langs:
             raise ValueError(f"more than {MOST_LANGUAGES} languages")
-        langs.setdefault(row.lang, []).append(row.part.encode("utf-8", "surrogatepass"))
-    return {k: b"\n".join(x[: max(200, dict_bytes // len(v))] for x in v)[:dict_bytes] for k, v in sorted(langs.items())}
+        langs.setdefault(row.lang, []).append(plain(row.part).encode("utf-8", "surrogatepass"))
+    return {k: b"".join(x[: max(200, dict_bytes // len(v))] for x in v)[:dict_bytes] for k, v in sorted(langs.items())}
 
 
+words_of = re.compile(r"[^\W\d_]+").findall
 _compressors: dict = {}
 
 
@@ -48,17 +51,22 @@ def _ready(dicts: dict[str, bytes]):
         made = []
         for name, data in dicts.items():
             d = zstandard.ZstdCompressionDict(data, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
-            d.precompute_compress(level=LEVEL)
-            made.append((name, zstandard.ZstdCompressor(level=LEVEL, dict_data=d, write_content_size=False, write_checksum=False, write_dict_id=False)))
+            p = zstandard.ZstdCompressionParameters(write_content_size=False, write_checksum=False, write_dict_id=False, **PARAMETERS)
+            d.precompute_compress(compression_params=p)
+            made.append((name, zstandard.ZstdCompressor(compression_params=p, dict_data=d)))
         _compressors[key] = made
     return _compressors[key]
 
 
+def plain(text: str) -> str:
+    """Lower-case words with single spaces: case, punctuation and layout say nothing of a language."""
+    return " " + " ".join(words_of(text.lower())) + " "
+
+
 def classify(text: str, compressors, block_chars: int = BLOCK_CHARS) -> tuple[str, float]:
     if not compressors or not any(map(str.isalpha, text)):
         return "und", 0.0
-    # Case says nothing of a language, and folding it lets shouted text use the dictionaries.
-    text = text.lower()
+    text = plain(text)
     blocks = [text[i : i + block_chars].encode("utf-8", "surrogatepass") for i in range(0, len(text), block_chars)]
     sizes = sorted((sum(len(c.compress(b)) for b in blocks), name) for name, c in compressors)
     best = sizes[0]
@@ -68,9 +76,7 @@ def classify(text: str, compressors, block_chars: int = BLOCK_CHARS) -> tuple[st
 
 def _predict(dicts: dict[str, bytes], folds: int, out_fold: int, reject_margin: float):
     def run(batches):
-        import zlib
-
-        compressors = _ready({k: v.decode("utf-8", "ignore").lower().encode() for k, v in dicts.items()})
+        compressors = _ready(dicts)
         for batch in batches:
             ids = batch.column(0).to_pylist()
             got = [classify(batch.column(1)[i].as_py(), compressors) for i in range(batch.num_rows)]

@@ -80,12 +80,12 @@ def flip_masks() -> tuple[list[int], list[int]]:
 def _half_codes(fp):
     """Codes of both 32-bit halves, tagged by a low bit: the half itself, and if its parity is odd its 1-bit neighbours."""
     flips = F.array(*[F.lit(1 << i).cast("long") for i in range(32)])
-    out = []
-    for tag in (0, 1):
-        half = F.shiftrightunsigned(fp, 32) if tag else fp.bitwiseAND(F.lit(0xFFFFFFFF).cast("long"))
-        codes = F.when(F.bit_count(half) % 2 == 1, F.concat(F.array(half), F.transform(flips, lambda m, h=half: h.bitwiseXOR(m)))).otherwise(F.array(half))
-        out.append(F.transform(codes, lambda c, t=tag: F.shiftleft(c, 1).bitwiseOR(F.lit(t).cast("long"))))
-    return F.concat(*out)
+
+    def codes(half, tag: int):
+        own = F.when(F.bit_count(half) % 2 == 1, F.concat(F.array(half), F.transform(flips, lambda m: half.bitwiseXOR(m)))).otherwise(F.array(half))
+        return F.transform(own, lambda c: F.shiftleft(c, 1).bitwiseOR(F.lit(tag).cast("long")))
+
+    return F.concat(codes(fp.bitwiseAND(F.lit(0xFFFFFFFF).cast("long")), 0), codes(F.shiftrightunsigned(fp, 32), 1))
 
 
 def close_links(fps: DataFrame) -> DataFrame:

@@ -1,6 +1,7 @@
 """Toxicity by multiple-instance learning.
 
-A document is a bag of sentences. A sentence's score is the logistic of a sum of weights of its distinct words; the
+A document is a bag of sentences. A sentence's score is the logistic of a sum of weights of its distinct words
+(as a whole and by their first letters); the
 document's score is the noisy-or of its sentences, 1 - prod(1 - p). Only document labels are known: the gradient of
 the document loss through the noisy-or teaches the sentence model, so the model also says which sentences offend.
 
@@ -19,10 +20,17 @@ from .common import text_batches
 
 PER_CLASS = {0: 3500, 1: 2500}  # most labelled documents of each class that training sees
 MAX_CHARS = 60_000
-VOCABULARY, LEAST_DOCS, ROUNDS, RATE, L2 = 30_000, 4, 200, 0.15, 2e-4
+VOCABULARY, LEAST_DOCS, ROUNDS, RATE, L2, RARE = 60_000, 4, 400, 0.1, 1e-5, 3000
 
 words_of = re.compile(r"[^\W\d_]+").findall
 sentence_of = re.compile(r"[^.!?\n]+").finditer
+PREFIXES = (4, 5, 6)
+KEEP_WORDS = 300_000  # words whose weight a worker remembers
+
+
+def features(word: str) -> list[str]:
+    """A word counts as itself and by its beginnings, so that inflected and compound forms of a stem share what is learnt."""
+    return [word + "$", *(word[:n] for n in PREFIXES if len(word) >= n)]
 
 
 def sentences(text: str) -> list[tuple[int, int, set[str]]]:
@@ -37,10 +45,24 @@ def sentences(text: str) -> list[tuple[int, int, set[str]]]:
 
 class SentenceModel:
     def __init__(self, weights: dict[str, float], bias: float):
-        self.weights, self.bias = weights, bias
+        self.weights, self.bias, self.known = weights, bias, {}
+
+    def __reduce__(self):
+        return SentenceModel, (self.weights, self.bias)
+
+    def word(self, word: str) -> float:
+        if len(self.known) > KEEP_WORDS:
+            self.known.clear()
+        got = self.known[word] = sum(self.weights.get(f, 0.0) for f in features(word))
+        return got
 
     def sentence(self, words: set[str]) -> float:
-        return self.bias + sum(map(self.weights.get, words & self.weights.keys()))
+        known = self.known
+        total = self.bias
+        for w in words:
+            x = known.get(w)
+            total += self.word(w) if x is None else x
+        return total
 
     def document(self, text: str) -> tuple[float, int, int, int]:
         """(noisy-or score, sentences at 0.5 or more, start and end of the worst or -1)."""
@@ -57,38 +79,50 @@ def fit_toxicity(sample: list[tuple[str, int]], rounds: int = ROUNDS, rate: floa
     bags = [[w for _, _, w in sentences(t)] for t, _ in sample]
     seen: dict[str, int] = {}
     for bag in bags:
-        for w in set().union(*bag):
-            seen[w] = seen.get(w, 0) + 1
-    vocab = {w: k for k, (w, _) in enumerate(sorted(((w, c) for w, c in seen.items() if c >= LEAST_DOCS), key=lambda x: (-x[1], x[0]))[:VOCABULARY])}
-    ids, in_sentence, doc_of = [], [], []
+        for f in {f for w in set().union(*bag) for f in features(w)}:
+            seen[f] = seen.get(f, 0) + 1
+    vocab = {f: k for k, (f, _) in enumerate(sorted(((f, c) for f, c in seen.items() if c >= LEAST_DOCS), key=lambda x: (-x[1], x[0]))[:VOCABULARY])}
+    # words x features and sentences x words, both as coordinate lists
+    word_id: dict[str, int] = {}
+    of_word, of_feature, in_sentence, word_at, doc_of = [], [], [], [], []
     for d, bag in enumerate(bags):
-        for w in bag:
-            known = [vocab[x] for x in w if x in vocab]
-            ids += known
-            in_sentence += [len(doc_of)] * len(known)
+        for words in bag:
+            for w in sorted(words):
+                k = word_id.get(w)
+                if k is None:
+                    known = [vocab[f] for f in features(w) if f in vocab]
+                    k = word_id[w] = len(word_id)
+                    of_word += [k] * len(known)
+                    of_feature += known
+                word_at.append(k)
+                in_sentence.append(len(doc_of))
             doc_of.append(d)
-    ids, in_sentence, doc_of = np.array(ids, np.int64), np.array(in_sentence, np.int64), np.array(doc_of, np.int64)
+    of_word, of_feature, in_sentence, word_at, doc_of = (np.array(x, np.int64) for x in (of_word, of_feature, in_sentence, word_at, doc_of))
     y = np.array([y for _, y in sample], float)
-    n_docs, n_sent = len(sample), len(doc_of)
+    n_docs, n_sent, n_words = len(sample), len(doc_of), len(word_id)
     w, bias = np.zeros(len(vocab)), -5.0
-    if not n_sent or not len(y) or y.min() == y.max():
+    if not n_sent or y.min() == y.max():
         return SentenceModel({}, bias)
     m, v, mb, vb = np.zeros_like(w), np.zeros_like(w), 0.0, 0.0
     per_doc = np.bincount(doc_of, minlength=n_docs) > 0
+    weight = np.where(y > 0, max(1.0, (y == 0).sum() / (2 * y.sum())), 1.0)  # rare positives count as a third of the sample
+    count = np.array([seen[f] for f in vocab], float)
+    penalty = L2 * (1 + RARE / count)  # rare features could learn the sample by heart
     for step in range(1, rounds + 1):
-        s = bias + np.bincount(in_sentence, w[ids], n_sent)
+        per_word = np.bincount(of_word, w[of_feature], n_words)
+        s = bias + np.bincount(in_sentence, per_word[word_at], n_sent)
         total = np.bincount(doc_of, np.logaddexp(0, s), n_docs)
         # loss: total if label 0, -log(1 - exp(-total)) if label 1
-        slope = np.where(y > 0, -1 / np.maximum(np.expm1(np.minimum(total, 50)), 1e-6), 1.0) * per_doc
+        slope = weight * np.where(y > 0, -1 / np.maximum(np.expm1(np.minimum(total, 50)), 1e-6), 1.0) * per_doc
         ds = slope[doc_of] / (1 + np.exp(-s))
-        g = np.bincount(ids, ds[in_sentence], len(w)) / n_docs + L2 * w
+        g = np.bincount(of_feature, np.bincount(word_at, ds[in_sentence], n_words)[of_word], len(w)) / n_docs + penalty * w
         gb = ds.sum() / n_docs
         m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
         mb, vb = 0.9 * mb + 0.1 * gb, 0.999 * vb + 0.001 * gb * gb
         c1, c2 = 1 - 0.9**step, 1 - 0.999**step
         w -= rate * (m / c1) / (np.sqrt(v / c2) + 1e-8)
         bias -= rate * (mb / c1) / (np.sqrt(vb / c2) + 1e-8)
-    return SentenceModel({x: float(w[k]) for x, k in vocab.items() if abs(w[k]) > 1e-3}, float(bias))
+    return SentenceModel({f: float(w[k]) for f, k in vocab.items() if abs(w[k]) > 1e-3}, float(bias))
 
 
 def _predict(model: SentenceModel, folds: int, out_fold: int):
