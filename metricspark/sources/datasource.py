@@ -62,4 +62,6 @@ class MetricIndexReader(DataSourceReader):
 
 
 def register(spark: SparkSession) -> None:
+    """Register the format; sources in Python get filters only where this runtime setting is on."""
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
     spark.dataSource.register(MetricIndexSource)
