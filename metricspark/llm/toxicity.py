@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import re
 import zlib
+from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -76,28 +77,28 @@ class SentenceModel:
 
 
 def fit_toxicity(sample: list[tuple[str, int]], rounds: int = ROUNDS, rate: float = RATE) -> SentenceModel:
-    bags = [[w for _, _, w in sentences(t)] for t, _ in sample]
-    seen: dict[str, int] = {}
-    for bag in bags:
-        for f in {f for w in set().union(*bag) for f in features(w)}:
-            seen[f] = seen.get(f, 0) + 1
-    vocab = {f: k for k, (f, _) in enumerate(sorted(((f, c) for f, c in seen.items() if c >= LEAST_DOCS), key=lambda x: (-x[1], x[0]))[:VOCABULARY])}
-    # words x features and sentences x words, both as coordinate lists
+    # words by number, sentence after sentence; the texts themselves are not kept as words
     word_id: dict[str, int] = {}
-    of_word, of_feature, in_sentence, word_at, doc_of = [], [], [], [], []
-    for d, bag in enumerate(bags):
-        for words in bag:
+    word_at, in_sentence, doc_of = array("i"), array("i"), array("i")
+    seen: dict[str, int] = {}
+    for d, (text, _) in enumerate(sample):
+        mine: set[str] = set()
+        for _, _, words in sentences(text):
             for w in sorted(words):
-                k = word_id.get(w)
-                if k is None:
-                    known = [vocab[f] for f in features(w) if f in vocab]
-                    k = word_id[w] = len(word_id)
-                    of_word += [k] * len(known)
-                    of_feature += known
-                word_at.append(k)
+                word_at.append(word_id.setdefault(w, len(word_id)))
                 in_sentence.append(len(doc_of))
             doc_of.append(d)
-    of_word, of_feature, in_sentence, word_at, doc_of = (np.array(x, np.int64) for x in (of_word, of_feature, in_sentence, word_at, doc_of))
+            mine |= words
+        for f in {f for w in mine for f in features(w)}:
+            seen[f] = seen.get(f, 0) + 1
+    seen = {f: c for f, c in seen.items() if c >= LEAST_DOCS}
+    vocab = {f: k for k, (f, _) in enumerate(sorted(seen.items(), key=lambda x: (-x[1], x[0]))[:VOCABULARY])}
+    of_word, of_feature = array("i"), array("i")
+    for w, k in word_id.items():
+        known = [vocab[f] for f in features(w) if f in vocab]
+        of_word.extend([k] * len(known))
+        of_feature.extend(known)
+    of_word, of_feature, in_sentence, word_at, doc_of = (np.frombuffer(x, np.int32) for x in (of_word, of_feature, in_sentence, word_at, doc_of))
     y = np.array([y for _, y in sample], float)
     n_docs, n_sent, n_words = len(sample), len(doc_of), len(word_id)
     w, bias = np.zeros(len(vocab)), -5.0
