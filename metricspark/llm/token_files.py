@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, Window, functions as F
 from .common import written
 
 BLOCK_IDS = 1 << 20
-FLUSH_CHARS = 1 << 20
+FLUSH_CHARS = 1 << 19
 BLOCKS = "shard int, block long, bits int, n_ids long, payload binary, doc_ids array<long>, lengths array<long>"
 ARROW_BLOCKS = pa.schema([("shard", pa.int32()), ("block", pa.int64()), ("bits", pa.int32()), ("n_ids", pa.int64()), ("payload", pa.binary()), ("doc_ids", pa.list_(pa.int64())), ("lengths", pa.list_(pa.int64()))])
 _encoders: dict = {}
@@ -55,14 +55,65 @@ def unpack(payload: bytes, bits: int, n: int, start: int = 0) -> np.ndarray:
     return (planes.astype(np.uint32) << np.arange(bits, dtype=np.uint32)).sum(axis=1, dtype=np.uint32)
 
 
+class Pieces:
+    """A store of pieces' ids that numpy searches for many pieces at once: open addressing on a 64-bit hash of the bytes.
+
+    A hit must agree in hash, length and first eight bytes; anything else counts as unknown and is encoded.
+    """
+
+    SLOTS = 21
+
+    def __init__(self, most: int):
+        self.most, self.n = most, 0
+        self.keys = np.zeros(1 << self.SLOTS, np.uint64)
+        self.entry = np.zeros(1 << self.SLOTS, np.int32)
+        self.heads, self.sizes = np.zeros(most + 1, np.uint64), np.zeros(most + 1, np.int32)
+        self.at, self.count = np.zeros(most + 1, np.int64), np.zeros(most + 1, np.int64)
+        self.pool, self.used = np.zeros(1 << 20, "<u4"), 0
+
+    def find(self, h: np.ndarray, head: np.ndarray, size: np.ndarray) -> np.ndarray:
+        """Entry of each piece, 0 if unknown."""
+        out = np.zeros(len(h), np.int32)
+        mask = np.int64((1 << self.SLOTS) - 1)
+        slot = (h >> np.uint64(64 - self.SLOTS)).astype(np.int64)
+        todo = np.arange(len(h))
+        while len(todo):
+            k = self.keys[slot]
+            same = k == h[todo]
+            out[todo[same]] = self.entry[slot[same]]
+            on = ~same & (k != 0)
+            todo, slot = todo[on], slot[on] + 1 & mask
+        wrong = (self.heads[out] != head) | (self.sizes[out] != size)
+        out[wrong] = 0
+        return out
+
+    def add(self, h: int, head: int, size: int, ids: np.ndarray) -> None:
+        if self.n >= self.most:
+            return
+        slot = h >> (64 - self.SLOTS)
+        while self.keys[slot] and self.keys[slot] != h:
+            slot = slot + 1 & (1 << self.SLOTS) - 1
+        if self.keys[slot]:
+            return
+        self.n += 1
+        if self.used + len(ids) > len(self.pool):
+            self.pool = np.concatenate([self.pool, np.zeros(len(self.pool) + len(ids), "<u4")])
+        self.pool[self.used : self.used + len(ids)] = ids
+        self.keys[slot], self.entry[slot] = h, self.n
+        self.heads[self.n], self.sizes[self.n], self.at[self.n], self.count[self.n] = head, size, self.used, len(ids)
+        self.used += len(ids)
+
+
 class Encoder:
-    """Encodes texts with a `tokenizers` file, keeping the ids of pieces it has met.
+    """Encodes texts with a `tokenizers` file, which meets each piece once while there is room, and once a batch beyond that.
 
     Byte-level BPE never merges across the pieces of its splitting pattern, so the ids of a text are those of its
-    pieces joined. Pieces repeat heavily; the library encodes each only once while the store holds it.
+    pieces joined. Texts of letters (Latin, Cyrillic), digits and ASCII signs with single white space between are cut
+    by numpy, many texts at once: there a piece begins where the kind of character changes, and a space goes with what
+    follows it. All other texts are cut by the pattern itself.
     """
 
-    KEEP = 500_000
+    KEEP, KEEP_ODD, JOINED = 1_000_000, 60_000, 300
 
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -72,24 +123,133 @@ class Encoder:
         self.tok = Tokenizer.from_file(path)
         self.tok.encode_special_tokens = True
         self.vocab_size = self.tok.get_vocab_size()
-        # fixed values: the splitting pattern of byte-level BPE, whole and narrowed to ASCII texts
+        # fixed value: the splitting pattern of byte-level BPE
         self.split = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+").findall
-        import re
-        self.split_ascii = re.compile(r"'(?:[sdmt]|ll|ve|re)| ?[A-Za-z]+| ?[0-9]+| ?[^\sA-Za-z0-9]+|\s+(?!\S)|\s+").findall
-        self.known: dict[str, bytes] = {}
+        self.odd: dict[str, bytes] = {}
+        self.store = Pieces(self.KEEP)
+        rng = np.random.default_rng(20)
+        self.salt = rng.integers(1, 1 << 63, 256, dtype=np.uint64) | np.uint64(1)
+        self.base = 0x9E3779B97F4A7C15
+        self.inverse = pow(self.base, -1, 1 << 64)
+        self.powers = self.inverses = np.ones(1, np.uint64)
+
+    # kinds of bytes: 0 letter, 1 digit, 2 sign, 3 space, 4 other white space, 5 left to the pattern
+    KIND = np.full(256, 2, np.uint8)
+    KIND[:32], KIND[127], KIND[39] = 5, 5, 5
+    KIND[[9, 10, 11, 12, 13]], KIND[32], KIND[48:58], KIND[65:91], KIND[97:123] = 4, 3, 1, 0, 0
+    KIND[128:192] = 0
+    KIND[192:] = 5
+    KIND[[0xC3, 0xC4, 0xC5, 0xC6, 0xC7, 0xC8, 0xD0, 0xD1]] = 0
+
+    def _encode(self, new: list[str]) -> dict[str, bytes]:
+        """Ids of each piece. A piece that begins with a space and ends in none stands alone in any text, so many of them are
+        encoded as one and told apart by the numbers of their words."""
+        alone, out, spaced = [], {}, []
+        for p in new:
+            (spaced if len(p) > 1 and p[0] == " " and not p[-1].isspace() else alone).append(p)
+        for at in range(0, len(spaced), self.JOINED):
+            part = spaced[at : at + self.JOINED]
+            e = self.tok.encode("".join(part), add_special_tokens=False)
+            cuts = np.flatnonzero(np.diff(np.array(e.word_ids, np.int64), prepend=-1, append=-1)) * 4
+            if len(cuts) != len(part) + 1:
+                alone += part
+                continue
+            ids, cuts = array("I", e.ids).tobytes(), cuts.tolist()
+            out.update((p, ids[a:b]) for p, a, b in zip(part, cuts, cuts[1:]))
+        for at in range(0, len(alone), 10_000):
+            part = alone[at : at + 10_000]
+            out.update((p, array("I", e.ids).tobytes()) for p, e in zip(part, self.tok.encode_batch_fast(part, add_special_tokens=False)))
+        return out
+
+    def _by_pattern(self, texts: list[str]) -> list[bytes]:
+        pieces = [self.split(t) for t in texts]
+        new = list(set().union(*pieces) - self.odd.keys())
+        made = self._encode(new)
+        if len(self.odd) < self.KEEP_ODD:
+            self.odd |= made
+        return [b"".join([self.odd.get(p) or made[p] for p in ps]) for ps in pieces]
+
+    def _hashes(self, flat: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+        """A polynomial hash of each flat[start:end] modulo 2 ** 64, never 0."""
+        if len(self.powers) < len(flat):
+            n = len(flat) + (1 << 16)
+            self.powers = np.multiply.accumulate(np.concatenate([np.ones(1, np.uint64), np.full(n, self.base, np.uint64)]))
+            self.inverses = np.multiply.accumulate(np.concatenate([np.ones(1, np.uint64), np.full(n, self.inverse, np.uint64)]))
+        sums = np.zeros(len(flat) + 1, np.uint64)
+        np.cumsum(self.salt[flat] * self.powers[: len(flat)], out=sums[1:])
+        h = (sums[ends] - sums[starts]) * self.inverses[starts]
+        h ^= h >> np.uint64(29)
+        h *= np.uint64(0xBF58476D1CE4E5B9)
+        return h | np.uint64(1)
 
     def raw_ids(self, texts: list[str]) -> list[bytes]:
         """Ids of each text as little-endian unsigned 32-bit integers."""
-        pieces = [self.split_ascii(t) if t.isascii() else self.split(t) for t in texts]
-        if len(self.known) > self.KEEP:
-            self.known.clear()
-        new = list(set().union(*pieces) - self.known.keys())
-        for at in range(0, len(new), 20_000):
-            part = new[at : at + 20_000]
-            for piece, e in zip(part, self.tok.encode_batch_fast(part, add_special_tokens=False)):
-                self.known[piece] = array("I", e.ids).tobytes()
-        get = self.known.__getitem__
-        return [b"".join(map(get, p)) for p in pieces]
+        raw = [t.encode("utf-8", "surrogatepass") for t in texts]
+        cuts = np.concatenate([[0], np.cumsum([len(r) for r in raw])]).astype(np.int64)
+        flat = np.frombuffer(b"".join(raw), np.uint8)
+        out: list = [b""] * len(texts)
+        if not len(flat):
+            return out
+        kind = self.KIND[flat]
+        before = np.concatenate([[9], kind[:-1]]).astype(np.uint8)
+        heads = cuts[:-1][np.diff(cuts) > 0]
+        before[heads] = 9
+        left = (kind == 5) | ((kind >= 3) & (before >= 3) & (before < 5))
+        sign = np.flatnonzero((flat == 0x97) | (flat == 0xB7))  # the signs of multiplication and division are no letters
+        left[sign[(flat[sign - 1] == 0xC3)]] = True
+        bad = np.unique(np.searchsorted(cuts, np.flatnonzero(left), "right") - 1)
+        for k, ids in zip(bad.tolist(), self._by_pattern([texts[k] for k in bad])):
+            out[k] = ids
+        begin = (kind != before) & ~((before == 3) & (kind <= 2))
+        starts = np.flatnonzero(begin)
+        ends = np.append(starts[1:], len(flat))
+        text_of = np.searchsorted(cuts, starts, "right") - 1
+        if len(bad):
+            skip = np.zeros(len(texts), bool)
+            skip[bad] = True
+            keep = ~skip[text_of]
+            starts, ends, text_of = starts[keep], ends[keep], text_of[keep]
+        size = (ends - starts).astype(np.int32)
+        h = self._hashes(flat, starts, ends)
+        padded = np.concatenate([flat, np.zeros(8, np.uint8)])
+        head = np.lib.stride_tricks.sliding_window_view(padded, 8)[starts].view("<u8").reshape(-1) if len(starts) else np.empty(0, np.uint64)
+        head = head & EDGE[np.minimum(size, 8)]
+        entry = self.store.find(h, head, size)
+        at, count = self.store.at[entry], self.store.count[entry]
+        pool = self.store.pool
+        new = np.flatnonzero(entry == 0)
+        if len(new):
+            # a group of equal hash, head and size is one piece, or else is encoded one by one
+            order = new[np.lexsort((size[new], head[new], h[new]))]
+            first = np.ones(len(order), bool)
+            first[1:] = (h[order][1:] != h[order][:-1]) | (head[order][1:] != head[order][:-1]) | (size[order][1:] != size[order][:-1])
+            group = np.cumsum(first) - 1
+            lead = order[first]
+            words = [flat[a:b].tobytes().decode("utf-8", "surrogatepass") for a, b in zip(starts[lead].tolist(), ends[lead].tolist())]
+            made = self._encode(list(set(words)))
+            ids = [np.frombuffer(made[w], "<u4") for w in words]
+            lens = np.array([len(i) for i in ids], np.int64)
+            pool_end = self.store.used
+            pool = np.concatenate([pool[:pool_end], *ids])
+            offs = pool_end + np.cumsum(lens) - lens
+            at[order], count[order] = offs[group], lens[group]
+            if self.store.n < self.store.most:
+                for k, i in zip(lead.tolist(), ids):
+                    self.store.add(int(h[k]), int(head[k]), int(size[k]), i)
+        total = np.cumsum(count)
+        if len(total) and total[-1]:
+            ids = pool[np.repeat(at - (total - count), count) + np.arange(total[-1])]
+            edges = np.searchsorted(text_of, np.arange(len(texts) + 1), "left")
+            byte = np.concatenate([[0], total])[edges] * 4
+            whole = ids.tobytes()
+            done = set(bad.tolist())
+            for k in range(len(texts)):
+                if k not in done:
+                    out[k] = whole[byte[k] : byte[k + 1]]
+        return out
+
+
+EDGE = np.array([(1 << (8 * n)) - 1 for n in range(9)], np.uint64)
 
 
 def encoder(path: str) -> Encoder:
