@@ -21,11 +21,13 @@ def main() -> None:
     spark.sparkContext.setLogLevel("ERROR")
     from metricspark import queries as Q
     from metricspark.operators import baselines, search
+    from metricspark.shipping import ship
     from metricspark.operators.index import build_index
     from metricspark.operators.sampling import hash_sample
     from metricspark.sources.tables import SETS, written
     from pyspark.sql import functions as F
 
+    ship(spark)
     took: dict[str, float] = {}
 
     def run(name, make):
