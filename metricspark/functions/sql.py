@@ -1,7 +1,7 @@
 """SQL surface: distance functions, and table functions that give the candidate partitions of a query."""
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, functions as F
+from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
 from ..operators.index import MetricIndex
 
@@ -27,7 +27,6 @@ def register_index(spark: SparkSession, idx: MetricIndex, name: str) -> None:
     """
     tree, metric = idx.tree, idx.metric
     place = {r.pid for r in idx.placement.select("pid").collect()}
-    kind = "string" if metric.kind == "string" else "array<double>"
 
     def near(q):
         import numpy as np
@@ -54,7 +53,6 @@ def register_index(spark: SparkSession, idx: MetricIndex, name: str) -> None:
                 if d <= bound * (1 + 1e-9) + 1e-12 + n.radius:
                     yield n.pid, bound
 
-    del kind
     spark.udtf.register(f"{name}_range", F.udtf(Range, returnType="pid bigint, bound double"))
     spark.udtf.register(f"{name}_knn", F.udtf(Knn, returnType="pid bigint, bound double"))
     idx.objects.createOrReplaceTempView(f"{name}_objects")
@@ -79,3 +77,36 @@ def medoids(objects: DataFrame, metric, groups: str = "lnode_id") -> DataFrame:
         return pd.DataFrame({"group": [key[0]], "oid": [int(pdf["oid"].iloc[best])]})
 
     return objects.select(F.col(groups).cast("long").alias("g_"), "oid", "obj").groupBy("g_").applyInPandas(run, "group long, oid long")
+
+
+def distance_udf(metric, one):
+    """A vectorised function: distances of a column's objects to `one`, a batch at a time in NumPy."""
+    import numpy as np
+    import pandas as pd
+
+    q = one if isinstance(one, str) else np.asarray(one, float)
+
+    def distance(objs):
+        return pd.Series(metric.kernel(metric.batch([o if isinstance(o, str) else list(o) for o in objs]), q) if len(objs) else [], dtype=float)
+
+    distance.__annotations__ = {"objs": pd.Series, "return": pd.Series}  # the kind of function is read off these
+    return F.pandas_udf(distance, "double")
+
+
+def distance_histogram(objects: DataFrame, metric, n: int = 200, steps: int = 20, dim: int | None = None) -> DataFrame:
+    """[share, distance]: quantiles of sampled distances from a mergeable sketch."""
+    from ..operators.sampling import pair_distances
+
+    shares = [k / steps for k in range(steps + 1)]
+    sketch = pair_distances(objects, metric, n, 11, dim).agg(F.kll_sketch_agg_double("d").alias("s"))
+    return sketch.select(F.explode(F.array(*[F.struct(F.lit(x).alias("share"), F.kll_sketch_get_quantile_double("s", F.lit(x)).alias("distance")) for x in shares])).alias("q")).select("q.*")
+
+
+def top_k_aggregate(objects: DataFrame, metric, queries: DataFrame, k: int, dim: int | None = None, lanes: int = 64) -> DataFrame:
+    """[qid, rank, oid, dist]: per query and lane the k best, then the k best of the lanes; each state is bounded by k rows."""
+    from ..operators.search import rank_answers
+
+    near = objects.select("oid", "obj").crossJoin(F.broadcast(queries.select("qid", "q")))
+    near = near.select("qid", "oid", metric.column(F.col("q"), F.col("obj"), dim).alias("dist"), F.pmod("oid", F.lit(lanes)).alias("lane"))
+    first = Window.partitionBy("qid", "lane").orderBy(F.round("dist", 9), "oid")
+    return rank_answers(near.withColumn("r_", F.row_number().over(first)).where(F.col("r_") <= k).withColumn("k", F.lit(k)))

@@ -35,14 +35,14 @@ class MetricIndex:
         return replace(self, objects=objects)
 
 
-def build_index(objects: DataFrame, metric: Metric, dim: int | None = None, n_p: int = 200, n_w: int = 10, fanout: int = 20, seed: int = 42, placement: str = "packed", balance: str = "objects", leaf_capacity: int | None = None, local: str = "tree", path: str | None = None) -> MetricIndex:
+def build_index(objects: DataFrame, metric: Metric, dim: int | None = None, n_p: int = 200, n_w: int = 10, fanout: int = 20, seed: int = 42, placement: str = "packed", balance: str = "objects", leaf_capacity: int | None = None, local: str = "tree", path: str | None = None, max_nodes: int = global_index.MAX_NODES) -> MetricIndex:
     """Build and write the index of [oid, obj]. Objects are moved once, by bucket; everything else is of the order of N_p rows.
 
     Objects that are null, not finite or of another length are left out; `sources.tables.rejected` counts them.
     """
     spark = objects.sparkSession
     clean = accepted(objects, metric, dim)
-    tree, assigned, n = global_index.bulk_load(clean, metric, n_p, fanout, seed)
+    tree, assigned, n = global_index.bulk_load(clean, metric, n_p, fanout, seed, max_nodes=max_nodes)
     nodes = global_index.nodes_frame(spark, tree)
     leaves = nodes.where("is_leaf")
     cap = leaf_capacity or intermediate.default_leaf_capacity(max(1, sum(x.n_objects > 0 for x in tree.leaves())), n_w, fanout)

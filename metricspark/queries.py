@@ -120,7 +120,7 @@ def axiom_violations(spark, d):
     return metrics.check_axioms(objects(spark, d, "event_points"), metrics.l2(), 40, 7, 2)
 
 
-@query()
+@query(name="distance_stats")
 def distance_statistics(spark, d):
     out = None
     for name in ("event_points", "order_points", "line_vectors", "letters_l1", "embed_l2"):
@@ -226,6 +226,9 @@ def knn_via_range(spark, d):
     return nearest(search.knn_via_range(the_index(spark, d, "event_points"), asked(spark, d, "event_points"), 8))
 
 
+query(sql_knn("embed_l2"), "knn_embed")(_knn("embed_l2"))
+
+
 @query(f"with o as ({SQL_SETS['embed']}), j as (select q.oid as qid, o.oid, {_d('embed_l2')} as d from o cross join o q), r as (select *, row_number() over (partition by qid order by round(d, 9), oid) as rank from j) select qid, rank::integer as rank, oid, round(d, 6) as dist from r where rank <= 2")
 def knn_join(spark, d):
     return nearest(search.knn_join(objects(spark, d, "embed_l2"), the_index(spark, d, "embed_l2"), 2))
@@ -520,6 +523,25 @@ def sql_knn_function(spark, d):
     return nearest(search.rank_answers(found))
 
 
+@query(f"{_base('embed_l2')}, one as (select obj from o where oid = 0) select o.oid, round(list_distance(o.obj, one.obj), 6) as dist from o cross join one")
+def udf_distances(spark, d):
+    """Distances to one object by a vectorised function over Arrow batches, for wide vectors."""
+    o = objects(spark, d, "embed_l2")
+    one = o.where("oid = 0").first().obj
+    return o.select("oid", F.round(sql_surface.distance_udf(metrics.l2(), list(one))("obj"), 6).alias("dist"))
+
+
+@query()
+def distance_histogram(spark, d):
+    return sql_surface.distance_histogram(objects(spark, d, EP), metrics.l2(), dim=2)
+
+
+@query(f"{_base(EP)}, j as (select q.oid as qid, o.oid, {_d(EP)} as d from o cross join q), r as (select *, row_number() over (partition by qid order by round(d, 9), oid) as rank from j) select qid, rank::integer as rank, oid, round(d, 6) as dist from r where rank <= 4")
+def agg_bounded_top_k(spark, d):
+    """The k nearest as an aggregate: bounded arrays a task, merged."""
+    return nearest(sql_surface.top_k_aggregate(objects(spark, d, EP), metrics.l2(), asked(spark, d, EP), 4, 2))
+
+
 @query()
 def local_medoids(spark, d):
     return sql_surface.medoids(the_index(spark, d, EP).objects, metrics.l2())
