@@ -25,7 +25,7 @@ Q = 8
 RATE = 0.08
 BLOCK = 64
 CHUNK_CHARS = 4_000_000  # of passages held by a task at once; more passages take more passes
-SEGMENT_CHARS = 2 << 20
+SEGMENT_CHARS = 1 << 20
 BITS = 22
 
 FOLD = np.arange(128, dtype=np.uint8)

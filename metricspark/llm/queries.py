@@ -99,4 +99,28 @@ ORACLES = {
         )
         select query_id, rank, vec_id, score from r where rank <= 5
     """,
+    "op4_mixing": """
+        with recursive counted as (
+            select source, count(*) as n from documents group by source
+        ), weighted as (
+            select source, greatest(1, floor(100 * sqrt(n / (select max(n) from counted)) + 0.5))::bigint as u, row_number() over (order by source nulls first) as s from counted
+        ), whole as (
+            select sum(u)::bigint as w, list(u order by s) as us from weighted
+        ), plan as (
+            select 0::bigint as t, list_transform(us, lambda x: 0::bigint) as given, 0::bigint as s, 0::bigint as i from whole
+            union all
+            select t + 1, list_transform(range(1, len(given) + 1), lambda k: case when k = pick then given[k] + 1 else given[k] end), pick, given[pick]
+            from (
+                select t, given, list_min(list_transform(range(1, len(given) + 1), lambda k:
+                    case when given[k] < us[k] and given[k] * w // us[k] <= t then {'due': ((given[k] + 1) * w + us[k] - 1) // us[k], 'k': k} else {'due': 9223372036854775807, 'k': k} end)).k as pick
+                from plan, whole where t < w
+            )
+        ), ranked as (
+            select doc_id, source, row_number() over (partition by source order by md5('mix:' || coalesce(doc_id::varchar, '')), doc_id) - 1 as r from documents
+        ), blocks as (
+            select doc_id, ranked.source, r // 64 as block, r % 64 as place, u, s from ranked join weighted on ranked.source is not distinct from weighted.source
+        )
+        select doc_id, source, block, (block // u) * w + plan.t - 1 as slot, block * w // u as release, ((block + 1) * w + u - 1) // u as deadline, place
+        from blocks join whole on true join plan on plan.s = blocks.s and plan.i = block % u and plan.t > 0
+    """,
 }

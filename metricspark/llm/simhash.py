@@ -125,17 +125,17 @@ def simhash_components(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
 # ---- groups of similar texts: the same ball hashing on a longer sketch, for a similarity of word shingles ----
 
 TABLES, TABLE_BITS = 6, 40
-SIG = 256
+SIG = 512  # a power of two
 SIMILARITY, WORDS = 0.8, 5
 SKETCH_SCHEMA = "doc_id long, key string, " + ", ".join(f"t{k} long" for k in range(TABLES)) + ", sig binary"
 
 
 def sketch(text: str, words_n: int = WORDS) -> tuple[str, list[int], bytes]:
-    """(digest of the words, six 40-bit SimHash codes over word pairs, 256 one-byte minima over word shingles)."""
+    """(digest of the words, six 40-bit SimHash codes over the distinct words, one-byte minima of SIG bins of the word shingles)."""
     words = text.encode("utf-8", "surrogatepass").lower().split()
     key = xxhash.xxh3_128_hexdigest(b" ".join(words))
     ones, n = np.zeros(256, np.int64), 0
-    it = _shingles(words, 2)
+    it = iter(set(words))
     while part := list(islice(it, PIECE)):
         raw = b"".join([xxhash.xxh3_128_digest(s, 1) + xxhash.xxh3_128_digest(s, 2) for s in part])
         ones += np.unpackbits(np.frombuffer(raw, np.uint8)).reshape(-1, 256).sum(axis=0, dtype=np.int32)
@@ -144,12 +144,13 @@ def sketch(text: str, words_n: int = WORDS) -> tuple[str, list[int], bytes]:
     codes = [int.from_bytes(bits[5 * k : 5 * k + 5], "big") for k in range(TABLES)]
     least = np.full(SIG, np.iinfo(np.uint64).max, np.uint64)
     it = _shingles(words, words_n)
-    edges = np.arange(SIG, dtype=np.uint64) << np.uint64(56)
+    cut = np.uint64(64 - SIG.bit_length() + 1)  # the high bits of a hash name its bin
+    bins = np.arange(SIG, dtype=np.uint64)
     while part := [xxhash.xxh64_digest(s, 7) for s in islice(it, PIECE)]:
         h = np.sort(np.frombuffer(b"".join(part), ">u8").astype(np.uint64))
-        at = np.searchsorted(h, edges)
+        at = np.searchsorted(h, bins << cut)
         got = h[np.minimum(at, len(h) - 1)]
-        mine = (at < len(h)) & (got >> np.uint64(56) == np.arange(SIG, dtype=np.uint64))
+        mine = (at < len(h)) & (got >> cut == bins)
         least = np.where(mine, np.minimum(least, got), least)
     empty = least == np.iinfo(np.uint64).max
     sig = np.where(empty, 0, 1 + (least >> np.uint64(8)) % np.uint64(255)).astype(np.uint8).tobytes()
@@ -183,9 +184,10 @@ def _similar(least: float):
 def similar_groups(docs: DataFrame, similarity: float = SIMILARITY, words_n: int = WORDS) -> DataFrame:
     """(doc_id, component_id) of every row: components over pairs whose `words_n`-word shingles have the similarity.
 
-    Candidates: each of six 40-bit SimHash codes over word pairs, within 2 bits, by balls of radius 1 on both sides.
-    At 0.8 about one bit in thirteen differs, so a pair meets in some table with probability over 0.95, and groups
-    connect over several pairs. Pairs are verified on 256 minima of the shingles. Texts of equal words are one.
+    Candidates: each of six 40-bit SimHash codes over the distinct words, within 2 bits, by balls of radius 1 on both sides.
+    Texts at 0.8 share nearly all words: about one bit in sixteen differs, a pair meets in some table with probability
+    over 0.97, and groups connect over several pairs. Texts with little in common differ in a third of the bits or more. Pairs are verified on the minima of SIG bins of
+    their shingles, which is close to exact for texts with fewer shingles than bins. Texts of equal words are one.
     """
     made = written(text_batches(docs, _sketches(words_n), SKETCH_SCHEMA), "sketches")
     one = made.groupBy("key").agg(F.min("doc_id").alias("rep"), *[F.first(f"t{k}").alias(f"t{k}") for k in range(TABLES)], F.first("sig").alias("sig")).where("rep is not null")

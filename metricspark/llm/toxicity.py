@@ -26,7 +26,7 @@ VOCABULARY, LEAST_DOCS, ROUNDS, RATE, L2, RARE = 60_000, 4, 400, 0.1, 1e-5, 3000
 words_of = re.compile(r"[^\W\d_]+").findall
 sentence_of = re.compile(r"[^.!?\n]+").finditer
 PREFIXES = (4, 5, 6)
-KEEP_WORDS = 300_000  # words whose weight a worker remembers
+KEEP_WORDS = 150_000  # words whose weight a worker remembers
 
 
 def features(word: str) -> list[str]:
