@@ -3,7 +3,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
-from .sources.tables import event_points, new_path, table
+from .sources.tables import event_points, micros, new_path, table
 
 QUERIES: dict = {}
 ORACLES: dict = {}
@@ -340,7 +340,7 @@ def fn_string(spark, d):
 @query("select o_orderkey, date_diff('day', date '1995-01-01', o_orderdate::date)::integer as days, year(o_orderdate)::integer as y, month(o_orderdate)::integer as m, epoch_us(o_orderdate) as us from orders")
 def fn_date(spark, d):
     o, day = table(spark, d, "orders"), F.col("o_orderdate").cast("date")
-    return o.select("o_orderkey", F.datediff(day, F.lit("1995-01-01").cast("date")).alias("days"), F.year(day).alias("y"), F.month(day).alias("m"), F.unix_micros(F.col("o_orderdate").cast("timestamp")).alias("us"))
+    return o.select("o_orderkey", F.datediff(day, F.lit("1995-01-01").cast("date")).alias("days"), F.year(day).alias("y"), F.month(day).alias("m"), micros(F.col("o_orderdate")).alias("us"))
 
 
 @query("select l_orderkey, l_linenumber, l_partkey, round(sqrt(l_quantity), 9) as s, abs(l_tax - 0.04) as a, floor(l_extendedprice / 1000)::bigint as f, l_partkey % 7 as p, greatest(l_discount, l_tax) as g, round(ln(l_quantity), 9) as l from lineitem")

@@ -50,7 +50,8 @@ LETTERS = "abcdefghijklmnopqrstuvwxyz"
 
 
 def micros(ts: Column) -> Column:
-    return F.unix_micros(ts.cast("timestamp"))
+    """Microseconds since 1970 of the wall clock, whatever the session's time zone."""
+    return F.timestamp_diff("MICROSECOND", F.lit("1970-01-01 00:00:00").cast("timestamp_ntz"), ts.cast("timestamp_ntz"))
 
 
 def event_points(spark, sf_dir) -> DataFrame:

@@ -8,7 +8,7 @@ from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 from ..functions.metrics import Metric, within
 from ..operators import search, updates
 from ..operators.index import MetricIndex
-from ..sources.tables import MONTH_US, ORIGIN_US, new_path
+from ..sources.tables import MONTH_US, ORIGIN_US, micros, new_path
 
 EVENT = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -20,7 +20,7 @@ def event_stream(spark: SparkSession, sf_dir: str, files_per_batch: int = 1) ->
 
 
 def with_points(events: DataFrame) -> DataFrame:
-    return events.withColumn("oid", F.col("event_id")).withColumn("obj", F.array((F.unix_micros("ts") - ORIGIN_US) / F.lit(MONTH_US), F.col("value") / 100))
+    return events.withColumn("oid", F.col("event_id")).withColumn("obj", F.array((micros(F.col("ts")) - ORIGIN_US) / F.lit(MONTH_US), F.col("value") / 100))
 
 
 def run_to_end(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
