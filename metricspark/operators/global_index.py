@@ -145,6 +145,22 @@ def assign(objects: DataFrame, tree: Tree, metric: Metric) -> DataFrame:
     return objects.select("oid", "obj").mapInArrow(run, f"oid long, obj {obj}, leaf long, d_center double, d_anc array<double>")
 
 
+def assign_by_join(objects: DataFrame, top: Tree, leaves: DataFrame, metric: Metric, dim: int | None = None) -> DataFrame:
+    """[oid, obj, leaf, d_center]: the descent for trees whose leaves outgrow a broadcast.
+
+    Only the upper levels `top` are shipped. `leaves` [leaf, center] find their upper node like objects do; each upper
+    node's centres, about a fanout of them, form one row that meets the node's objects in an equi join. The objects are
+    shuffled once by node; AQE splits crowded nodes, since the other side has one row a node.
+    """
+    mine = assign(leaves.select(F.col("leaf").alias("oid"), F.col("center").alias("obj")), top, metric)
+    groups = mine.groupBy(F.col("leaf").alias("node_")).agg(F.collect_list(F.struct(F.col("oid").alias("leaf"), F.col("obj").alias("center"))).alias("centers_"))
+    own = assign(objects, top, metric).select("oid", "obj", F.col("leaf").alias("up_"))
+    joined = own.join(groups, F.col("up_") == F.col("node_"))
+    # of equally near centres the later one, as in `assign`
+    near = F.array_min(F.transform("centers_", lambda c: F.struct(metric.column(F.col("obj"), c["center"], dim).alias("d"), (-c["leaf"]).alias("minus"))))
+    return joined.withColumn("near_", near).select("oid", "obj", (-F.col("near_.minus")).alias("leaf"), F.col("near_.d").alias("d_center"))
+
+
 def summarise(assigned: DataFrame, tree: Tree) -> None:
     """Sizes and covering radii into the tree. Radii come from the very distances of the descent, so they cover subtrees exactly."""
     rows = assigned.groupBy("leaf").agg(F.count("*").alias("n"), *[F.max(F.col("d_anc")[k]).alias(f"r{k}") for k in range(tree.height)]).collect()  # one row a leaf

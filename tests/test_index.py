@@ -54,6 +54,20 @@ def test_worked_examples(spark):
     assert got == {("strings", "range_1"): {1, 3}, ("strings", "knn_3"): {0, 1, 3}, ("points", "range_2sqrt2"): {8, 9, 10, 11, 13}, ("points", "knn_2"): {9, 13}}
 
 
+def test_assignment_by_join_equals_the_broadcast_descent(spark, pts):
+    m = metrics.l2()
+    tree = global_index.plan_tree([r.obj for r in pts.orderBy("oid").limit(40).collect()], 8, m)
+    assert tree.height == 2
+    top = global_index.Tree([n for n in tree.nodes if n.level == 1], 1, m.kind)
+    for n in top.nodes:
+        n.children = []
+    leaves = spark.createDataFrame([(n.node_id, n.center) for n in tree.nodes if n.level == 2], "leaf long, center array<double>")
+    full = global_index.plan_tree([r.obj for r in pts.orderBy("oid").limit(40).collect()], 8, m)
+    want = {r.oid: (r.leaf, round(r.d_center, 12)) for r in global_index.assign(pts, full, m).collect()}
+    got = {r.oid: (r.leaf, round(r.d_center, 12)) for r in global_index.assign_by_join(pts, top, leaves, m, 2).collect()}
+    assert got == want
+
+
 def test_invariants(idx):
     assert {r.rule: r.violated for r in global_index.verify(idx).collect()} == dict.fromkeys(["has one partition", "within covering radius", "within local radius", "stored distance is right", "no object twice"], 0)
 
