@@ -21,6 +21,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
+from .common import small_batches
+
 Q = 8
 RATE = 0.08
 BLOCK = 64
@@ -240,6 +242,7 @@ def contaminated_spans(docs: DataFrame, benchmark: DataFrame, rate: float = RATE
     """doc_id, item_id, start, end, edits for every passage found in every document."""
     schema = "doc_id long, item_id long, start long, end long, edits long"
     spark, out = docs.sparkSession, None
+    small_batches(spark)
     for chunk in passage_chunks(benchmark, chunk_chars):
         items = spark.sparkContext.broadcast(chunk)
 
@@ -259,6 +262,7 @@ def contaminated_spans(docs: DataFrame, benchmark: DataFrame, rate: float = RATE
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, rate: float = RATE, chunk_chars: int = CHUNK_CHARS) -> DataFrame:
     """`docs`, all columns, without the documents that hold a passage. Rows are judged in place; nothing is joined."""
     spark, text_at = docs.sparkSession, docs.columns.index("text")
+    small_batches(spark)
     for chunk in passage_chunks(benchmark, chunk_chars):
         items = spark.sparkContext.broadcast(chunk)
 

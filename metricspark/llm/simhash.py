@@ -191,6 +191,7 @@ def similar_groups(docs: DataFrame, similarity: float = SIMILARITY, words_n: int
     """
     made = written(text_batches(docs, _sketches(words_n), SKETCH_SCHEMA), "sketches")
     one = made.groupBy("key").agg(F.min("doc_id").alias("rep"), *[F.first(f"t{k}").alias(f"t{k}") for k in range(TABLES)], F.first("sig").alias("sig")).where("rep is not null")
+    one = written(one, "distinct-sketches")  # so that the last join deals its own partitions, which AQE may split
     tagged = F.array(*[F.shiftleft(F.col(f"t{k}"), 3).bitwiseOR(F.lit(k).cast("long")) for k in range(TABLES)])
     codes = one.select("rep", F.explode(tagged).alias("code"))
     hubs = codes.groupBy("code").agg(F.min("rep").alias("hub"))

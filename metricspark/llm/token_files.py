@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window, functions as F
 
-from .common import written
+from .common import small_batches, written
 
 BLOCK_IDS = 1 << 20
 FLUSH_CHARS = 1 << 19
@@ -299,6 +299,7 @@ def write_token_file(docs: DataFrame, tokenizer: str, end_id: int = 0, block_ids
     """Encode every text and write the token file in ascending `order` (doc_id, then text); returns its blocks, read back."""
     slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"), *[F.col(c) for c in order or []])
     keys = order or ["doc_id"]
+    small_batches(docs.sparkSession)
     spread = slim.repartitionByRange(shards, *keys) if shards else slim.repartitionByRange(*keys)
     blocks = spread.sortWithinPartitions(*keys, "text").select("doc_id", "text").mapInArrow(_blocks(tokenizer, end_id, block_ids), BLOCKS)
     return written(blocks, "token-file")

@@ -17,7 +17,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import text_batches
+from .common import small_batches, text_batches
 
 PER_CLASS = {0: 3500, 1: 2500}  # most labelled documents of each class that training sees
 MAX_CHARS = 60_000
@@ -146,6 +146,7 @@ def score_toxicity(docs: DataFrame, model: SentenceModel, folds: int = 5, out_fo
 def drop_toxic(docs: DataFrame, model: SentenceModel, cut: float = 0.5) -> DataFrame:
     """`docs`, all columns, without the documents whose score reaches `cut`. Rows are judged in place."""
     text_at = docs.columns.index("text")
+    small_batches(docs.sparkSession)
 
     def run(batches):
         for batch in batches:
