@@ -7,7 +7,7 @@ from dataclasses import dataclass
 import numpy as np
 from pyspark.sql import Column, DataFrame, functions as F, types as T
 
-UNROLLED = 32  # vectors up to this length get plain arithmetic, which whole-stage codegen compiles
+UNROLLED = 8  # vectors up to this length get plain arithmetic; longer ones would make methods that the JVM doesn't compile
 
 
 @dataclass(frozen=True)
@@ -20,6 +20,7 @@ class Metric:
     kernel: Callable
     sql: Callable[[str, str], str]
     integer_valued: bool = False
+    rows: Callable | None = None  # distances of the rows of two matrices, pair by pair
 
     @property
     def dtype(self) -> T.DataType:
@@ -55,12 +56,12 @@ def _summed(each):
 
 
 def l1() -> Metric:
-    return Metric("l1", "vector", _summed(F.abs), lambda x, o: np.abs(x - o).sum(axis=1), lambda a, b: f"list_sum(list_transform(list_zip({a}, {b}), lambda t: abs(t[1] - t[2])))")
+    return Metric("l1", "vector", _summed(F.abs), lambda x, o: np.abs(x - o).sum(axis=1), lambda a, b: f"list_sum(list_transform(list_zip({a}, {b}), lambda t: abs(t[1] - t[2])))", rows=lambda x, y: np.abs(x - y).sum(axis=1))
 
 
 def l2() -> Metric:
     square = _summed(lambda d: d * d)
-    return Metric("l2", "vector", lambda a, b, dim=None: F.sqrt(square(a, b, dim)), lambda x, o: np.sqrt(((x - o) ** 2).sum(axis=1)), lambda a, b: f"list_distance({a}, {b})")
+    return Metric("l2", "vector", lambda a, b, dim=None: F.sqrt(square(a, b, dim)), lambda x, o: np.sqrt(((x - o) ** 2).sum(axis=1)), lambda a, b: f"list_distance({a}, {b})", rows=lambda x, y: np.sqrt(((x - y) ** 2).sum(axis=1)))
 
 
 def lp(p: float) -> Metric:
@@ -83,24 +84,41 @@ def linf() -> Metric:
 def encode_strings(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
     """(code points, padded with -1; lengths)."""
     n = np.array([len(w) for w in words], np.int64)
-    out = np.full((len(words), int(n.max(initial=0))), -1, np.int64)
-    for i, w in enumerate(words):
-        out[i, : n[i]] = np.frombuffer(w.encode("utf-32-le"), np.uint32)
+    out = np.full((len(words), int(n.max(initial=0))), -1, np.int32)
+    flat = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), np.int32)
+    out[np.arange(out.shape[1])[None, :] < n[:, None]] = flat
     return out, n
 
 
+SIZES = (6, 10, 16, 32, 1 << 30)  # words are handled by size, so that a long one doesn't widen all tables
+
+
 def edit_kernel(many, one: str) -> np.ndarray:
     """Edit distances of many words to one: one row of the table for all words at once, a character of `one` at a time."""
     codes, n = many
+    out = np.zeros(len(n))
+    low = -1
+    for high in SIZES:
+        at = np.flatnonzero((n > low) & (n <= high))
+        low = high
+        if len(at):
+            out[at] = _edit_rows(codes[at, : int(n[at].max())], n[at], one)
+    return out
+
+
+def _edit_rows(codes: np.ndarray, n: np.ndarray, one: str) -> np.ndarray:
     width = codes.shape[1]
-    row = np.tile(np.arange(width + 1), (len(codes), 1))
-    steps = np.arange(width + 1)
+    kind = np.int16 if width + len(one) < 30_000 else np.int32
+    steps = np.arange(width + 1, dtype=kind)[:, None]
+    codes = np.ascontiguousarray(codes.T)  # a row of the table for one place in all words is contiguous
+    row = np.repeat(steps, len(n), axis=1)
     for i, c in enumerate(one):
-        new = row + 1
-        new[:, 1:] = np.minimum(new[:, 1:], row[:, :-1] + (codes != ord(c)))
-        new[:, 0] = i + 1
-        row = np.minimum.accumulate(new - steps, axis=1) + steps
-    return row[np.arange(len(codes)), n].astype(float)
+        new = row + kind(1)
+        np.minimum(new[1:], row[:-1] + (codes != ord(c)), out=new[1:])
+        for j in range(1, width + 1):
+            np.minimum(new[j], new[j - 1] + kind(1), out=new[j])
+        row = new
+    return row[n, np.arange(len(n))].astype(float)
 
 
 def edit() -> Metric:
@@ -121,13 +139,35 @@ def metric(name: str) -> Metric:
     return REGISTRY[name]()
 
 
+def pair_column(m: Metric, a: Column, b: Column, dim: int | None) -> Column:
+    """d(a, b) where many pairs of long vectors are verified: there both list columns go to NumPy whole, in Arrow batches.
+
+    Short vectors and strings stay on the JVM. Both ways give the same distances but for the last bits.
+    """
+    if m.kind == "string" or not dim or dim <= UNROLLED or m.rows is None:
+        return m.column(a, b, dim)
+    rows = m.rows
+
+    def distances(x, y):
+        import pyarrow as pa
+
+        flat = lambda v: v.flatten().to_numpy(zero_copy_only=False).reshape(len(v), dim)
+        return pa.array(rows(flat(x), flat(y)) if len(x) else [], pa.float64())
+
+    import pyarrow as pa
+
+    distances.__annotations__ = {"x": pa.Array, "y": pa.Array, "return": pa.Array}  # the kind of function is read off these
+    # said to be nondeterministic so that a filter on the distance isn't pushed below, where it would be computed again
+    return F.arrow_udf(distances, "double").asNondeterministic()(a, b)
+
+
 def within(m: Metric, a: Column, b: Column, r: Column, dim: int | None) -> tuple[Column, Column]:
     """(distance or null, d(a, b) <= r). For edit distance the length difference and the threshold stop work early."""
     if m.name == "edit":
         cap = F.floor(r).cast("int")
         d = F.when(F.abs(F.length(a) - F.length(b)) <= r, F.call_function("levenshtein", a, b, F.greatest(cap, F.lit(0)))).cast("double")
         return d, (r >= 0) & d.isNotNull() & (d >= 0)
-    d = m.column(a, b, dim)
+    d = pair_column(m, a, b, dim)
     return d, d <= r
 
 

@@ -13,7 +13,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, Window, functions as F
 
-from ..functions.metrics import Metric, within
+from ..functions.metrics import Metric, pair_column, within
 from ..sources.tables import written
 from .global_index import plan_tree, summarise  # noqa: F401
 from .sampling import hash_sample, pair_distances
@@ -40,7 +40,7 @@ def scan_range(objects: DataFrame, metric: Metric, queries: DataFrame, r: float
 def scan_knn(objects: DataFrame, metric: Metric, queries: DataFrame, k: int, dim: int | None = None) -> DataFrame:
     """[qid, rank, oid, dist]: the k best a task, then the k best of these."""
     j = objects.select("oid", "obj").crossJoin(F.broadcast(queries.select("qid", "q")))
-    return rank_answers(j.withColumn("dist", metric.column(F.col("q"), F.col("obj"), dim)).withColumn("k", F.lit(k)))
+    return rank_answers(j.withColumn("dist", pair_column(metric, F.col("q"), F.col("obj"), dim)).withColumn("k", F.lit(k)))
 
 
 # ---- pivot-key index ----
@@ -347,6 +347,6 @@ def grid_range(objects: DataFrame, queries: DataFrame, r: float) -> DataFrame:
 def per_slot_knn(idx, queries: DataFrame, k: int) -> DataFrame:
     """Every slot answers on its own without any bound; N_w full searches are merged. The costly contrast."""
     j = idx.objects.select("slot", "oid", "obj").crossJoin(F.broadcast(queries.select("qid", "q")))
-    j = j.withColumn("dist", idx.metric.column(F.col("q"), F.col("obj"), idx.dim))
+    j = j.withColumn("dist", pair_column(idx.metric, F.col("q"), F.col("obj"), idx.dim))
     w = Window.partitionBy("qid", "slot").orderBy(F.round("dist", 9), "oid")
     return rank_answers(j.withColumn("r_", F.row_number().over(w)).where(F.col("r_") <= k).withColumn("k", F.lit(k)))

@@ -11,7 +11,7 @@ import heapq
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from ..functions import bounds
-from ..functions.metrics import Metric, within
+from ..functions.metrics import Metric, pair_column, within
 from .index import MetricIndex
 from .intermediate import locate
 
@@ -160,7 +160,7 @@ def knn_query(idx: MetricIndex, queries: DataFrame, k: int | None = None, by: st
     q = queries.select("qid", "q", (F.lit(int(k)) if k is not None else F.col("k").cast("int")).alias("k"))
     bound = knn_bounds(idx, q)
     objs = candidate_objects(idx, local_candidates(idx, global_candidates(idx, bound.select("qid", "q", "r"))))
-    found = objs.withColumn("dist", idx.metric.column(F.col("q"), F.col("obj"), idx.dim)).where("dist <= r")
+    found = objs.withColumn("dist", pair_column(idx.metric, F.col("q"), F.col("obj"), idx.dim)).where("dist <= r")
     ks = q.select(F.col("qid").alias("kq_"), "k")
     found = found.join(ks, F.col("qid") == F.col("kq_"))
     return rank_answers(found if by == "oid" else found.withColumn(by, F.col("obj")), by)
