@@ -3,7 +3,7 @@ import numpy as np
 import pytest
 
 import corpus_pipeline
-from metricspark.llm import queries
+from metricspark.llm import queries, simhash
 from metricspark.llm.common import table, written
 
 
@@ -66,3 +66,25 @@ def test_mixing_and_tokens(stages):
 def test_whole_run(spark, sf, stages):
     got = sorted(map(tuple, corpus_pipeline.run(spark, sf).select("doc_id", "n_tokens", "ids_crc32").collect()))
     assert got == sorted(map(tuple, stages[4][2].select("doc_id", "n_tokens", "ids_crc32").collect()))
+
+
+def word_run(rng, n):
+    return [f"w{k}" for k in rng.integers(0, 1 << 40, n)]
+
+
+def jaccard(a, b):
+    a, b = ({tuple(t[k : k + 5]) for k in range(len(t) - 4)} for t in (a, b))
+    return len(a & b) / len(a | b)
+
+
+def test_candidates_of_appended_and_truncated_copies(spark):
+    rng, texts = np.random.default_rng(3), []
+    for n in range(200):
+        base = word_run(rng, (64, 404, 2004)[n % 3])  # 60, 400 and 2000 shingles
+        s = len(base) - 4
+        copy = base + word_run(rng, s // 4) if n % 2 else base[: s * 4 // 5 + 4]
+        assert jaccard(base, copy) == pytest.approx(0.8)
+        texts += [base, copy]
+    rows = [(i, c) for i, t in enumerate(texts) for c in simhash.sketch(" ".join(t))[1]]
+    got = {tuple(sorted(r)) for r in simhash.candidate_pairs(spark.createDataFrame(rows, "rep long, code long")).collect()}
+    assert got == {(i, i + 1) for i in range(0, 400, 2)}
