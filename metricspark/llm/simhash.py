@@ -125,6 +125,7 @@ def simhash_components(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
 # ---- groups of similar texts: bands of minima of the word shingles themselves ----
 
 BANDS, SIG = 64, 512  # powers of two
+CELL = 256  # texts a side in a block of pairs
 SIMILARITY, WORDS = 0.8, 5
 SKETCH_SCHEMA = "doc_id long, key string, codes array<long>, sig binary"
 NONE = np.iinfo(np.uint64).max
@@ -197,28 +198,55 @@ def _similar(least: float):
     return run
 
 
-def candidate_pairs(codes: DataFrame) -> DataFrame:
-    """Distinct (rep, hub) of `codes` (rep, code) where both have a code in common."""
-    hubs = codes.groupBy("code").agg(F.min("rep").alias("hub"))
-    return codes.join(hubs, "code").where("rep <> hub").select("rep", "hub").distinct()
+def shared_codes(codes: DataFrame) -> DataFrame:
+    """(code, rep, n_, hub) of `codes` (rep, code) where n_ > 1 texts have the code; hub is the smallest of them."""
+    many = codes.groupBy("code").agg(F.count("*").alias("n_"), F.min("rep").alias("hub")).where("n_ > 1")
+    return codes.join(many, "code")
+
+
+def hub_pairs(shared: DataFrame) -> DataFrame:
+    """Distinct (rep, hub): each text of a code with the smallest one."""
+    return shared.where("rep <> hub").select("rep", "hub").distinct()
+
+
+def other_pairs(shared: DataFrame, roots: DataFrame) -> DataFrame:
+    """Distinct (rep, hub), rep > hub: all pairs with a code in common that `roots` (node, root) don't connect.
+
+    A code of many texts is cut into CELL^2 blocks of pairs, so no task gets all of its pairs.
+    """
+    member = shared.join(roots, F.col("rep") == F.col("node"), "left").select("code", "rep", "n_", F.coalesce("root", "rep").alias("of_"))
+    mixed = member.groupBy("code").agg(F.min("of_").alias("lo_"), F.max("of_").alias("hi_")).where("lo_ <> hi_").select("code")
+    parts = F.ceil(F.col("n_") / CELL).cast("int")
+    member = written(member.join(mixed, "code", "left_semi").withColumn("at", F.pmod(F.xxhash64("rep"), parts).cast("int")), "open-members")
+    low = member.select("code", "rep", "of_", F.col("at").alias("i"), F.explode(F.sequence("at", parts - 1)).alias("j"))
+    high = member.select(F.col("code").alias("c_"), F.col("rep").alias("hub"), F.col("of_").alias("with_"), F.col("at").alias("j_"), F.explode(F.sequence(F.lit(0), "at")).alias("i_"))
+    met = low.join(high, (F.col("code") == F.col("c_")) & (F.col("i") == F.col("i_")) & (F.col("j") == F.col("j_")) & (F.col("of_") != F.col("with_")) & ((F.col("i") < F.col("j")) | (F.col("rep") < F.col("hub"))))
+    return met.select(F.greatest("rep", "hub").alias("rep"), F.least("rep", "hub").alias("hub")).distinct()
 
 
 def similar_groups(docs: DataFrame, similarity: float = SIMILARITY, words_n: int = WORDS) -> DataFrame:
     """(doc_id, component_id) of every row: components over pairs whose `words_n`-word shingles have the similarity.
 
     Candidates: texts that agree on one of 64 bands of 8 minima of the shingles. A minimum agrees with the Jaccard
-    similarity J, whatever the edit, so a pair is missed with about (1 - J^8)^64: 8e-6 at 0.8, less above. Pairs are
+    similarity J, whatever the edit, so a pair is missed with about (1 - J^8)^64: 8e-6 at 0.8, less above. First each
+    text is compared with the smallest one of its codes, then all pairs of a code that this left unconnected. Pairs are
     verified on the minima of SIG bins of their shingles, which is close to exact for texts with fewer shingles than
     bins. Texts of equal words are one.
     """
     made = written(text_batches(docs, _sketches(words_n), SKETCH_SCHEMA), "sketches")
     one = made.groupBy("key").agg(F.min("doc_id").alias("rep"), F.first("codes").alias("codes"), F.first("sig").alias("sig")).where("rep is not null")
     one = written(one, "distinct-sketches")  # so that the last join deals its own partitions, which AQE may split
-    pairs = candidate_pairs(one.select("rep", F.explode("codes").alias("code")))
+    shared = written(shared_codes(one.select("rep", F.explode("codes").alias("code")).distinct()), "shared-codes")
     sigs = one.select("rep", "sig")
-    both = pairs.join(sigs.select(F.col("rep").alias("r1"), F.col("sig").alias("s1")), F.col("rep") == F.col("r1")).join(sigs.select(F.col("rep").alias("r2"), F.col("sig").alias("s2")), F.col("hub") == F.col("r2"))
-    links = both.select("rep", "hub", "s1", "s2").mapInArrow(_similar(similarity), "a long, b long")
-    roots = connected_components(links, "a", "b")
+
+    def verified(pairs):
+        both = pairs.join(sigs.select(F.col("rep").alias("r1"), F.col("sig").alias("s1")), F.col("rep") == F.col("r1")).join(sigs.select(F.col("rep").alias("r2"), F.col("sig").alias("s2")), F.col("hub") == F.col("r2"))
+        return both.select("rep", "hub", "s1", "s2").mapInArrow(_similar(similarity), "a long, b long")
+
+    tried = written(hub_pairs(shared), "hub-pairs")
+    links = written(verified(tried), "hub-links")
+    rest = other_pairs(shared, connected_components(links, "a", "b")).join(tried, ["rep", "hub"], "left_anti")
+    roots = connected_components(links.unionByName(verified(rest)), "a", "b")
     of_rep = one.select("key", "rep").join(roots, F.col("rep") == F.col("node"), "left").select(F.col("key").alias("k_"), F.coalesce("root", "rep").alias("component_id"))
     return made.select("doc_id", "key").join(of_rep, F.col("key") == F.col("k_"), "left").select("doc_id", "component_id")
 

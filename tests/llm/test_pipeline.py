@@ -86,5 +86,16 @@ def test_candidates_of_appended_and_truncated_copies(spark):
         assert jaccard(base, copy) == pytest.approx(0.8)
         texts += [base, copy]
     rows = [(i, c) for i, t in enumerate(texts) for c in simhash.sketch(" ".join(t))[1]]
-    got = {tuple(sorted(r)) for r in simhash.candidate_pairs(spark.createDataFrame(rows, "rep long, code long")).collect()}
+    got = {tuple(sorted(r)) for r in simhash.hub_pairs(simhash.shared_codes(spark.createDataFrame(rows, "rep long, code long"))).collect()}
     assert got == {(i, i + 1) for i in range(0, 400, 2)}
+
+
+def test_pairs_behind_unlike_texts(spark, monkeypatch):
+    monkeypatch.setattr(simhash, "CELL", 8)
+    rng, texts = np.random.default_rng(4), []
+    core = word_run(rng, 2000)
+    hubs = [core + word_run(rng, 600) for _ in range(300)]  # 0.63 of each other
+    b, c = core + word_run(rng, 150), core + word_run(rng, 150)  # 0.87, and 0.73 of the others
+    texts = [" ".join(t) for t in [*hubs, b, c]]
+    got = simhash.similar_groups(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
+    assert {r.doc_id: r.component_id for r in got} == {i: min(i, 300) for i in range(302)}
