@@ -185,15 +185,48 @@ def _sketches(words_n: int):
     return run
 
 
-def _similar(least: float):
+def _maybe_similar(least: float):
+    """Drops pairs whose estimate is 6 standard errors or more under `least`; which pairs are links is told by `_similar`."""
+
     def run(batches):
         for batch in batches:
             a, b = (np.frombuffer(b"".join(batch.column(k).to_pylist()), np.uint8).reshape(-1, SIG) for k in (2, 3))
-            either = ((a > 0) | (b > 0)).sum(axis=1)
+            either = np.maximum(((a > 0) | (b > 0)).sum(axis=1), 1)
             same = ((a == b) & (a > 0)).sum(axis=1)
             chance = 1 / 255
-            share = (same / np.maximum(either, 1) - chance) / (1 - chance)
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["a", "b"]).filter(pa.array(share >= least - 1e-9))
+            share = (same / either - chance) / (1 - chance)
+            clear = least - 6 * np.sqrt(0.25 / either)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["rep", "hub"]).filter(pa.array(share >= clear))
+
+    return run
+
+
+def shingle_set(text: str, words_n: int = WORDS) -> bytes:
+    """The sorted distinct 64-bit hashes of the word shingles."""
+    words = text.encode("utf-8", "surrogatepass").lower().split()
+    return np.unique(np.frombuffer(b"".join([xxhash.xxh64_digest(s, 7) for s in _shingles(words, words_n)]), ">u8").astype(np.uint64)).tobytes()
+
+
+def _shingle_sets(words_n: int):
+    def run(batches):
+        for batch in batches:
+            col = batch.column(1)
+            for at in range(0, batch.num_rows, 100):
+                part = batch.column(0).slice(at, 100)
+                yield pa.RecordBatch.from_arrays([part, pa.array([shingle_set(col[k].as_py(), words_n) for k in range(at, at + len(part))], pa.binary())], names=["doc_id", "has"])
+
+    return run
+
+
+def _similar(least: float):
+    def run(batches):
+        for batch in batches:
+            ok = []
+            for k in range(batch.num_rows):
+                a, b = (np.frombuffer(batch.column(c)[k].as_buffer(), np.uint64) for c in (2, 3))
+                both = len(np.intersect1d(a, b, assume_unique=True))
+                ok.append(both >= least * (len(a) + len(b) - both) - 1e-9)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["a", "b"]).filter(pa.array(ok, pa.bool_()))
 
     return run
 
@@ -229,9 +262,9 @@ def similar_groups(docs: DataFrame, similarity: float = SIMILARITY, words_n: int
 
     Candidates: texts that agree on one of 64 bands of 8 minima of the shingles. A minimum agrees with the Jaccard
     similarity J, whatever the edit, so a pair is missed with about (1 - J^8)^64: 8e-6 at 0.8, less above. First each
-    text is compared with the smallest one of its codes, then all pairs of a code that this left unconnected. Pairs are
-    verified on the minima of SIG bins of their shingles, which is close to exact for texts with fewer shingles than
-    bins. Texts of equal words are one.
+    text is compared with the smallest one of its codes, then all pairs of a code that this left unconnected. One byte
+    of each minimum rejects clear misses only; the other pairs are verified by the exact Jaccard similarity of their
+    sets of hashed shingles. Texts of equal words are one.
     """
     made = written(text_batches(docs, _sketches(words_n), SKETCH_SCHEMA), "sketches")
     one = made.groupBy("key").agg(F.min("doc_id").alias("rep"), F.first("codes").alias("codes"), F.first("sig").alias("sig")).where("rep is not null")
@@ -240,7 +273,12 @@ def similar_groups(docs: DataFrame, similarity: float = SIMILARITY, words_n: int
     sigs = one.select("rep", "sig")
 
     def verified(pairs):
-        both = pairs.join(sigs.select(F.col("rep").alias("r1"), F.col("sig").alias("s1")), F.col("rep") == F.col("r1")).join(sigs.select(F.col("rep").alias("r2"), F.col("sig").alias("s2")), F.col("hub") == F.col("r2"))
+        with_sigs = pairs.join(sigs.select(F.col("rep").alias("r1"), F.col("sig").alias("s1")), F.col("rep") == F.col("r1")).join(sigs.select(F.col("rep").alias("r2"), F.col("sig").alias("s2")), F.col("hub") == F.col("r2"))
+        maybe = written(with_sigs.select("rep", "hub", "s1", "s2").mapInArrow(_maybe_similar(similarity), "rep long, hub long"), "maybe-similar")
+        asked = maybe.select("rep").union(maybe.select("hub")).distinct().withColumnRenamed("rep", "asked_")
+        texts = docs.join(asked, docs["doc_id"] == F.col("asked_"), "left_semi")
+        sets = written(text_batches(texts, _shingle_sets(words_n), "doc_id long, has binary").dropDuplicates(), "shingle-sets")
+        both = maybe.join(sets.select(F.col("doc_id").alias("r1"), F.col("has").alias("s1")), F.col("rep") == F.col("r1")).join(sets.select(F.col("doc_id").alias("r2"), F.col("has").alias("s2")), F.col("hub") == F.col("r2"))
         return both.select("rep", "hub", "s1", "s2").mapInArrow(_similar(similarity), "a long, b long")
 
     tried = written(hub_pairs(shared), "hub-pairs")

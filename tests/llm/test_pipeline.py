@@ -99,3 +99,16 @@ def test_pairs_behind_unlike_texts(spark, monkeypatch):
     texts = [" ".join(t) for t in [*hubs, b, c]]
     got = simhash.similar_groups(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
     assert {r.doc_id: r.component_id for r in got} == {i: min(i, 300) for i in range(302)}
+
+
+def test_similarity_is_exact(spark):
+    rng, texts, want = np.random.default_rng(6), [], {}
+    for n in range(120):
+        s = (100, 1000, 2000)[n % 3]
+        base = word_run(rng, s + 4)
+        more = s // 4 if n % 2 else s // 4 + s // 100  # 0.80 or 0.794
+        i = len(texts)
+        texts += [" ".join(base), " ".join(base + word_run(rng, more))]
+        want |= {i: i, i + 1: i if n % 2 else i + 1}
+    got = simhash.similar_groups(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
+    assert {r.doc_id: r.component_id for r in got} == want
