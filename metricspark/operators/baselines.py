@@ -103,7 +103,7 @@ def pivot_key_range(idx: PivotKeyIndex, queries: DataFrame, r: float | None = No
 
 
 def _widening(objects: DataFrame, metric: Metric, dim, queries: DataFrame, k: int, search) -> DataFrame:
-    """Range searches with doubling radii until every query has k answers: at most as many rounds as doublings to the diameter."""
+    """Range searches with doubling radii until every query has k answers; queries still open beyond the sampled diameter are scanned."""
     spark = objects.sparkSession
     n = objects.count()
     stats = pair_distances(objects, metric, 60, 3, dim).agg(F.percentile("d", F.lit(min(1.0, 2.0 * k / max(1, n)))).alias("r"), F.max("d").alias("m")).first()
@@ -111,13 +111,17 @@ def _widening(objects: DataFrame, metric: Metric, dim, queries: DataFrame, k: in
     left, done = queries.select("qid", "q"), None
     while True:
         found = written(search(left.withColumn("r", F.lit(float(r)))), "widening")
-        full = found.groupBy(F.col("qid").alias("f_")).agg(F.count("*").alias("n_")).where(F.lit(r > most) | (F.col("n_") >= min(k, n)))
+        full = found.groupBy(F.col("qid").alias("f_")).agg(F.count("*").alias("n_")).where(F.col("n_") >= min(k, n))
         ok = found.join(full, F.col("qid") == F.col("f_"), "left_semi")
         done = ok if done is None else done.unionByName(ok)
         rows = left.join(full, F.col("qid") == F.col("f_"), "left_anti").collect()  # the queries still open
-        if not rows or r > most:
+        if not rows:
             return rank_answers(done.withColumn("k", F.lit(k)))
-        left, r = spark.createDataFrame(rows, left.schema), r * 2
+        left = spark.createDataFrame(rows, left.schema)
+        if r > most:  # the sample says nothing of farther objects
+            rest = scan_knn(objects, metric, left, k, dim).select("qid", "oid", "dist")
+            return rank_answers(done.unionByName(rest).withColumn("k", F.lit(k)))
+        r *= 2
 
 
 def pivot_key_knn(idx: PivotKeyIndex, queries: DataFrame, k: int) -> DataFrame:

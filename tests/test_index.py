@@ -252,3 +252,14 @@ def test_homogeneous_placement_is_less_even_on_a_hot_spot(pts):
             i = index.build_index(pts, metrics.l2(), 2, n_p=60, n_w=5, seed=seed, placement=placement)
             total[placement] += measures.load_deviation(measures.workload(i, q, 0.05), "verified").first().variation
     assert total["packed"] < total["homogeneous"]
+
+
+def test_pivot_knn_of_an_outlier(spark):
+    rng = np.random.default_rng(8)
+    rows = [(i, [float(x), float(y)]) for i, (x, y) in enumerate(rng.random((400, 2)))] + [(400, [1000.0, 1000.0])]
+    objs, m = tables.written(spark.createDataFrame(rows, "oid long, obj array<double>"), "t"), metrics.l2()
+    q = objs.where("oid in (0, 400)").select(F.col("oid").alias("qid"), F.col("obj").alias("q"))
+    best = ranks(baselines.scan_knn(objs, m, q, 5, 2))
+    assert len(best) == 10
+    assert ranks(baselines.pivot_key_knn(baselines.pivot_key_build(objs, m, 8, dim=2), q, 5)) == best
+    assert ranks(baselines.layered_pivot_knn(baselines.layered_pivot_build(objs, m, dim=2), q, 5)) == best
