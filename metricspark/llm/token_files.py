@@ -10,11 +10,14 @@ File format. A token file is a Parquet table of blocks sorted by (shard, block).
 A document lies in one block, and a block is closed once it holds `block_ids` ids, so a block is at most that
 and one document long. Any id range is read by unpacking only the blocks, and in them the bytes, that hold it. Parquet is the container since Spark writes no other binary files to any store.
 
-Null and empty texts encode to the end id alone. Repeated doc_ids stay separate documents (ties ordered by
-text); a null doc_id sorts first. An empty table gives an empty file.
+Null and empty texts encode to the end id alone. Texts of any length are encoded whole. Repeated rows and repeated doc_ids stay
+separate documents, ordered by a hash of the text and the text; a null doc_id sorts first. The ranges are cut by doc_id, hash and
+row number, so rows of one doc_id, or one row repeated without end, are dealt to many tasks. An empty table gives an empty
+file. Columns other than doc_id, text and those of `order` are not read, whatever their names.
 """
 from __future__ import annotations
 
+import json
 import os
 import zlib
 from array import array
@@ -56,22 +59,23 @@ def unpack(payload: bytes, bits: int, n: int, start: int = 0) -> np.ndarray:
 
 
 class Pieces:
-    """A store of pieces' ids that numpy searches for many pieces at once: open addressing on a 64-bit hash of the bytes.
+    """A store of pieces' ids that numpy searches for many pieces at once: open addressing on a hash of the bytes.
 
-    A hit must agree in hash, length and first eight bytes; anything else counts as unknown and is encoded.
+    It takes pieces of up to WIDE bytes, held whole as three words and a size. A hit agrees in all of them, so it is the same piece.
     """
 
     SLOTS = 21
+    WIDE = 24
 
     def __init__(self, most: int):
         self.most, self.n = most, 0
         self.keys = np.zeros(1 << self.SLOTS, np.uint64)
         self.entry = np.zeros(1 << self.SLOTS, np.int32)
-        self.heads, self.sizes = np.zeros(most + 1, np.uint64), np.zeros(most + 1, np.int32)
+        self.whole, self.sizes = np.zeros((most + 1, 3), np.uint64), np.zeros(most + 1, np.int32)
         self.at, self.count = np.zeros(most + 1, np.int64), np.zeros(most + 1, np.int64)
         self.pool, self.used = np.zeros(1 << 20, "<u4"), 0
 
-    def find(self, h: np.ndarray, head: np.ndarray, size: np.ndarray) -> np.ndarray:
+    def find(self, h: np.ndarray, whole: np.ndarray, size: np.ndarray) -> np.ndarray:
         """Entry of each piece, 0 if unknown."""
         out = np.zeros(len(h), np.int32)
         mask = np.int64((1 << self.SLOTS) - 1)
@@ -83,11 +87,12 @@ class Pieces:
             out[todo[same]] = self.entry[slot[same]]
             on = ~same & (k != 0)
             todo, slot = todo[on], slot[on] + 1 & mask
-        wrong = (self.heads[out] != head) | (self.sizes[out] != size)
+        wrong = (self.sizes[out] != size) | (self.whole[out] != whole).any(axis=1)
         out[wrong] = 0
         return out
 
-    def add(self, h: int, head: int, size: int, ids: np.ndarray) -> None:
+    def add(self, h: int, whole: np.ndarray, size: int, ids: np.ndarray) -> None:
+        """Of two pieces with equal hash the first is kept; the other stays unknown and is encoded each time."""
         if self.n >= self.most:
             return
         slot = h >> (64 - self.SLOTS)
@@ -100,7 +105,7 @@ class Pieces:
             self.pool = np.concatenate([self.pool, np.zeros(len(self.pool) + len(ids), "<u4")])
         self.pool[self.used : self.used + len(ids)] = ids
         self.keys[slot], self.entry[slot] = h, self.n
-        self.heads[self.n], self.sizes[self.n], self.at[self.n], self.count[self.n] = head, size, self.used, len(ids)
+        self.whole[self.n], self.sizes[self.n], self.at[self.n], self.count[self.n] = whole, size, self.used, len(ids)
         self.used += len(ids)
 
 
@@ -110,7 +115,8 @@ class Encoder:
     Byte-level BPE never merges across the pieces of its splitting pattern, so the ids of a text are those of its
     pieces joined. Texts of letters (Latin, Cyrillic), digits and ASCII signs with single white space between are cut
     by numpy, many texts at once: there a piece begins where the kind of character changes, and a space goes with what
-    follows it. All other texts are cut by the pattern itself.
+    follows it. All other texts are cut by the pattern itself. Texts that hold an added token of the file, and all texts
+    where the file is no plain byte-level BPE, go whole to the library, which treats them as it does by default.
     """
 
     KEEP, KEEP_ODD, JOINED = 1_000_000, 60_000, 300
@@ -120,18 +126,19 @@ class Encoder:
         import regex
         from tokenizers import Tokenizer
 
+        self.library = Tokenizer.from_file(path)
         self.tok = Tokenizer.from_file(path)
-        self.tok.encode_special_tokens = True
+        self.tok.encode_special_tokens = True  # pieces hold no added token
         self.vocab_size = self.tok.get_vocab_size()
+        self.added = sorted(t.content for t in self.library.get_added_tokens_decoder().values())
+        with open(path, encoding="utf-8") as f:
+            made = json.load(f)
+        before = made.get("pre_tokenizer") or {}
+        self.plain = not made.get("normalizer") and made["model"].get("type") == "BPE" and before.get("type") == "ByteLevel" and not before.get("add_prefix_space") and before.get("use_regex", True)
         # fixed value: the splitting pattern of byte-level BPE
         self.split = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+").findall
         self.odd: dict[str, bytes] = {}
         self.store = Pieces(self.KEEP)
-        rng = np.random.default_rng(20)
-        self.salt = rng.integers(1, 1 << 63, 256, dtype=np.uint64) | np.uint64(1)
-        self.base = 0x9E3779B97F4A7C15
-        self.inverse = pow(self.base, -1, 1 << 64)
-        self.powers = self.inverses = np.ones(1, np.uint64)
 
     # kinds of bytes: 0 letter, 1 digit, 2 sign, 3 space, 4 other white space, 5 left to the pattern
     KIND = np.full(256, 2, np.uint8)
@@ -163,27 +170,32 @@ class Encoder:
 
     def _by_pattern(self, texts: list[str]) -> list[bytes]:
         pieces = [self.split(t) for t in texts]
+        return self._ids_of(pieces)
+
+    def _ids_of(self, pieces: list[list[str]]) -> list[bytes]:
+        """Ids of the pieces of each text, kept by whole pieces in a dictionary of bounded size."""
         new = list(set().union(*pieces) - self.odd.keys())
         made = self._encode(new)
         if len(self.odd) < self.KEEP_ODD:
             self.odd |= made
         return [b"".join([self.odd.get(p) or made[p] for p in ps]) for ps in pieces]
 
-    def _hashes(self, flat: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-        """A polynomial hash of each flat[start:end] modulo 2 ** 64, never 0."""
-        if len(self.powers) < len(flat):
-            n = len(flat) + (1 << 16)
-            self.powers = np.multiply.accumulate(np.concatenate([np.ones(1, np.uint64), np.full(n, self.base, np.uint64)]))
-            self.inverses = np.multiply.accumulate(np.concatenate([np.ones(1, np.uint64), np.full(n, self.inverse, np.uint64)]))
-        sums = np.zeros(len(flat) + 1, np.uint64)
-        np.cumsum(self.salt[flat] * self.powers[: len(flat)], out=sums[1:])
-        h = (sums[ends] - sums[starts]) * self.inverses[starts]
-        h ^= h >> np.uint64(29)
-        h *= np.uint64(0xBF58476D1CE4E5B9)
-        return h | np.uint64(1)
+    def _whole(self, texts: list[str]) -> list[bytes]:
+        return [array("I", e.ids).tobytes() for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
 
     def raw_ids(self, texts: list[str]) -> list[bytes]:
         """Ids of each text as little-endian unsigned 32-bit integers."""
+        if not self.plain:
+            return self._whole(texts)
+        odd = [k for k, t in enumerate(texts) if any(a in t for a in self.added)]
+        if not odd:
+            return self._raw_ids(texts)
+        out = self._raw_ids(["" if k in odd else t for k, t in enumerate(texts)])
+        for k, ids in zip(odd, self._whole([texts[k] for k in odd])):
+            out[k] = ids
+        return out
+
+    def _raw_ids(self, texts: list[str]) -> list[bytes]:
         raw = [t.encode("utf-8", "surrogatepass") for t in texts]
         cuts = np.concatenate([[0], np.cumsum([len(r) for r in raw])]).astype(np.int64)
         flat = np.frombuffer(b"".join(raw), np.uint8)
@@ -210,24 +222,25 @@ class Encoder:
             keep = ~skip[text_of]
             starts, ends, text_of = starts[keep], ends[keep], text_of[keep]
         size = (ends - starts).astype(np.int32)
-        h = self._hashes(flat, starts, ends)
-        padded = np.concatenate([flat, np.zeros(8, np.uint8)])
-        head = np.lib.stride_tricks.sliding_window_view(padded, 8)[starts].view("<u8").reshape(-1) if len(starts) else np.empty(0, np.uint64)
-        head = head & EDGE[np.minimum(size, 8)]
-        entry = self.store.find(h, head, size)
+        whole, h = self._words(flat, starts, size)
+        entry = self.store.find(h, whole, size)
         at, count = self.store.at[entry], self.store.count[entry]
         pool = self.store.pool
         new = np.flatnonzero(entry == 0)
         if len(new):
-            # a group of equal hash, head and size is one piece, or else is encoded one by one
-            order = new[np.lexsort((size[new], head[new], h[new]))]
-            first = np.ones(len(order), bool)
-            first[1:] = (h[order][1:] != h[order][:-1]) | (head[order][1:] != head[order][:-1]) | (size[order][1:] != size[order][:-1])
-            group = np.cumsum(first) - 1
-            lead = order[first]
-            words = [flat[a:b].tobytes().decode("utf-8", "surrogatepass") for a, b in zip(starts[lead].tolist(), ends[lead].tolist())]
-            made = self._encode(list(set(words)))
+            wide = size[new] > Pieces.WIDE
+            order = new[~wide]
+            order = order[np.lexsort((size[order], whole[order, 2], whole[order, 1], whole[order, 0]))]
+            first = np.ones(len(order), bool)  # the first of a run of equal pieces
+            first[1:] = (whole[order][1:] != whole[order][:-1]).any(axis=1) | (size[order][1:] != size[order][:-1])
+            lead, group = order[first], np.cumsum(first) - 1
+            text = lambda k: flat[starts[k] : ends[k]].tobytes().decode("utf-8", "surrogatepass")
+            long, n_short = new[wide], len(lead)
+            words = [text(k) for k in lead.tolist()]
+            made = self._encode(words)
             ids = [np.frombuffer(made[w], "<u4") for w in words]
+            ids += [np.frombuffer(x, "<u4") for x in self._ids_of([[text(k)] for k in long.tolist()])]
+            order, group = np.concatenate([order, long]), np.concatenate([group, n_short + np.arange(len(long))])
             lens = np.array([len(i) for i in ids], np.int64)
             pool_end = self.store.used
             pool = np.concatenate([pool[:pool_end], *ids])
@@ -235,21 +248,43 @@ class Encoder:
             at[order], count[order] = offs[group], lens[group]
             if self.store.n < self.store.most:
                 for k, i in zip(lead.tolist(), ids):
-                    self.store.add(int(h[k]), int(head[k]), int(size[k]), i)
+                    self.store.add(int(h[k]), whole[k], int(size[k]), i)
         total = np.cumsum(count)
         if len(total) and total[-1]:
             ids = pool[np.repeat(at - (total - count), count) + np.arange(total[-1])]
             edges = np.searchsorted(text_of, np.arange(len(texts) + 1), "left")
             byte = np.concatenate([[0], total])[edges] * 4
-            whole = ids.tobytes()
+            whole_ids = ids.tobytes()
             done = set(bad.tolist())
             for k in range(len(texts)):
                 if k not in done:
-                    out[k] = whole[byte[k] : byte[k + 1]]
+                    out[k] = whole_ids[byte[k] : byte[k + 1]]
         return out
 
+    def _words(self, flat: np.ndarray, starts: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(first 24 bytes of each piece as three words, zeros behind its end; their hash, never 0). Wider pieces get a hash that
+        no entry has, so they are never found in the store."""
+        if not len(starts):
+            return np.empty((0, 3), np.uint64), np.empty(0, np.uint64)
+        view = np.lib.stride_tricks.sliding_window_view(np.concatenate([flat, np.zeros(Pieces.WIDE + 8, np.uint8)]), 8)
+        whole = np.empty((len(starts), 3), np.uint64)
+        whole[:, 0] = view[starts].view("<u8").reshape(-1) & EDGE[np.minimum(size, 8)]
+        whole[:, 1:] = 0
+        for k in (1, 2):
+            more = np.flatnonzero(size > 8 * k)
+            whole[more, k] = view[starts[more] + 8 * k].view("<u8").reshape(-1) & EDGE[np.clip(size[more] - 8 * k, 0, 8)]
+        h = size.astype(np.uint64)
+        for k, factor in enumerate(FACTORS):
+            h = (h ^ whole[:, k]) * factor
+            h ^= h >> np.uint64(31)
+        h *= FACTORS[0]
+        h |= np.uint64(1)
+        h[size > Pieces.WIDE] = np.uint64(2)
+        return whole, h
+
 
 EDGE = np.array([(1 << (8 * n)) - 1 for n in range(9)], np.uint64)
+FACTORS = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB))
 
 
 def encoder(path: str) -> Encoder:
@@ -298,10 +333,14 @@ def _blocks(tokenizer: str, end_id: int, block_ids: int):
 def write_token_file(docs: DataFrame, tokenizer: str, end_id: int = 0, block_ids: int = BLOCK_IDS, shards: int | None = None, order: list[str] | None = None) -> DataFrame:
     """Encode every text and write the token file in ascending `order` (doc_id, then text); returns its blocks, read back."""
     slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"), *[F.col(c) for c in order or []])
-    keys = order or ["doc_id"]
+    keys = list(order or ["doc_id"])
+    if not order:
+        slim = slim.withColumn("h_", F.xxhash64("text")).withColumn("n_", F.monotonically_increasing_id())
+        keys += ["h_", "n_"]
     small_batches(docs.sparkSession)
     spread = slim.repartitionByRange(shards, *keys) if shards else slim.repartitionByRange(*keys)
-    blocks = spread.sortWithinPartitions(*keys, "text").select("doc_id", "text").mapInArrow(_blocks(tokenizer, end_id, block_ids), BLOCKS)
+    inside = keys if order else ["doc_id", "h_", "text"]
+    blocks = spread.sortWithinPartitions(*inside).select("doc_id", "text").mapInArrow(_blocks(tokenizer, end_id, block_ids), BLOCKS)
     return written(blocks, "token-file")
 
 

@@ -432,7 +432,6 @@ def test_encoder_equals_the_library():
 
     path = queries.tokenizer_path()
     whole = Tokenizer.from_file(path)
-    whole.encode_special_tokens = True
     rng = np.random.default_rng(2)
     bits = [" ", "  ", "\n", " \n", "\n ", "\t", "a", "Bc", "'s", "12", "²", "!", "é", "中", "<|endoftext|>", " x", "\r\n", "don't", "×", "÷", "Ж", "_", "\x00", "\x1c", "\x85", " ", "ɐ", "ﬁ", "😀", "̈", "the quick", "."]
     texts = ["".join(rng.choice(bits, int(rng.integers(0, 20)))) for _ in range(3000)]
@@ -442,11 +441,43 @@ def test_encoder_equals_the_library():
         assert e.raw_ids(part) == [np.array(x.ids, "<u4").tobytes() for x in whole.encode_batch(part, add_special_tokens=False)]
 
 
+def test_encoder_tells_like_pieces_apart():
+    from tokenizers import Tokenizer
+
+    path = queries.tokenizer_path()
+    whole, e = Tokenizer.from_file(path), token_files.Encoder(path)
+    thue = "".join("ab"[bin(i).count("1") % 2] for i in range(4096))
+    for n in (9, 16, 23, 24, 25, 64, 1024, 4096):  # a run of letters and its complement have equal polynomial hashes modulo 2^64
+        texts = ["c" * 8 + thue[:n], "c" * 8 + thue[:n].translate(str.maketrans("ab", "ba")), "hi <|endoftext|> there", "<|endoftext|>" * 3]
+        for _ in range(2):  # the second time from the store
+            for part in (texts, texts[:1], texts[1:2]):
+                assert e.raw_ids(part) == [np.array(x.ids, "<u4").tobytes() for x in whole.encode_batch(part, add_special_tokens=False)]
+    assert whole.encode("hi <|endoftext|> there", add_special_tokens=False).ids == [5303, 220, 50256, 612]
+
+
+def test_encoder_of_other_files_asks_the_library():
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    path = public_tokenizers.path("word_bpe_49k.json")
+    texts = ["Some Words  here", "", "é 12 <|endoftext|>"]
+    assert token_files.Encoder(path).raw_ids(texts) == [np.array(x.ids, "<u4").tobytes() for x in Tokenizer.from_file(path).encode_batch(texts, add_special_tokens=False)]
+
+
+def test_token_file_of_one_id(spark):
+    rows = [(7, f"text {i % 50}") for i in range(2000)] + [(7, "same")] * 500 + [(None, "x")] * 500
+    d = docs_of(spark, rows).withColumn("h_", F.lit("clash")).withColumn("n_", F.lit(1)).withColumn("shard", F.lit("clash"))
+    blocks = token_files.write_token_file(d, queries.tokenizer_path(), shards=8)
+    got = token_files.document_digests(blocks).orderBy("start").collect()
+    assert len(got) == 3000 and [r.doc_id for r in got] == [None] * 500 + [7] * 2500
+    assert all(a.start + a.n_tokens == b.start for a, b in zip(got, got[1:]))
+    assert max(r["count"] for r in token_files.read_token_file(blocks).groupBy("shard").count().collect()) < 1000
+
+
 def test_token_file_against_the_library(spark, docs, local):
     from tokenizers import Tokenizer
 
     tok = Tokenizer.from_file(queries.tokenizer_path())
-    tok.encode_special_tokens = True
     blocks = token_files.write_token_file(docs, queries.tokenizer_path(), block_ids=5000, shards=3)
     got = {r.doc_id: r for r in token_files.document_digests(blocks).collect()}
     ids = {r.doc_id: r.ids for r in token_files.read_token_file(blocks, with_ids=True).collect()}
