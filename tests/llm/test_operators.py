@@ -138,7 +138,7 @@ def test_held_out_quality(spark, sf):
 
 def test_mixing_follows_the_weights(spark):
     rows = [(i, ["a", "b", None, "c"][0 if i % 3 == 0 else 1 + i % 3]) for i in range(4000)]
-    d = spark.createDataFrame(rows, "doc_id long, source string").withColumn("slot", F.lit("clash")).drop("slot")
+    d = spark.createDataFrame(rows, "doc_id long, source string")
     weights = {"a": 5, "b": 3, "c": 2, None: 1}
     got = mixing.mix_positions(d, weights, block_rows=10, bucket_rows=100).collect()
     assert sorted(r.doc_id for r in got) == list(range(4000))
@@ -175,6 +175,50 @@ def test_mixing_empty_and_order(spark):
     assert out.columns == d.columns and sorted(r.doc_id for r in out.collect()) == list(range(300))
 
 
+CLASHES = ["block", "slot", "release", "deadline", "place", "s_", "id_", "t_", "row_", "h_", "k_", "r_", "n_", "part_", "u_", "before_"]
+
+
+def test_mixing_with_clashing_columns(spark):
+    rows = [(i, "abc"[i % 3], f"keep {i}") for i in range(600)]
+    d = spark.createDataFrame(rows, "doc_id long, source string, text string")
+    clash = d
+    for c in CLASHES:
+        clash = clash.withColumn(c, F.concat(F.lit(c), F.col("doc_id").cast("string")))
+    key = ["doc_id", *mixing.ADDED]
+    got = mixing.mix_positions(clash, block_rows=10)
+    assert sorted(got.columns) == sorted(set(clash.columns) | set(mixing.ADDED)) and len(set(got.columns)) == len(got.columns)
+    assert sorted(map(tuple, got.select(key).collect())) == sorted(map(tuple, mixing.mix_positions(d, block_rows=10).select(key).collect()))
+    assert all(r.h_ == f"h_{r.doc_id}" and r.part_ == f"part_{r.doc_id}" and r.text == f"keep {r.doc_id}" for r in got.collect())
+    out = mixing.mixed(clash)
+    assert out.columns == clash.columns
+    assert sorted(map(tuple, out.collect())) == sorted(map(tuple, clash.collect()))
+
+
+def test_mixing_of_repeated_ids_and_rows(spark):
+    rows = [(5, "a", f"t{i}") for i in range(900)] + [(None, "a", "x")] * 700 + [(5, "a", "same")] * 600 + [(i, "b", None) for i in range(500)] + [(9, None, "")] * 3
+    d = spark.createDataFrame(rows, "doc_id long, source string, text string")
+    got = mixing.mix_positions(d, {"a": 3, "b": 2}, block_rows=10, bucket_rows=20).collect()
+    assert sorted(map(str, ((r.doc_id, r.source, r.text) for r in got))) == sorted(map(str, rows))
+    assert len({(r.slot, r.place) for r in got}) == len(rows)
+    for s in ("a", "b", None):
+        at = sorted((r.block, r.place) for r in got if r.source == s)
+        assert at == [(n // 10, n % 10) for n in range(len(at))]
+
+
+def test_mixing_keeps_ties_together_by_hash_of_the_row(spark):
+    rows = [(i // 4, "a", f"t{i % 2}") for i in range(400)]
+    d = spark.createDataFrame(rows, "doc_id long, source string, text string")
+    key = lambda df: sorted((r.slot, r.place, r.doc_id, r.text) for r in df.collect())
+    assert key(mixing.mix_positions(d)) == key(mixing.mix_positions(d.orderBy(F.rand(3)).repartition(7)))
+
+
+def test_mixing_refuses_what_it_cannot_plan(spark):
+    d = spark.createDataFrame([(1, "a", "")], "doc_id long, source string, text string")
+    for w in ({"a": 0}, {"a": mixing.MOST_SLOTS + 1}):
+        with pytest.raises(ValueError):
+            mixing.mix_positions(d, w)
+
+
 # 5
 
 
