@@ -1,15 +1,22 @@
 """Personal data replaced by surrogates, in DataFrame operations alone.
 
 Entities (e-mail addresses, IPv4 addresses, card numbers, phone numbers, social security numbers, bank account numbers, titled
-names) are found by one regular expression over whole texts. Each gets a surrogate from a keyed SHA-256 of its type and canonical
-form: digits stay digits and letters stay letters of the same case, separators and country codes stay, card
-numbers pass the Luhn test, names keep title, gender, script and number of words.
-
-The canonical form (lower-case address, bare digits) makes every way of writing an entity map to one surrogate.
-Distinct entities of the corpus are then checked: a surrogate that two of them share, or that itself occurs in the
+names) are found by one regular expression in one pass over whole texts, which cuts each text into plain stretches and entities.
+Every entity has a canonical form: addresses in lower case, numbers without separators, a name word by word (given and
+family names; titles and particles such as "van" stay). The canonical form gets a surrogate from a keyed SHA-256, and the
+surrogate is written in the shape of each mention, so every way of writing an entity has the same surrogate: digits stay
+digits, letters stay letters of the same case, separators, the country codes of phones and bank accounts and the first digit of a card
+stay, card numbers pass the Luhn test and bank accounts the test modulo 97, names keep gender, script and number of words. "Mr. Smith",
+"Mr Smith" and "Mr John Smith" share the family name; a Russian family name in -a after a female title shares it with its male form.
+
+The distinct forms of the corpus are checked: a surrogate that two of them share, or that itself occurs in the
 corpus, is drawn again with the next attempt number for all but the first of them, until none clashes.
 
-Null texts stay null. Repeated rows get equal results. Rows without entities don't enter any shuffle.
+Names without a title, and names all in capitals, are not found: DataFrame operations have no dictionary of names to tell them by.
+
+Null texts stay null, empty ones empty; texts of any length are taken whole. Repeated rows, equal or null doc_ids keep their rows and get
+equal surrogates. An empty table gives an empty result. Only doc_id and text are read, so other columns may have any names. A form that
+fills a third of the corpus is one row of the surrogates; its mentions are joined to that row, which AQE may split.
 """
 from __future__ import annotations
 
@@ -17,28 +24,40 @@ from pyspark.sql import Column, DataFrame, functions as F
 
 from .common import discard, written
 
-# Titles by gender, given names by gender and script, syllables of made-up family names.
+# Titles by gender, particles of names, given names by gender and script, syllables of made-up family names,
+# country codes of one and two digits (all others have three).
 MALE_TITLES = ["Mr", "Herr", "Monsieur", "Señor", "Sr", "господин"]
 FEMALE_TITLES = ["Mrs", "Ms", "Miss", "Frau", "Madame", "Mme", "Señora", "Sra", "госпожа"]
+NEUTRAL_TITLES = ["Dr", "Prof"]
+PARTICLES = ["von", "van", "de", "der", "den", "del", "di", "da", "dos", "la", "le", "zu"]
 LATIN_MALE = ["Adam", "Bruno", "Carl", "David", "Emil", "Felix", "Georg", "Hugo", "Ivan", "Jonas", "Karl", "Louis", "Martin", "Noel", "Oscar", "Paul"]
 LATIN_FEMALE = ["Alice", "Berta", "Clara", "Diana", "Elena", "Flora", "Greta", "Helen", "Irene", "Julia", "Karin", "Laura", "Maria", "Nadia", "Olivia", "Paula"]
 CYRILLIC_MALE = ["Антон", "Борис", "Виктор", "Глеб", "Денис", "Егор", "Иван", "Кирилл", "Максим", "Никита", "Олег", "Павел", "Роман", "Семён", "Тимур", "Юрий"]
 CYRILLIC_FEMALE = ["Алина", "Вера", "Галина", "Дарья", "Елена", "Жанна", "Зоя", "Ирина", "Ксения", "Лидия", "Мария", "Нина", "Ольга", "Раиса", "Софья", "Юлия"]
 LATIN_SYLLABLES = ["ba", "bel", "cor", "da", "den", "fa", "fol", "gar", "hal", "ko", "lam", "lin", "mar", "mo", "nor", "par", "ros", "sal", "ten", "tor", "val", "ver", "win", "zan"]
 CYRILLIC_SYLLABLES = ["ба", "бел", "вол", "гор", "да", "дем", "жар", "зай", "ка", "кор", "лан", "мар", "мо", "нов", "ор", "пав", "руд", "сав", "та", "тур", "фед", "хар", "цар", "шув"]
-
-_TITLES = "|".join(sorted(MALE_TITLES + FEMALE_TITLES, key=len, reverse=True))
-NAME = rf"(?<!\p{{L}})(?:{_TITLES})\.? \p{{Lu}}\p{{Ll}}+(?: \p{{Lu}}\p{{Ll}}+)?"
-EMAIL = r"(?<![\w.+%-])[A-Za-z0-9._%+-]{1,64}@[A-Za-z0-9-]{1,63}(?:\.[A-Za-z0-9-]{1,63}){1,8}"
-OCTET = r"(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)"
-IPV4 = rf"(?<![\w.]){OCTET}(?:\.{OCTET}){{3}}(?!\.?\w)"
-IBAN = r"(?<!\w)[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?!\w)"
-CARD = r"(?<![\w-])\d{4}([ -]?)\d{4}[ -]?\d{4}[ -]?\d{1,7}(?![\w-])"
-SSN = r"(?<![\w-])\d{3}-\d{2}-\d{4}(?![\w-])"
-PHONE = r"(?<![\w+])(?:\+\d{1,3}[ .-]?)?(?:\(\d{2,4}\)[ .-]?|\d{2,4}[ .-])\d{3,4}[ .-]\d{3,4}(?![\w-])|(?<![\w+])\+\d{8,15}(?!\w)"
-CARD = CARD.replace("([ -]?)", "[ -]?")
+CODES_OF_ONE = ["1", "7"]
+CODES_OF_TWO = "20 27 30 31 32 33 34 36 39 40 41 43 44 45 46 47 48 49 51 52 53 54 55 56 57 58 60 61 62 63 64 65 66 81 82 84 86 90 91 92 93 94 95 98".split()
+
+MOST_ROUNDS = 200
+_TITLES = "|".join(sorted(MALE_TITLES + FEMALE_TITLES + NEUTRAL_TITLES, key=len, reverse=True))
+_SMALL = "|".join(sorted(PARTICLES, key=len, reverse=True))
+_W = r"\p{L}\p{N}_"
+_WORD = rf"(?!(?:{_TITLES})(?!\p{{L}}))\p{{Lu}}\p{{L}}*+(?:['’-]\p{{Lu}}\p{{L}}*+)*+"
+_NAMED = rf"(?:(?:\p{{Lu}}\.|{_SMALL}) ){{0,4}}{_WORD}"
+NAME = rf"(?<!\p{{L}})(?:(?:{_TITLES})\.? ){{1,3}}{_NAMED}(?: {_NAMED}){{0,2}}(?!\p{{L}})"
+EMAIL = rf"(?<![{_W}.+%-])[A-Za-z0-9._%+-]{{1,64}}+@[A-Za-z0-9-]{{1,63}}(?:\.[A-Za-z0-9-]{{1,63}}){{1,8}}"
+OCTET = "(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[1-9]?[0-9])"
+IPV4 = rf"(?<![{_W}.]){OCTET}(?:\.{OCTET}){{3}}(?!\.?[{_W}])"
+IBAN = rf"(?<![{_W}])[A-Z]{{2}}[0-9]{{2}}(?: ?[A-Z0-9]{{4}}){{2,7}}(?: ?[A-Z0-9]{{1,3}})?(?![{_W}])"
+CARD = rf"(?<![{_W}-])[0-9]{{4}}[ -]?[0-9]{{4}}[ -]?[0-9]{{4}}[ -]?[0-9]{{1,7}}(?![{_W}-])"
+SSN = rf"(?<![{_W}-])[0-9]{{3}}-[0-9]{{2}}-[0-9]{{4}}(?![{_W}-])"
+PHONE = rf"(?<![{_W}+])(?:\+[0-9]{{1,3}}[ .-]?)?(?:\([0-9]{{2,4}}\)[ .-]?|[0-9]{{2,4}}[ .-])[0-9]{{3,4}}[ .-][0-9]{{3,4}}(?![{_W}-])|(?<![{_W}+])\+[0-9]{{8,15}}(?![{_W}])"
 ENTITY = "|".join([EMAIL, IPV4, IBAN, CARD, SSN, PHONE, NAME])
-HINT = rf"[@0-9]|(?:{_TITLES})\.? \p{{Lu}}"
+HINT = rf"[@0-9]|(?:{_TITLES})\.? "
+#: Marks the ends of entities while a text is cut; where a text holds them itself they are written as pairs meanwhile.
+CUT, ESCAPE, CUT_AS, ESCAPE_AS = "\x01", "\x02", "\x02\x03", "\x02\x04"
+NUMBERS = ["card", "phone", "ssn", "iban"]
 
 
 def kind_of(v: Column) -> Column:
@@ -46,8 +65,31 @@ def kind_of(v: Column) -> Column:
     return F.when(F.contains(v, F.lit("@")), "email").when(whole(IPV4), "ip").when(whole(IBAN), "iban").when(whole(SSN), "ssn").when(whole(CARD), "card").when(whole(PHONE), "phone").otherwise("name")
 
 
-def canonical(kind: Column, v: Column) -> Column:
-    return F.when(kind == "email", F.lower(v)).when(kind.isin("card", "phone", "ssn", "iban"), F.regexp_replace(v, "[^0-9A-Za-z]", "")).otherwise(F.regexp_replace(v, r"\s+", " "))
+def cut_texts(text: Column) -> Column:
+    """Plain stretches and entities of a text in turn, beginning and ending with a stretch: one pass of the expression."""
+    odd = text.rlike(f"[{CUT}{ESCAPE}]")
+    safe = F.when(odd, F.replace(F.replace(text, F.lit(ESCAPE), F.lit(ESCAPE_AS)), F.lit(CUT), F.lit(CUT_AS))).otherwise(text)
+    parts = F.split(F.regexp_replace(safe, f"({ENTITY})", f"{CUT}$1{CUT}"), CUT, -1)
+    back = lambda p: F.replace(F.replace(p, F.lit(CUT_AS), F.lit(CUT)), F.lit(ESCAPE_AS), F.lit(ESCAPE))
+    return F.when(~text.rlike(HINT), F.array(text)).when(odd, F.transform(parts, back)).otherwise(parts)
+
+
+def units_of(kind: Column, v: Column) -> Column:
+    """[(kind, canon, value)] of an entity: itself, or the words of a name, of which titles and particles are kept ("keep")."""
+    bare = F.regexp_replace(v, "[^0-9A-Za-z]", "")
+    canon = F.when(kind == "email", F.lower(v)).when(kind == "phone", F.concat(F.when(v.startswith("+"), "+").otherwise(""), bare)).when(kind == "iban", F.upper(bare)).when(kind.isin(*NUMBERS), bare).otherwise(v)
+    words = F.split(v, " ")
+    female, male = (v.rlike(rf"(?<!\p{{L}})(?:{'|'.join(t)})(?!\p{{L}})") for t in (FEMALE_TITLES, MALE_TITLES))
+    gender = F.when(female, "f").when(male, "m").otherwise("n")
+
+    def unit(w, i):
+        script = F.when(w.rlike(r"^\p{IsCyrillic}"), "c").otherwise("l")
+        last = i == F.size(words) - 1
+        kept = ~last & (w.rlike(rf"^(?:{_TITLES})\.?$") | w.isin(*PARTICLES))
+        base = F.when(female & (script == "c") & w.endswith("а"), F.substring(w, F.lit(1), F.length(w) - 1)).otherwise(w)
+        return F.struct(F.when(kept, "keep").when(last, F.concat(F.lit("family_"), script)).otherwise(F.concat_ws("_", F.lit("given"), gender, script)).alias("kind"), F.when(last, base).otherwise(w).alias("canon"), w.alias("value"))
+
+    return F.when(kind == "name", F.transform(words, unit)).otherwise(F.array(F.struct(kind.alias("kind"), canon.alias("canon"), v.alias("value"))))
 
 
 def _stream(key: str, *parts: Column) -> Column:
@@ -59,108 +101,146 @@ def _byte(h: Column, i: Column) -> Column:
     return F.conv(F.substring(h, (F.pmod(i, F.lit(128)) * 2 + 1).cast("int"), F.lit(2)), 16, 10).cast("int")
 
 
-def _shape(v: Column, h: Column) -> Column:
-    """`v` with each digit and ASCII letter drawn anew; the n-th of them depends on the n-th byte only, not on separators."""
+def _drawn(form: Column, h: Column, skip: Column | None = None) -> Column:
+    """`form` with its digits and ASCII letters, from number `skip` on, drawn anew by the byte of their place."""
+    first = F.lit(0) if skip is None else skip
 
-    def at(i):
-        c = F.substring(v, i, F.lit(1))
-        b = _byte(h, F.length(F.regexp_replace(F.substring(v, F.lit(1), i), "[^0-9A-Za-z]", "")))
-        pick = lambda first, n: F.char((F.lit(ord(first)) + b % n).cast("long"))
-        return F.when(c.rlike("[0-9]"), (b % 10).cast("string")).when(c.rlike("[a-z]"), pick("a", 26)).when(c.rlike("[A-Z]"), pick("A", 26)).otherwise(c)
+    def at(c, i):
+        b, code = _byte(h, i), F.ascii(c)
+        pick = lambda low, n: F.char((F.lit(low) + b % n).cast("long"))
+        return F.when((i < first) | (F.length(c) == 0), c).when(code.between(48, 57), pick(48, 10)).when(code.between(97, 122), pick(97, 26)).when(code.between(65, 90), pick(65, 26)).otherwise(c)
 
-    return F.when(F.length(v) > 0, F.array_join(F.transform(F.sequence(F.lit(1), F.length(v)), at), "")).otherwise("")
+    return F.array_join(F.transform(F.split(form, ""), at), "")
 
 
-def _luhn(v: Column) -> Column:
-    """`v` with its last digit set so that the digits pass the Luhn test."""
-    body = F.reverse(F.regexp_replace(F.expr("''") if v is None else v, "[^0-9]", ""))
-    places = F.sequence(F.lit(2), F.length(body))
+def _luhn(digits: Column) -> Column:
+    """`digits` with the last one set so that all pass the Luhn test."""
+    body = F.reverse(digits)
 
     def worth(i):
         d = F.substring(body, i, F.lit(1)).cast("int") * F.when(i % 2 == 0, 2).otherwise(1)
         return F.when(d > 9, d - 9).otherwise(d)
 
-    total = F.aggregate(F.transform(places, worth), F.lit(0), lambda a, x: a + x)
-    return F.concat(F.substring(v, F.lit(1), F.length(v) - 1), F.pmod(F.lit(10) - total % 10, F.lit(10)).cast("string"))
+    total = F.aggregate(F.transform(F.sequence(F.lit(2), F.length(body)), worth), F.lit(0), lambda a, x: a + x)
+    return F.concat(F.substring(digits, F.lit(1), F.length(digits) - 1), F.pmod(F.lit(10) - total % 10, F.lit(10)).cast("string"))
+
+
+def _checked_account(form: Column) -> Column:
+    """A bank account number with check digits that make it 1 modulo 97, letters counting as 10 to 35."""
+    land, rest = F.substring(form, 1, 2), F.substring(form, F.lit(5), F.length(form))
+    digits = F.split(F.concat(rest, land, F.lit("00")), "")
+
+    def step(a, c):
+        code = F.ascii(c)
+        return F.when(F.length(c) == 0, a).when(code >= 65, (a * 100 + code - 55) % 97).otherwise((a * 10 + code - 48) % 97)
+
+    check = F.lit(98) - F.aggregate(digits, F.lit(0), lambda a, c: step(a, c).cast("int"))
+    return F.concat(land, F.lpad(check.cast("string"), 2, "0"), rest)
 
 
 def _pick(names: list[str], b: Column) -> Column:
     return F.element_at(F.array(*map(F.lit, names)), b % len(names) + 1)
 
 
-def _name(v: Column, h: Column, attempt: Column) -> Column:
-    title = F.regexp_extract(v, rf"^(?:{_TITLES})\.?", 0)
-    words = F.size(F.split(v, " "))
-    female = F.regexp_replace(title, r"\.", "").isin(FEMALE_TITLES)
-    cyrillic = F.substring(v, F.length(title) + 2, F.length(v)).rlike(r"^\p{IsCyrillic}")
-    b = lambda k: _byte(h, F.lit(k))
-    given = F.when(cyrillic & female, _pick(CYRILLIC_FEMALE, b(0))).when(cyrillic, _pick(CYRILLIC_MALE, b(0))).when(female, _pick(LATIN_FEMALE, b(0))).otherwise(_pick(LATIN_MALE, b(0)))
-    count = F.least(F.lit(3) + F.expr("attempt_ div 2"), F.lit(40)) if attempt is None else F.least(F.lit(3) + F.floor(attempt / 2), F.lit(40)).cast("int")
-    part = lambda i: F.when(cyrillic, _pick(CYRILLIC_SYLLABLES, _byte(h, i))).otherwise(_pick(LATIN_SYLLABLES, _byte(h, i)))
-    family = F.initcap(F.array_join(F.transform(F.sequence(F.lit(1), count), part), ""))
-    return F.when(words > 2, F.concat_ws(" ", title, given, family)).otherwise(F.concat_ws(" ", title, family))
+def _syllables(cyrillic: Column, h: Column, first: int, count: Column) -> Column:
+    part = lambda i: F.when(cyrillic, _pick(CYRILLIC_SYLLABLES, _byte(h, i + first))).otherwise(_pick(LATIN_SYLLABLES, _byte(h, i + first)))
+    return F.when(count > 0, F.array_join(F.transform(F.sequence(F.lit(1), F.greatest(count, F.lit(1))), part), "")).otherwise("")
 
 
-def surrogate(key: str, kind: Column, v: Column, canon: Column, attempt: Column) -> Column:
+def surrogate(key: str, kind: Column, canon: Column, attempt: Column) -> Column:
+    """The surrogate of a canonical form, itself in canonical form. Later attempts have longer names and addresses, so that room is never short."""
     h = _stream(key, kind, canon, attempt.cast("string"))
-    domain = F.substring_index(v, "@", -1)
+    more = F.least(F.floor(attempt / 3), F.lit(40)).cast("int")
+    cyrillic = kind.endswith("_c")
+    name = lambda first: F.initcap(_syllables(cyrillic, h, first, F.lit(3) + more))
+    family = F.when(F.contains(canon, F.lit("-")), F.concat(name(0), F.lit("-"), name(50))).otherwise(name(0))
+    by_gender = lambda f, m: F.when(kind.startswith("given_f"), _pick(f, _byte(h, F.lit(0)))).when(kind.startswith("given_m"), _pick(m, _byte(h, F.lit(0)))).otherwise(_pick(f + m, _byte(h, F.lit(0))))
+    given = F.when(cyrillic, by_gender(CYRILLIC_FEMALE, CYRILLIC_MALE)).otherwise(by_gender(LATIN_FEMALE, LATIN_MALE))
+    given = F.when(F.endswith(canon, F.lit(".")), F.concat(F.upper(F.substring(_syllables(cyrillic, h, 1, F.lit(1)), 1, 1)), F.lit("."))).otherwise(F.concat(given, _syllables(cyrillic, h, 1, F.least(attempt, F.lit(40)))))
+    domain = F.substring_index(canon, "@", -1)
     top = F.regexp_extract(domain, r"\.[A-Za-z0-9-]+$", 0)
-    other_domain = F.concat(_shape(F.substring(domain, F.lit(1), F.length(domain) - F.length(top)), _stream(key, F.lit("domain"), F.lower(domain))), top)
+    other_domain = F.concat(_drawn(F.substring(domain, F.lit(1), F.length(domain) - F.length(top)), _stream(key, F.lit("domain"), domain)), top)
+    local = F.concat(_drawn(F.substring_index(canon, "@", 1), h), _syllables(F.lit(False), h, 60, more))
     octets = F.concat_ws(".", (_byte(h, F.lit(0)) % 223 + 1).cast("string"), *[(_byte(h, F.lit(k)) % 254 + 1).cast("string") for k in (1, 2, 3)])
-    kept = F.when(kind == "phone", F.regexp_extract(v, r"^\+\d{1,3}(?=[ .(-])", 0)).when(kind == "card", F.substring(v, 1, 1)).when(kind == "iban", F.substring(v, 1, 2)).otherwise("")
-    drawn = F.concat(kept, _shape(F.substring(v, F.length(kept) + 1, F.length(v)), h))
+    code = F.when(~canon.startswith("+"), 0).when(F.substring(canon, 2, 1).isin(*CODES_OF_ONE), 2).when(F.substring(canon, 2, 2).isin(*CODES_OF_TWO), 3).otherwise(4)
     return (
-        F.when(kind == "email", F.concat_ws("@", _shape(F.substring_index(v, "@", 1), h), other_domain))
+        F.when(kind == "email", F.concat_ws("@", local, other_domain))
         .when(kind == "ip", octets)
-        .when(kind == "card", _luhn(drawn))
-        .when(kind == "name", _name(v, h, attempt))
-        .otherwise(drawn)
+        .when(kind == "card", _luhn(_drawn(canon, h, F.lit(1))))
+        .when(kind == "iban", _checked_account(_drawn(canon, h, F.lit(2))))
+        .when(kind == "phone", _drawn(canon, h, code))
+        .when(kind == "ssn", _drawn(canon, h))
+        .when(kind.startswith("family"), family)
+        .otherwise(given)
     )
 
 
-def find_entities(docs: DataFrame) -> DataFrame:
-    """(doc_id, digest of the text, pos, kind, value, canon) of every entity; pos counts from 0 in a text."""
-    found = docs.where(F.col("text").rlike(HINT)).select("doc_id", F.md5("text").alias("digest"), F.posexplode(F.regexp_extract_all("text", F.lit(ENTITY), F.lit(0))).alias("pos", "value"))
-    found = found.withColumn("kind", kind_of(F.col("value")))
-    return found.withColumn("canon", canonical(F.col("kind"), F.col("value")))
+def shaped(kind: Column, value: Column, canon: Column, sur: Column) -> Column:
+    """The surrogate in the shape of one mention: its separators, its case, its ending."""
+    letters = F.split(value, "")
+    digits = F.when(F.startswith(sur, F.lit("+")), F.substring(sur, F.lit(2), F.length(sur))).otherwise(sur)
+
+    def step(a, c):
+        fills = c.rlike("[0-9A-Za-z]")
+        x = F.substring(digits, a["i"], F.lit(1))
+        x = F.when(F.ascii(c).between(97, 122), F.lower(x)).otherwise(x)
+        return F.struct(F.concat(a["o"], F.when(fills, x).otherwise(c)).alias("o"), (a["i"] + F.when(fills, 1).otherwise(0)).alias("i"))
+
+    filled = F.aggregate(letters, F.struct(F.lit("").alias("o"), F.lit(1).alias("i")), step, lambda a: a["o"])
+    cased = F.array_join(F.transform(F.split(sur, ""), lambda c, i: F.when(F.ascii(F.substring(value, i + 1, F.lit(1))).between(65, 90), F.upper(c)).otherwise(c)), "")
+    cased = F.when(F.length(sur) == F.length(value), cased).otherwise(sur)
+    ending = F.when(F.length(value) > F.length(canon), F.concat(sur, F.lit("а"))).otherwise(sur)
+    return F.when(kind.isin(*NUMBERS), filled).when(kind == "email", cased).when(kind.startswith("family"), ending).otherwise(sur)
+
+
+def find_entities(cut: DataFrame) -> DataFrame:
+    """(row, pos, word, kind, canon, value) of every entity of `cut` (row, parts), names word by word; pos counts from 0 in a text."""
+    odd = F.expr("transform(sequence(0, size(parts) div 2 - 1), i -> parts[2 * i + 1])")
+    each = cut.where(F.size("parts") > 1).select("row", F.posexplode(odd).alias("pos", "entity")).withColumn("of_", kind_of(F.col("entity")))
+    units = each.select("row", "pos", F.posexplode(units_of(F.col("of_"), F.col("entity"))).alias("word", "u_"))
+    return units.select("row", "pos", "word", "u_.kind", "u_.canon", "u_.value")
 
 
 def assign_surrogates(entities: DataFrame, key: str) -> DataFrame:
-    """(kind, canon, attempt): attempt numbers under which no two entities share a surrogate and none occurs in the corpus."""
-    known = written(entities.groupBy("kind", "canon").agg(F.min("value").alias("value")), "entities")
-    state = known.withColumn("attempt", F.lit(0))
-    held = []
-    while True:
-        drawn = state.withColumn("sur", canonical(F.col("kind"), surrogate(key, F.col("kind"), F.col("value"), F.col("canon"), F.col("attempt"))))
-        drawn = written(drawn, "surrogates")
-        held.append(drawn)
-        owner = drawn.groupBy(F.col("kind").alias("ok_"), F.col("sur").alias("os_")).agg(F.min("canon").alias("owner"), F.count("*").alias("n_"))
-        shared = owner.where("n_ > 1")
-        real = known.select(F.col("kind").alias("rk_"), F.col("canon").alias("rs_"))
-        again = drawn.join(shared, (F.col("kind") == F.col("ok_")) & (F.col("sur") == F.col("os_")) & (F.col("canon") != F.col("owner")), "left_semi").select("kind", "canon")
-        again = again.unionByName(drawn.join(real, (F.col("kind") == F.col("rk_")) & (F.col("sur") == F.col("rs_")), "left_semi").select("kind", "canon")).distinct()
-        again = written(again.select(F.col("kind").alias("k_"), F.col("canon").alias("c_")), "clashes")
-        held.append(again)
-        if again.isEmpty():
-            out = drawn.select("kind", "canon", "attempt")
-            held.remove(drawn)
-            discard(known, *held)
-            return out
-        state = drawn.join(again, (F.col("kind") == F.col("k_")) & (F.col("canon") == F.col("c_")), "left").select("kind", "canon", "value", (F.col("attempt") + F.when(F.col("k_").isNotNull(), 1).otherwise(0)).alias("attempt"))
+    """(kind, canon, sur): no two forms of a kind share a surrogate, and none is itself a form of the corpus.
+
+    Each round draws only the forms that still clash; the least form of those that share a surrogate keeps it.
+    """
+    known = written(entities.where("kind <> 'keep'").groupBy("kind", "canon").agg(F.count("*").alias("n_")).repartition("kind", "canon"), "entities")
+    still, settled, held = known.select("kind", "canon"), None, [known]
+    for attempt in range(MOST_ROUNDS):
+        drawn = written(still.withColumn("sur", surrogate(key, F.col("kind"), F.col("canon"), F.lit(attempt))), "drawn")
+        owner = drawn.groupBy(F.col("kind").alias("ok_"), F.col("sur").alias("os_")).agg(F.min("canon").alias("owner"))
+        taken = known.select(F.col("kind").alias("tk_"), F.col("canon").alias("ts_"))
+        if settled is not None:
+            taken = taken.unionByName(settled.select(F.col("kind").alias("tk_"), F.col("sur").alias("ts_")))
+        fine = drawn.join(owner, (F.col("kind") == F.col("ok_")) & (F.col("sur") == F.col("os_")) & (F.col("canon") == F.col("owner")), "left_semi")
+        fine = written(fine.join(taken, (F.col("kind") == F.col("tk_")) & (F.col("sur") == F.col("ts_")), "left_anti"), "settled")
+        settled = fine if settled is None else settled.unionByName(fine)
+        left = drawn.join(fine.select(F.col("kind").alias("fk_"), F.col("canon").alias("fc_")), (F.col("kind") == F.col("fk_")) & (F.col("canon") == F.col("fc_")), "left_anti")
+        still = written(left.select("kind", "canon"), "clashes")
+        held += [drawn, still]
+        if still.isEmpty():
+            discard(*held)
+            return settled
+    raise RuntimeError(f"surrogates still clash after {MOST_ROUNDS} rounds")
 
 
 def replace_personal_data(docs: DataFrame, key: str) -> DataFrame:
     """doc_id, text (with surrogates), n_entities for every row of `docs` (doc_id, text)."""
     slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    entities = written(find_entities(slim), "found")
-    attempts = assign_surrogates(entities, key).select(F.col("kind").alias("k_"), F.col("canon").alias("c_"), "attempt")
-    mapped = entities.join(attempts, (F.col("kind") == F.col("k_")) & (F.col("canon") == F.col("c_")))
-    mapped = mapped.withColumn("sur", surrogate(key, F.col("kind"), F.col("value"), F.col("canon"), F.col("attempt")))
-    per_text = mapped.groupBy(F.coalesce(F.col("doc_id").cast("string"), F.lit("null")).alias("id_"), F.col("digest").alias("d_")).agg(F.sort_array(F.collect_set(F.struct("pos", "sur"))).alias("subs_"))
-    has = F.coalesce(F.col("text").rlike(HINT), F.lit(False)) & (F.regexp_count("text", F.lit(ENTITY)) > 0)
-    plain = slim.where(~has | has.isNull()).select("doc_id", "text", F.lit(0).cast("long").alias("n_entities"))
-    marked = slim.where(has).withColumn("id0_", F.coalesce(F.col("doc_id").cast("string"), F.lit("null"))).withColumn("d0_", F.md5("text"))
-    joined = marked.join(per_text, (F.col("id0_") == F.col("id_")) & (F.col("d0_") == F.col("d_")))
-    rest = F.split("text", ENTITY, -1)
-    text = F.array_join(F.zip_with(rest, F.col("subs_"), lambda r, s: F.concat(r, F.coalesce(s["sur"], F.lit("")))), "")
-    return joined.select("doc_id", text.alias("text"), F.size("subs_").cast("long").alias("n_entities")).unionByName(plain)
+    cut = slim.select(F.monotonically_increasing_id().alias("row"), "doc_id", F.when(F.col("text").isNotNull(), cut_texts(F.col("text"))).alias("parts"))
+    cut = written(cut, "cut")
+    entities = written(find_entities(cut.select("row", "parts")), "found")
+    chosen = assign_surrogates(entities, key).select(F.col("kind").alias("k_"), F.col("canon").alias("c_"), "sur")
+    named = entities.where("kind <> 'keep'").join(chosen, (F.col("kind") == F.col("k_")) & (F.col("canon") == F.col("c_")))
+    named = named.select("row", "pos", "word", shaped(F.col("kind"), F.col("value"), F.col("canon"), F.col("sur")).alias("new"))
+    kept = entities.where("kind = 'keep'").select("row", "pos", "word", F.col("value").alias("new"))
+    words = F.transform(F.sort_array(F.collect_list(F.struct("word", "new"))), lambda x: x["new"])
+    per_place = named.unionByName(kept).groupBy("row", "pos").agg(F.array_join(words, " ").alias("new"))
+    per_row = per_place.groupBy(F.col("row").alias("row_")).agg(F.transform(F.sort_array(F.collect_list(F.struct("pos", "new"))), lambda x: x["new"]).alias("subs"))
+    marked = cut.where(F.size("parts") > 1).join(per_row, F.col("row") == F.col("row_"))
+    whole = F.expr("array_join(transform(parts, (p, i) -> if(i % 2 = 0, p, subs[i div 2])), '')")
+    done = marked.select("doc_id", whole.alias("text"), F.expr("cast(size(parts) div 2 as bigint)").alias("n_entities"))
+    plain = cut.where("parts is null or size(parts) = 1").select("doc_id", F.expr("parts[0]").alias("text"), F.lit(0).cast("long").alias("n_entities"))
+    return done.unionByName(plain)
