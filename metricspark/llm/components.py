@@ -30,5 +30,7 @@ def connected_components(links: DataFrame, a: str, b: str) -> DataFrame:
         edges = stepped
         now = edges.agg(F.count("*").alias("n"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")).alias("h")).first()
         if (now.n, now.h) == mark or not now.n:
-            return edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
+            roots = edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
+            roots._written_at = edges._written_at
+            return roots
         mark = (now.n, now.h)

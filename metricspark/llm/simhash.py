@@ -124,10 +124,11 @@ def simhash_components(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
 
 # ---- groups of similar texts: bands of minima of the word shingles themselves ----
 
-BANDS, SIG = 64, 512  # powers of two
+BANDS, SIG = 40, 320  # 8 minima a band
 CELL = 256  # texts a side in a block of pairs
+STAR_ROUNDS = 2
 SIMILARITY, WORDS = 0.8, 5
-SKETCH_SCHEMA = "doc_id long, key string, codes array<long>, sig binary"
+SKETCH_SCHEMA = "doc_id long, key string, codes array<long>"
 NONE = np.iinfo(np.uint64).max
 _RNG = np.random.default_rng(11)
 _FACTORS = _RNG.integers(0, 1 << 63, SIG, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -154,24 +155,23 @@ def _filled(least: np.ndarray) -> np.ndarray:
     return least[src]
 
 
-def sketch(text: str, words_n: int = WORDS) -> tuple[str, list[int], bytes]:
-    """(digest of the words, codes of BANDS bands of the minima of SIG bins of the word shingles, one byte of each minimum)."""
+def sketch(text: str, words_n: int = WORDS) -> tuple[str, list[int]]:
+    """(digest of the words, codes of BANDS bands of the minima of SIG bins of the word shingles)."""
     words = text.encode("utf-8", "surrogatepass").lower().split()
     key = xxhash.xxh3_128_hexdigest(b" ".join(words))
     least = np.full(SIG, NONE, np.uint64)
     it = _shingles(words, words_n)
-    cut = np.uint64(64 - SIG.bit_length() + 1)  # the high bits of a hash name its bin
-    bins = np.arange(SIG, dtype=np.uint64)
+    # bin b holds the hashes from b / SIG on of their range; edges rounded up
+    edges = np.array([-(-(b << 64) // SIG) for b in range(SIG)], np.uint64)
     while part := [xxhash.xxh64_digest(s, 7) for s in islice(it, PIECE)]:
         h = np.sort(np.frombuffer(b"".join(part), ">u8").astype(np.uint64))
-        at = np.searchsorted(h, bins << cut)
+        at = np.searchsorted(h, edges)
+        ends = np.append(at[1:], len(h))
         got = h[np.minimum(at, len(h) - 1)]
-        mine = (at < len(h)) & (got >> cut == bins)
-        least = np.where(mine, np.minimum(least, got), least)
-    empty = least == NONE
-    codes = [] if empty.all() else (_filled(least) * _FACTORS).reshape(BANDS, -1).sum(axis=1).view(np.int64).tolist()
-    sig = np.where(empty, 0, 1 + (least >> np.uint64(8)) % np.uint64(255)).astype(np.uint8).tobytes()
-    return key, codes, sig
+        least = np.where(at < ends, np.minimum(least, got), least)
+    if (least == NONE).all():
+        return key, []
+    return key, (_filled(least) * _FACTORS).reshape(BANDS, -1).sum(axis=1).view(np.int64).tolist()
 
 
 def _sketches(words_n: int):
@@ -180,31 +180,15 @@ def _sketches(words_n: int):
             ids, col = batch.column(0).to_pylist(), batch.column(1)
             for at in range(0, len(ids), 1000):
                 got = [sketch(col[k].as_py(), words_n) for k in range(at, min(at + 1000, len(ids)))]
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(got)), pa.array([g[0] for g in got]), pa.array([g[1] for g in got], pa.list_(pa.int64())), pa.array([g[2] for g in got], pa.binary())], names=["doc_id", "key", "codes", "sig"])
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(got)), pa.array([g[0] for g in got]), pa.array([g[1] for g in got], pa.list_(pa.int64()))], names=["doc_id", "key", "codes"])
 
     return run
 
 
-def _maybe_similar(least: float):
-    """Drops pairs whose estimate is 6 standard errors or more under `least`; which pairs are links is told by `_similar`."""
-
-    def run(batches):
-        for batch in batches:
-            a, b = (np.frombuffer(b"".join(batch.column(k).to_pylist()), np.uint8).reshape(-1, SIG) for k in (2, 3))
-            either = np.maximum(((a > 0) | (b > 0)).sum(axis=1), 1)
-            same = ((a == b) & (a > 0)).sum(axis=1)
-            chance = 1 / 255
-            share = (same / either - chance) / (1 - chance)
-            clear = least - 6 * np.sqrt(0.25 / either)
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["rep", "hub"]).filter(pa.array(share >= clear))
-
-    return run
-
-
-def shingle_set(text: str, words_n: int = WORDS) -> bytes:
+def shingle_set(text: str, words_n: int = WORDS) -> np.ndarray:
     """The sorted distinct 64-bit hashes of the word shingles."""
     words = text.encode("utf-8", "surrogatepass").lower().split()
-    return np.unique(np.frombuffer(b"".join([xxhash.xxh64_digest(s, 7) for s in _shingles(words, words_n)]), ">u8").astype(np.uint64)).tobytes()
+    return np.unique(np.frombuffer(b"".join([xxhash.xxh64_digest(s, 7) for s in _shingles(words, words_n)]), ">i8").astype(np.int64))
 
 
 def _shingle_sets(words_n: int):
@@ -213,7 +197,8 @@ def _shingle_sets(words_n: int):
             col = batch.column(1)
             for at in range(0, batch.num_rows, 100):
                 part = batch.column(0).slice(at, 100)
-                yield pa.RecordBatch.from_arrays([part, pa.array([shingle_set(col[k].as_py(), words_n) for k in range(at, at + len(part))], pa.binary())], names=["doc_id", "has"])
+                sets = [shingle_set(col[k].as_py(), words_n) for k in range(at, at + len(part))]
+                yield pa.RecordBatch.from_arrays([part, pa.array(sets, pa.list_(pa.int64()))], names=["doc_id", "has"])
 
     return run
 
@@ -221,9 +206,10 @@ def _shingle_sets(words_n: int):
 def _similar(least: float):
     def run(batches):
         for batch in batches:
+            (fa, ea), (fb, eb) = ((c.flatten().to_numpy(), np.concatenate([[0], np.cumsum(c.value_lengths().to_numpy(zero_copy_only=False))])) for c in (batch.column(2), batch.column(3)))
             ok = []
             for k in range(batch.num_rows):
-                a, b = (np.frombuffer(batch.column(c)[k].as_buffer(), np.uint64) for c in (2, 3))
+                a, b = fa[ea[k] : ea[k + 1]], fb[eb[k] : eb[k + 1]]
                 both = len(np.intersect1d(a, b, assume_unique=True))
                 ok.append(both >= least * (len(a) + len(b) - both) - 1e-9)
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["a", "b"]).filter(pa.array(ok, pa.bool_()))
@@ -232,65 +218,120 @@ def _similar(least: float):
 
 
 def shared_codes(codes: DataFrame) -> DataFrame:
-    """(code, rep, n_, hub) of `codes` (rep, code) where n_ > 1 texts have the code; hub is the smallest of them."""
-    many = codes.groupBy("code").agg(F.count("*").alias("n_"), F.min("rep").alias("hub")).where("n_ > 1")
+    """(code, rep, n_) of `codes` (rep, code) where n_ > 1 texts have the code."""
+    many = codes.groupBy("code").agg(F.count("*").alias("n_")).where("n_ > 1")
     return codes.join(many, "code")
 
 
-def hub_pairs(shared: DataFrame) -> DataFrame:
-    """Distinct (rep, hub): each text of a code with the smallest one."""
-    return shared.where("rep <> hub").select("rep", "hub").distinct()
+def weighted(shared: DataFrame) -> DataFrame:
+    """`shared` with w_, the texts met at all codes of the text: the original of many copies meets more than any copy does."""
+    w = shared.groupBy(F.col("rep").alias("wr_")).agg(F.sum(F.col("n_") - 1).alias("w_"))
+    return shared.join(w, F.col("rep") == F.col("wr_")).drop("wr_")
 
 
-def other_pairs(shared: DataFrame, roots: DataFrame) -> DataFrame:
-    """Distinct (rep, hub), rep > hub: all pairs with a code in common that `roots` (node, root) don't connect.
+def open_members(shared: DataFrame, roots: DataFrame | None) -> DataFrame:
+    """`shared` with of_, the component by `roots` (node, root), at codes where components differ."""
+    if roots is None:
+        return shared.withColumn("of_", F.col("rep"))
+    member = shared.join(roots, F.col("rep") == F.col("node"), "left").withColumn("of_", F.coalesce("root", "rep")).drop("node", "root")
+    mixed = member.groupBy("code").agg(F.min("of_").alias("lo_"), F.max("of_").alias("hi_")).where("lo_ <> hi_").select("code")
+    return member.join(mixed, "code", "left_semi")
 
-    A code of many texts is cut into CELL^2 blocks of pairs, so no task gets all of its pairs.
+
+def star_pairs(member: DataFrame, tried: DataFrame | None) -> DataFrame:
+    """(rep, hub), one a text at most: each with the weightiest text of its codes, if that is in another component and wasn't tried."""
+    hub = member.groupBy("code").agg(F.max(F.struct("w_", (-F.col("rep")).alias("minus"), F.col("of_").alias("at_"))).alias("h_"))
+    met = member.join(hub, "code").where((F.col("of_") != F.col("h_.at_")) & (F.col("rep") != -F.col("h_.minus"))).select("rep", F.col("h_.w_").alias("w_"), F.col("h_.minus").alias("minus"))
+    if tried is not None:
+        met = met.join(tried.select(F.col("rep").alias("tr_"), F.col("hub").alias("th_")), (F.col("rep") == F.col("tr_")) & (F.col("minus") == -F.col("th_")), "left_anti")
+    best = met.groupBy("rep").agg(F.max(F.struct("w_", "minus")).alias("b_"))
+    return best.select("rep", (-F.col("b_.minus")).alias("hub"))
+
+
+def sizes_of(sets: DataFrame, member: DataFrame) -> DataFrame:
+    """(s_, size, common) of the texts of `member`: how many shingles, and how many of these any other of the texts has."""
+    mine = sets.join(member.select(F.col("rep").alias("m_")).distinct(), F.col("doc_id") == F.col("m_"), "left_semi")
+    each = mine.select("doc_id", F.explode("has").alias("s"))
+    only = each.groupBy("s").agg(F.count("*").alias("n"), F.min("doc_id").alias("doc")).where("n = 1").groupBy("doc").agg(F.count("*").alias("own"))
+    total = mine.groupBy(F.col("doc_id").alias("s_")).agg(F.max(F.size("has")).alias("size"))
+    return total.join(only, F.col("s_") == F.col("doc"), "left").select("s_", "size", (F.col("size") - F.coalesce("own", F.lit(0))).alias("common"))
+
+
+def other_pairs(member: DataFrame, sizes: DataFrame, least: float) -> DataFrame:
+    """Distinct (rep, hub), rep > hub: all pairs of `member` with a code in common and in different components that can be similar.
+
+    Two texts have at most the lesser of their common shingles together, so their similarity has the bound c / (size + size - c). A code of many
+    texts is cut into CELL^2 blocks of pairs, so no task gets all of its pairs.
     """
-    member = shared.join(roots, F.col("rep") == F.col("node"), "left").select("code", "rep", "n_", F.coalesce("root", "rep").alias("of_"))
-    mixed = member.groupBy("code").agg(F.min("of_").alias("lo_"), F.max("of_").alias("hi_")).where("lo_ <> hi_").select("code")
     parts = F.ceil(F.col("n_") / CELL).cast("int")
-    member = written(member.join(mixed, "code", "left_semi").withColumn("at", F.pmod(F.xxhash64("rep"), parts).cast("int")), "open-members")
-    low = member.select("code", "rep", "of_", F.col("at").alias("i"), F.explode(F.sequence("at", parts - 1)).alias("j"))
-    high = member.select(F.col("code").alias("c_"), F.col("rep").alias("hub"), F.col("of_").alias("with_"), F.col("at").alias("j_"), F.explode(F.sequence(F.lit(0), "at")).alias("i_"))
-    met = low.join(high, (F.col("code") == F.col("c_")) & (F.col("i") == F.col("i_")) & (F.col("j") == F.col("j_")) & (F.col("of_") != F.col("with_")) & ((F.col("i") < F.col("j")) | (F.col("rep") < F.col("hub"))))
+    member = member.join(sizes, F.col("rep") == F.col("s_")).where(F.col("common") >= least * F.col("size") - 1e-9)
+    member = written(member.withColumn("at", F.pmod(F.xxhash64("rep"), parts).cast("int")), "open-members")
+    low = member.select("code", "rep", "of_", "size", "common", F.col("at").alias("i"), F.explode(F.sequence("at", parts - 1)).alias("j"))
+    high = member.select(F.col("code").alias("c_"), F.col("rep").alias("hub"), F.col("of_").alias("with_"), F.col("size").alias("z_"), F.col("common").alias("k_"), F.col("at").alias("j_"), F.explode(F.sequence(F.lit(0), "at")).alias("i_"))
+    same = F.least("common", "k_")
+    can = same >= least * (F.col("size") + F.col("z_") - same) - 1e-9
+    met = low.join(high, (F.col("code") == F.col("c_")) & (F.col("i") == F.col("i_")) & (F.col("j") == F.col("j_")) & (F.col("of_") != F.col("with_")) & ((F.col("i") < F.col("j")) | (F.col("rep") < F.col("hub"))) & can)
     return met.select(F.greatest("rep", "hub").alias("rep"), F.least("rep", "hub").alias("hub")).distinct()
 
 
 def similar_groups(docs: DataFrame, similarity: float = SIMILARITY, words_n: int = WORDS) -> DataFrame:
     """(doc_id, component_id) of every row: components over pairs whose `words_n`-word shingles have the similarity.
 
-    Candidates: texts that agree on one of 64 bands of 8 minima of the shingles. A minimum agrees with the Jaccard
-    similarity J, whatever the edit, so a pair is missed with about (1 - J^8)^64: 8e-6 at 0.8, less above. First each
-    text is compared with the smallest one of its codes, then all pairs of a code that this left unconnected. One byte
-    of each minimum rejects clear misses only; the other pairs are verified by the exact Jaccard similarity of their
-    sets of hashed shingles. Texts of equal words are one.
+    Candidates: texts that agree on one of 40 bands of 8 minima of the shingles. A minimum agrees with the Jaccard
+    similarity J, whatever the edit, so a pair is missed with about (1 - J^8)^40: 6e-4 at 0.8, less above. First each
+    text is compared with the weightiest one of its codes, which joins the copies of an original in linear work, then
+    all pairs of a code that this left unconnected and that may still be similar. Every pair is verified by the exact
+    Jaccard similarity of the sets of hashed shingles. Texts of equal words are one, and rows of one doc_id are one document.
+
+    Null and empty texts have no shingles and are alike by their equal (empty) words. Rows with a null doc_id have a component
+    only by their words; it is null if no row of these has a doc_id. An empty table gives an empty result.
     """
     made = written(text_batches(docs, _sketches(words_n), SKETCH_SCHEMA), "sketches")
-    one = made.groupBy("key").agg(F.min("doc_id").alias("rep"), F.first("codes").alias("codes"), F.first("sig").alias("sig")).where("rep is not null")
-    one = written(one, "distinct-sketches")  # so that the last join deals its own partitions, which AQE may split
-    shared = written(shared_codes(one.select("rep", F.explode("codes").alias("code")).distinct()), "shared-codes")
-    sigs = one.select("rep", "sig")
+    one = written(made.groupBy("key").agg(F.min("doc_id").alias("rep"), F.first("codes").alias("codes")).where("rep is not null"), "distinct-sketches")
+    rows, reps = written(made.select("doc_id", "key"), "keys"), written(one.select("key", "rep"), "reps")
+    discard(made)
+    shared = written(weighted(shared_codes(one.select("rep", F.explode(F.array_distinct("codes")).alias("code")))), "shared-codes")
+    discard(one)
+    ids = shared.select(F.col("rep").alias("asked_")).distinct()
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    texts = texts.join(ids, F.col("doc_id") == F.col("asked_"), "left_semi")
+    sets = written(text_batches(texts, _shingle_sets(words_n), "doc_id long, has array<long>").dropDuplicates(), "shingle-sets")
+    held = [shared, sets]
 
     def verified(pairs):
-        with_sigs = pairs.join(sigs.select(F.col("rep").alias("r1"), F.col("sig").alias("s1")), F.col("rep") == F.col("r1")).join(sigs.select(F.col("rep").alias("r2"), F.col("sig").alias("s2")), F.col("hub") == F.col("r2"))
-        maybe = written(with_sigs.select("rep", "hub", "s1", "s2").mapInArrow(_maybe_similar(similarity), "rep long, hub long"), "maybe-similar")
-        asked = maybe.select("rep").union(maybe.select("hub")).distinct().withColumnRenamed("rep", "asked_")
-        texts = docs.join(asked, docs["doc_id"] == F.col("asked_"), "left_semi")
-        sets = written(text_batches(texts, _shingle_sets(words_n), "doc_id long, has binary").dropDuplicates(), "shingle-sets")
-        both = maybe.join(sets.select(F.col("doc_id").alias("r1"), F.col("has").alias("s1")), F.col("rep") == F.col("r1")).join(sets.select(F.col("doc_id").alias("r2"), F.col("has").alias("s2")), F.col("hub") == F.col("r2"))
-        return both.select("rep", "hub", "s1", "s2").mapInArrow(_similar(similarity), "a long, b long")
-
-    tried = written(hub_pairs(shared), "hub-pairs")
-    links = written(verified(tried), "hub-links")
-    rest = other_pairs(shared, connected_components(links, "a", "b")).join(tried, ["rep", "hub"], "left_anti")
-    roots = connected_components(links.unionByName(verified(rest)), "a", "b")
-    of_rep = one.select("key", "rep").join(roots, F.col("rep") == F.col("node"), "left").select(F.col("key").alias("k_"), F.coalesce("root", "rep").alias("component_id"))
-    return made.select("doc_id", "key").join(of_rep, F.col("key") == F.col("k_"), "left").select("doc_id", "component_id")
+        a, b = (sets.select(F.col("doc_id").alias(f"r{k}"), F.col("has").alias(f"s{k}")) for k in (1, 2))
+        both = pairs.join(a, F.col("rep") == F.col("r1")).join(b, F.col("hub") == F.col("r2"))
+        found = written(both.select("rep", "hub", "s1", "s2").mapInArrow(_similar(similarity), "a long, b long"), "similar-pairs")
+        held.append(found)
+        return found
+
+    links = tried = roots = None
+    for _ in range(STAR_ROUNDS):
+        member = open_members(shared, roots)
+        pairs = written(star_pairs(member, tried), "star-pairs")
+        held.append(pairs)
+        tried = pairs if tried is None else tried.unionByName(pairs)
+        found = verified(pairs)
+        links = found if links is None else links.unionByName(found)
+        if roots is not None:
+            held.append(roots)
+        roots = connected_components(links, "a", "b")
+    member = written(open_members(shared, roots), "mixed-codes")
+    rest = other_pairs(member, sizes_of(sets, member), similarity)
+    both_ways = tried.unionByName(tried.select(F.col("hub").alias("rep"), F.col("rep").alias("hub")))
+    found = verified(rest.join(both_ways, ["rep", "hub"], "left_anti"))
+    held += [member, roots]
+    roots = connected_components(links.unionByName(found), "a", "b")
+    of_rep = reps.join(roots, F.col("rep") == F.col("node"), "left").select(F.col("key").alias("k_"), F.coalesce("root", "rep").alias("component_id"))
+    out = written(rows.join(of_rep, F.col("key") == F.col("k_"), "left").select("doc_id", "component_id"), "groups")
+    discard(*held, roots, rows, reps)
+    return out
 
 
 def keep_one_of_each(docs: DataFrame, similarity: float = SIMILARITY, words_n: int = WORDS) -> DataFrame:
     """`docs`, all columns, with the row of the smallest doc_id of each group; rows with a null doc_id stay."""
     groups = similar_groups(docs, similarity, words_n)
     out = groups.where("doc_id is not null and doc_id <> component_id").select(F.col("doc_id").alias("dropped_")).distinct()
-    return docs.join(out, docs["doc_id"] == F.col("dropped_"), "left_anti")
+    kept = docs.withColumnRenamed("dropped_", "dropped__") if "dropped_" in docs.columns else docs
+    kept = kept.join(out, kept["doc_id"].cast("long") == out["dropped_"], "left_anti")
+    return kept.withColumnRenamed("dropped__", "dropped_") if "dropped_" in docs.columns else kept

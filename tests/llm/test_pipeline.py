@@ -1,6 +1,7 @@
 """The pipeline's stages, each on its own input, against brute-force versions."""
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 import corpus_pipeline
 from metricspark.llm import queries, simhash
@@ -34,17 +35,23 @@ def test_toxicity_stage(stages, spark, sf):
 
 
 def test_near_duplicate_stage(stages):
+    """Exactly the components over all pairs at 0.8 or more, by brute force."""
     _, before, after = stages[1]
     rows = {r.doc_id: r.text.lower().split() for r in before.collect()}
     sh = {i: {tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))} for i, w in rows.items()}
     kept = ids(after)
     order = sorted(rows)
     like = lambda a, b: len(sh[a] & sh[b]) / len(sh[a] | sh[b]) if sh[a] | sh[b] else 1.0
-    pairs = [(a, b) for n, a in enumerate(order) for b in order[n + 1 :] if like(a, b) >= 0.85]
-    caught = [not (a in kept and b in kept) for a, b in pairs]
-    assert np.mean(caught) > 0.9
-    for i in set(rows) - kept:
-        assert max(like(i, j) for j in rows if j != i) > 0.7
+    pairs = [(a, b) for n, a in enumerate(order) for b in order[n + 1 :] if like(a, b) >= 0.8]
+    root = {i: i for i in order}
+
+    def find(i):
+        return i if root[i] == i else find(root[i])
+
+    for a, b in pairs:
+        a, b = sorted((find(a), find(b)))
+        root[b] = a
+    assert len(pairs) > 10 and kept == {i for i in order if find(i) == i}
 
 
 def test_decontamination_stage(stages, spark, sf):
@@ -86,8 +93,10 @@ def test_candidates_of_appended_and_truncated_copies(spark):
         assert jaccard(base, copy) == pytest.approx(0.8)
         texts += [base, copy]
     rows = [(i, c) for i, t in enumerate(texts) for c in simhash.sketch(" ".join(t))[1]]
-    got = {tuple(sorted(r)) for r in simhash.hub_pairs(simhash.shared_codes(spark.createDataFrame(rows, "rep long, code long"))).collect()}
-    assert got == {(i, i + 1) for i in range(0, 400, 2)}
+    shared = simhash.shared_codes(spark.createDataFrame(rows, "rep long, code long").distinct())
+    got = {tuple(sorted((r.rep, r.hub))) for r in simhash.star_pairs(simhash.open_members(simhash.weighted(shared), None), None).collect()}
+    want = {(i, i + 1) for i in range(0, 400, 2)}
+    assert got <= want and len(got) >= 199  # a pair at 0.8 is missed with 6e-4
 
 
 def test_pairs_behind_unlike_texts(spark, monkeypatch):
@@ -101,6 +110,36 @@ def test_pairs_behind_unlike_texts(spark, monkeypatch):
     assert {r.doc_id: r.component_id for r in got} == {i: min(i, 300) for i in range(302)}
 
 
+def test_a_row_more_loses_no_link(spark):
+    rng = np.random.default_rng(9)
+    words = word_run(rng, 300)
+    mixed = list(rng.permutation(words))
+    rows = [(1, " ".join(mixed)), (2, " ".join(words)), (3, " ".join([*words, "more"]))]
+    for part in (rows, rows[1:]):
+        got = {r.doc_id: r.component_id for r in simhash.similar_groups(spark.createDataFrame(part, "doc_id long, text string")).collect()}
+        assert got[2] == got[3] == 2 and got.get(1, 1) == 1
+
+
+def test_star_of_copies_needs_no_square_of_pairs(spark):
+    """Copies of one original that are unlike each other, some of them unlike the original as well."""
+    rng, rows = np.random.default_rng(12), []
+    base = word_run(rng, 400)
+    rows.append((500, " ".join(base)))
+    for i in range(300):
+        copy = list(base)
+        for at in rng.choice(80, 7 if i % 3 else 12, replace=False):
+            copy[at * 5] = f"x{rng.integers(0, 1 << 40)}"
+        rows.append((i if i < 150 else 600 + i, " ".join(copy)))
+    text = {i: t.split() for i, t in rows}
+    want = {i for i in text if jaccard(text[i], base) >= 0.8}
+    assert 150 < len(want) < 290
+    d = spark.createDataFrame(rows, "doc_id long, text string").withColumn("dropped_", F.lit("clash"))
+    got = {r.doc_id: r.component_id for r in simhash.similar_groups(d).collect()}
+    assert {i for i in got if got[i] == min(want)} == want and all(got[i] == i for i in set(got) - want)
+    kept = simhash.keep_one_of_each(d)
+    assert kept.columns == d.columns and kept.count() == len(set(got.values()))
+
+
 def test_similarity_is_exact(spark):
     rng, texts, want = np.random.default_rng(6), [], {}
     for n in range(120):
