@@ -42,12 +42,16 @@ def fold(doc_id: Column, n: int) -> Column:
 
 
 BATCH_ROWS = 2000
+BATCH_BYTES = 64 << 20
 
 
 def small_batches(spark: SparkSession) -> None:
-    """At most BATCH_ROWS texts in an Arrow batch (a runtime setting): both sides of the pipe hold whole batches."""
+    """At most BATCH_ROWS texts and about BATCH_BYTES in an Arrow batch (runtime settings): both sides of the pipe hold whole batches."""
     if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > BATCH_ROWS:
         spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
+    limit = spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch")
+    if not limit.isdigit() or int(limit) > BATCH_BYTES:
+        spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
 
 
 def text_batches(df: DataFrame, fn, schema: str) -> DataFrame:
@@ -56,11 +60,11 @@ def text_batches(df: DataFrame, fn, schema: str) -> DataFrame:
     return df.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).mapInArrow(fn, schema)
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, target: str, folds: int, out_fold: int, per_class: dict[int, int], max_chars: int) -> list[tuple[str, int]]:
-    """At most `per_class[c]` (text, label) pairs of each class, chosen by hash from rows outside the held-out fold.
+def labelled_documents(docs: DataFrame, labels: DataFrame, target: str, folds: int, out_fold: int, per_class: dict[int, int]) -> DataFrame:
+    """(doc_id, text, y), written: at most `per_class[c]` documents of each class, chosen by hash from rows outside the held-out fold.
 
     This is the only place where a classifier sees fewer rows than there are; the bounds are parameters of the
-    callers. Texts over `max_chars` are not sampled, so the driver's share has a bound in bytes as well.
+    callers. Texts are whole, of any length. Of rows of one doc_id the least text stands; of several labels the greatest.
     """
     known = labels.where(F.col(target).isNotNull() & F.col("doc_id").isNotNull()).select(F.col("doc_id").cast("long").alias("doc_id"), F.col(target).cast("int").alias("y")).where(fold(F.col("doc_id"), folds) != out_fold)
     known = known.groupBy("doc_id").agg(F.max("y").alias("y"))
@@ -68,6 +72,6 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, target: str, folds: int,
     for y, n in per_class.items():
         part = known.where(F.col("y") == y).orderBy(F.xxhash64("doc_id"), "doc_id").limit(n)
         picked = part if picked is None else picked.unionByName(part)
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).where(F.length("text") <= max_chars)
-    rows = texts.join(F.broadcast(picked), "doc_id").orderBy(F.xxhash64("doc_id"), "doc_id", "text").select("text", "y").collect()
-    return [(r.text, r.y) for r in rows]
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
+    # `picked` has at most sum(per_class) rows of two numbers
+    return written(texts.join(F.broadcast(picked), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"), F.max("y").alias("y")), "labelled")

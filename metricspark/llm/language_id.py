@@ -4,11 +4,17 @@ Each language has a raw-content zstandard dictionary made of sampled training te
 of it, and each block is compressed with every language's dictionary; the language with the fewest bytes in all
 wins. The score is the relative margin to the runner-up, scaled to 0..1; a narrow margin marks the row as rejected.
 
-Texts that are null or have no letter are `und` with score 0. Ties go to the alphabetically first language.
-With no training text at all every row is `und`.
+The slices come from hash-chosen places of hash-chosen documents, so that openings that many documents share teach no more
+than any other place. With very many languages the dictionaries get smaller together, so that all of them stay under TOTAL_BYTES.
+
+Texts that are null or have no letter are `und` with score 0. Ties go to the alphabetically first language. Texts of any length are
+compressed whole, block by block. Repeated rows keep their rows and get equal results; a null doc_id is in no fold. An empty
+table gives an empty result, and with no training text at all every row is `und`. Only doc_id, text and, in training,
+lang are read, so other columns may have any names.
 """
 from __future__ import annotations
 
+import json
 import re
 import zlib
 
@@ -19,25 +25,45 @@ from pyspark.sql import DataFrame, Window, functions as F
 from .common import fold, text_batches
 
 DICT_BYTES = 48_000  # per language
-SAMPLE_DOCS = 400  # per language; with DICT_BYTES the bound of what training collects
+TOTAL_BYTES = 24_000_000  # of all dictionaries: what the driver collects and tasks hold
+LEAST_BYTES = 1000  # a dictionary under this tells nothing
+SAMPLE_DOCS = 200  # documents per language; with DICT_BYTES the bound of what training collects
 BLOCK_CHARS = 4_000
 PARAMETERS = dict(strategy=zstandard.STRATEGY_BTOPT, min_match=3, search_log=4, chain_log=16, hash_log=16, window_log=18)  # short matches tell languages apart
 REJECT_MARGIN = 0.02
-MOST_LANGUAGES = 500
 
 
 def fit_dictionaries(docs: DataFrame, folds: int = 4, out_fold: int = 2, sample_docs: int = SAMPLE_DOCS, dict_bytes: int = DICT_BYTES) -> dict[str, bytes]:
-    """Per language, slices of up to `sample_docs` hash-chosen documents outside fold `out_fold`, `dict_bytes` in all."""
-    known = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & (fold(F.col("doc_id"), folds) != out_fold)).select(F.col("lang").cast("string").alias("lang"), F.xxhash64("doc_id").alias("h"), F.substring("text", 1, 4 * dict_bytes // sample_docs * 4).alias("part"))
-    kept = known.withColumn("lane", F.pmod("h", F.lit(64)))
-    for keys, n in ((["lang", "lane"], sample_docs), (["lang"], sample_docs)):
-        kept = kept.withColumn("r", F.row_number().over(Window.partitionBy(*keys).orderBy("h", "part"))).where(F.col("r") <= n).drop("r")
+    """Per language, slices of the `sample_docs` documents of smallest hash outside fold `out_fold`, `dict_bytes` in all.
+
+    A first count tells which share of a language's hashes holds that many, so that only a few more than needed are ranked.
+    """
+    known = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & (fold(F.col("doc_id"), folds) != out_fold))
+    known = known.select(F.col("lang").cast("string").alias("lang"), F.xxhash64("doc_id").alias("h"), F.col("text").cast("string").alias("text"))
+    counts = docs.where(F.col("lang").isNotNull() & (fold(F.col("doc_id"), folds) != out_fold)).groupBy(F.col("lang").cast("string").alias("lang")).agg(F.approx_count_distinct("doc_id").alias("n"))
+    counts = {r.lang: max(1, r.n) for r in counts.limit(TOTAL_BYTES // LEAST_BYTES + 1).collect()}  # one row a language
+    if not counts:
+        return {}
+    if len(counts) > TOTAL_BYTES // LEAST_BYTES:
+        raise ValueError(f"more than {TOTAL_BYTES // LEAST_BYTES} languages")
+    dict_bytes = min(dict_bytes, TOTAL_BYTES // len(counts))
+    slice_chars = 4 * max(1, dict_bytes // sample_docs)  # what stays after signs and digits are gone is cut to size below
+    places = 1 << 30
+    share = 1.3 * (sample_docs + 6 * sample_docs**0.5 + 10) * places  # the count is off by up to a few times 5 %
+    table = spark_rows(docs.sparkSession, [{"l_": k, "most_": min(places, int(share / n) + 1)} for k, n in counts.items()], "array<struct<l_:string,most_:bigint>>")
+    near = known.join(F.broadcast(table), F.col("lang") == F.col("l_")).where(F.pmod(F.col("h"), F.lit(places)) < F.col("most_"))  # a row a language
+    start = F.pmod(F.xxhash64("h", F.lit(1)), F.greatest(F.length("text") - slice_chars, F.lit(1))) + 1
+    part = F.substring(F.col("text"), start.cast("int"), F.lit(slice_chars))
+    near = near.groupBy("lang", "h").agg(F.min(part).alias("part"))
+    ranked = near.withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy(F.pmod(F.col("h"), F.lit(places)), "h"))).where(F.col("r") <= sample_docs)
     langs: dict[str, list[bytes]] = {}
-    for row in kept.select("lang", "h", "part").orderBy("lang", "h", "part").toLocalIterator():
-        if len(langs) >= MOST_LANGUAGES and row.lang not in langs:
-            raise ValueError(f"more than {MOST_LANGUAGES} languages")
+    for row in ranked.orderBy("lang", "r").select("lang", "part").collect():  # slices of TOTAL_BYTES characters or so
         langs.setdefault(row.lang, []).append(plain(row.part).encode("utf-8", "surrogatepass"))
-    return {k: b"".join(x[: max(200, dict_bytes // len(v))] for x in v)[:dict_bytes] for k, v in sorted(langs.items())}
+    return {k: b"".join(x[: max(1, dict_bytes // len(v))] for x in v) for k, v in sorted(langs.items())}
+
+
+def spark_rows(spark, rows: list[dict], kind: str) -> DataFrame:
+    return spark.range(1).select(F.explode(F.from_json(F.lit(json.dumps(rows)), kind)).alias("x")).select("x.*")
 
 
 words_of = re.compile(r"[^\W\d_]+").findall

@@ -1,10 +1,13 @@
 """Quality classifier: histogram gradient-boosted trees over document statistics.
 
-Statistics come from whole texts, many at once, out of the Arrow buffer. Training (on the driver, from a bounded
-sample) bins every statistic and grows small trees on gradient histograms with the logistic loss. The trees are
+Statistics come from whole texts, on the executors; of the bounded sample of labelled rows only they reach the driver, where
+training bins every statistic and grows small trees on gradient histograms with the logistic loss. The trees are
 flattened into arrays (feature, threshold, children, value) that numpy walks for all rows and trees together.
 
-Null and empty texts have all-zero statistics and get the score that the trees give these.
+Null and empty texts have all-zero statistics and get the score that the trees give these. Texts of any length are taken whole. Rows
+of equal text have equal scores, repeated rows keep their rows, and a null doc_id is in no fold. Equal statistics never part in a
+tree (a cut is "at most"). An empty table gives an empty result; without labels of both classes every score is the share of positives
+(0.5 without any). Only doc_id and text are read, so other columns may have any names.
 """
 from __future__ import annotations
 
@@ -14,10 +17,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import text_batches
+from .common import small_batches, text_batches
 
 PER_CLASS = {0: 3000, 1: 5000}  # most labelled documents of each class that training sees
-MAX_CHARS = 200_000
 TREES, DEPTH, RATE, BINS, LEAST_ROWS, L2 = 60, 4, 0.15, 64, 20, 1.0
 FEATURES = ["bytes", "words", "mean_word", "upper", "lower", "digit", "space", "lines", "ascii_symbol", "stop_punct", "other", "high", "distinct_words", "distinct_lines", "longest_word", "top_word", "mean_line", "distinct_trigrams"]
 
@@ -121,6 +123,21 @@ def fit_forest(x: np.ndarray, y: np.ndarray, trees: int = TREES, depth: int = DE
     return Forest(base, feature, cut, left, value, depth)
 
 
+def _measured(batches):
+    for batch in batches:
+        col = batch.column(1)
+        rows = statistics([col[k].as_py() or "" for k in range(batch.num_rows)])
+        yield pa.RecordBatch.from_arrays([batch.column(2), pa.array(list(rows), pa.list_(pa.float64()))], names=["y", "x"])
+
+
+def fit_quality(labelled: DataFrame, **options) -> Forest:
+    """A forest from (doc_id, text, y): the statistics are made on the executors, and one short row a document is collected."""
+    small_batches(labelled.sparkSession)
+    rows = labelled.select("doc_id", "text", "y").repartition(64, "doc_id").mapInArrow(_measured, "y int, x array<double>").collect()
+    rows.sort(key=lambda r: (r.y, r.x))
+    return fit_forest(np.array([r.x for r in rows], float).reshape(len(rows), len(FEATURES)), np.array([r.y for r in rows], float), **options)
+
+
 def _predict(forest: Forest, folds: int, out_fold: int, cut: float):
     def run(batches):
         for batch in batches:

@@ -3,17 +3,17 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from .common import labelled_sample, table
+from .common import discard, labelled_documents, table
 from .decontaminate import contaminated_spans
 from .language_id import fit_dictionaries, identify_language
 from .mixing import mix_positions
 from .pii import replace_personal_data
-from .quality import MAX_CHARS as QUALITY_CHARS, PER_CLASS as QUALITY_ROWS, fit_forest, score_quality, statistics
+from .quality import PER_CLASS as QUALITY_ROWS, fit_quality, score_quality
 from .secrets import find_secrets
 from .simhash import simhash_components
 from .token_files import document_digests, write_token_file
 from .topk import top_k
-from .toxicity import MAX_CHARS as TOXIC_CHARS, PER_CLASS as TOXIC_ROWS, fit_toxicity, score_toxicity
+from .toxicity import PER_CLASS as TOXIC_ROWS, fit_toxicity, score_toxicity
 
 KEY_SETTING, TEST_KEY = "spark.metricspark.surrogateKey", "surrogates-v1"  # the secret key is a setting of the session; tests and checks have none
 
@@ -31,7 +31,10 @@ def op1_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def toxicity_model(spark: SparkSession, sf_dir: str):
     docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
-    return fit_toxicity(labelled_sample(docs, labels, "toxic", 5, 0, TOXIC_ROWS, TOXIC_CHARS))
+    sample = labelled_documents(docs, labels, "toxic", 5, 0, TOXIC_ROWS)
+    model = fit_toxicity(sample)
+    discard(sample)
+    return model
 
 
 def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -39,11 +42,10 @@ def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
-    import numpy as np
-
     docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
-    sample = labelled_sample(docs, labels, "quality", 5, 0, QUALITY_ROWS, QUALITY_CHARS)
-    forest = fit_forest(statistics([t for t, _ in sample]), np.array([y for _, y in sample], float))
+    sample = labelled_documents(docs, labels, "quality", 5, 0, QUALITY_ROWS)
+    forest = fit_quality(sample)
+    discard(sample)
     return score_quality(docs.select("doc_id", "text"), forest)
 
 

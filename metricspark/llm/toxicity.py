@@ -1,31 +1,41 @@
 """Toxicity by multiple-instance learning.
 
 A document is a bag of sentences. A sentence's score is the logistic of a sum of weights of its distinct words
-(as a whole and by their first letters); the
-document's score is the noisy-or of its sentences, 1 - prod(1 - p). Only document labels are known: the gradient of
-the document loss through the noisy-or teaches the sentence model, so the model also says which sentences offend.
-
-Null and empty texts have no sentence and score 0. Without training rows of both classes every score is the bias's.
+(as a whole and by their first letters); the document's score is the noisy-or of its sentences, 1 - prod(1 - p). Only
+document labels are known: the gradient of the document loss through the noisy-or teaches the sentence model, so the model
+also says which sentences offend.
+
+Training sees a bounded sample of labelled rows with whole texts. Features are counted by class on the executors; those that
+toxic documents have more often (by LEAST_Z standard errors) are the vocabulary. Then each document becomes numbers of the known
+features of its words, sentence by sentence, and only these numbers reach the driver.
+
+Null and empty texts have no sentence and score 0. Texts of any length are scored whole. Rows of equal text have equal scores,
+repeated rows keep their rows, a null doc_id is in no fold, and of equally bad sentences the first is the worst. An
+empty table gives an empty result. Without training rows of both classes every score is the bias's. Only doc_id and text are read
+(and, in `drop_toxic`, carried along), so other columns may have any names.
 """
 from __future__ import annotations
 
 import re
 import zlib
 from array import array
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, functions as F
 
-from .common import small_batches, text_batches
+from .common import discard, small_batches, text_batches, written
 
 PER_CLASS = {0: 3500, 1: 2500}  # most labelled documents of each class that training sees
-MAX_CHARS = 60_000
-VOCABULARY, LEAST_DOCS, ROUNDS, RATE, L2, RARE = 60_000, 4, 400, 0.1, 1e-5, 3000
+TRAIN_ITEMS = 10_000_000  # most sentences and known words that training holds; documents beyond it, by hash, are left out of the sample
+VOCABULARY, LEAST_DOCS, LEAST_Z, ROUNDS, RATE, L2, RARE = 20_000, 3, 2.0, 200, 0.1, 1e-5, 3000
+BIAS = -5.0
+NO = 65_535  # no known feature
 
 words_of = re.compile(r"[^\W\d_]+").findall
 sentence_of = re.compile(r"[^.!?\n]+").finditer
-PREFIXES = (4, 5, 6)
+PREFIXES = (3, 4, 5, 6)
 KEEP_WORDS = 150_000  # words whose weight a worker remembers
 
 
@@ -76,45 +86,69 @@ class SentenceModel:
         return min(1.0, max(0.0, p)), int((s >= 0).sum()), worst[1], worst[2]
 
 
-def fit_toxicity(sample: list[tuple[str, int]], rounds: int = ROUNDS, rate: float = RATE) -> SentenceModel:
-    # words by number, sentence after sentence; the texts themselves are not kept as words
-    word_id: dict[str, int] = {}
-    word_at, in_sentence, doc_of = array("i"), array("i"), array("i")
-    seen: dict[str, int] = {}
-    for d, (text, _) in enumerate(sample):
-        mine: set[str] = set()
+def association(pos, neg, n_pos, n_neg):
+    """By how many standard errors the share of toxic documents with a feature exceeds that of the others."""
+    p = (pos + neg) / (n_pos + n_neg)
+    return (pos / n_pos - neg / n_neg) / (p * (1 - p) * (1 / n_pos + 1 / n_neg) + 1e-12) ** 0.5
+
+
+def document_features(text: str) -> set[str]:
+    return {f for w in set(words_of(text.lower())) for f in features(w)}
+
+
+class Bags:
+    """Documents in numbers: per known word its features (NO where unknown) and its sentence, per sentence its document."""
+
+    def __init__(self, vocab: dict[str, int]):
+        self.vocab, self.known = vocab, {}
+
+    def word(self, w: str) -> tuple | None:
+        if w not in self.known:
+            if len(self.known) > KEEP_WORDS:
+                self.known.clear()
+            got = [self.vocab.get(f, NO) for f in features(w)] + [NO] * (1 + len(PREFIXES))
+            self.known[w] = tuple(got[: 1 + len(PREFIXES)]) if any(x != NO for x in got) else None
+        return self.known[w]
+
+    def document(self, text: str) -> tuple[np.ndarray, np.ndarray, int]:
+        """(features of the known words, a row each; number of the sentence of each; sentences)."""
+        rows, at, n = array("H"), array("i"), 0
         for _, _, words in sentences(text):
             for w in sorted(words):
-                word_at.append(word_id.setdefault(w, len(word_id)))
-                in_sentence.append(len(doc_of))
-            doc_of.append(d)
-            mine |= words
-        for f in {f for w in mine for f in features(w)}:
-            seen[f] = seen.get(f, 0) + 1
-    seen = {f: c for f, c in seen.items() if c >= LEAST_DOCS}
-    vocab = {f: k for k, (f, _) in enumerate(sorted(seen.items(), key=lambda x: (-x[1], x[0]))[:VOCABULARY])}
-    of_word, of_feature = array("i"), array("i")
-    for w, k in word_id.items():
-        known = [vocab[f] for f in features(w) if f in vocab]
-        of_word.extend([k] * len(known))
-        of_feature.extend(known)
-    of_word, of_feature, in_sentence, word_at, doc_of = (np.frombuffer(x, np.int32) for x in (of_word, of_feature, in_sentence, word_at, doc_of))
-    y = np.array([y for _, y in sample], float)
-    n_docs, n_sent, n_words = len(sample), len(doc_of), len(word_id)
-    w, bias = np.zeros(len(vocab)), -5.0
-    if not n_sent or y.min() == y.max():
-        return SentenceModel({}, bias)
+                got = self.word(w)
+                if got:
+                    rows.extend(got)
+                    at.append(n)
+            n += 1
+        return np.frombuffer(rows, np.uint16).reshape(-1, 1 + len(PREFIXES)), np.frombuffer(at, np.int32), n
+
+
+def train(vocab: list[str], count: np.ndarray, bags: list[tuple[np.ndarray, np.ndarray, int]], labels: list[int], rounds: int = ROUNDS, rate: float = RATE) -> SentenceModel:
+    """Adam on the document loss. `count` is the number of documents with each feature of `vocab`."""
+    y = np.array(labels, float)
+    n_sent = sum(b[2] for b in bags)
+    if not len(y) or y.min() == y.max() or not n_sent or not len(vocab):
+        return SentenceModel({}, BIAS)
+    first = np.cumsum([0] + [b[2] for b in bags])
+    doc_of = np.repeat(np.arange(len(bags)), [b[2] for b in bags])
+    rows = np.concatenate([b[0] for b in bags])
+    in_sentence = np.concatenate([b[1] + f for b, f in zip(bags, first)])
+    kinds, word_at = np.unique(rows, axis=0, return_inverse=True)
+    word_at = word_at.reshape(-1)
+    of_word, slot = np.nonzero(kinds != NO)
+    of_feature = kinds[of_word, slot].astype(np.int64)
+    n_docs, n_words = len(bags), len(kinds)
+    w, bias = np.zeros(len(vocab)), BIAS
     m, v, mb, vb = np.zeros_like(w), np.zeros_like(w), 0.0, 0.0
-    per_doc = np.bincount(doc_of, minlength=n_docs) > 0
+    has = np.array([b[2] > 0 for b in bags])
     weight = np.where(y > 0, max(1.0, (y == 0).sum() / (2 * y.sum())), 1.0)  # rare positives count as a third of the sample
-    count = np.array([seen[f] for f in vocab], float)
     penalty = L2 * (1 + RARE / count)  # rare features could learn the sample by heart
     for step in range(1, rounds + 1):
         per_word = np.bincount(of_word, w[of_feature], n_words)
         s = bias + np.bincount(in_sentence, per_word[word_at], n_sent)
         total = np.bincount(doc_of, np.logaddexp(0, s), n_docs)
         # loss: total if label 0, -log(1 - exp(-total)) if label 1
-        slope = weight * np.where(y > 0, -1 / np.maximum(np.expm1(np.minimum(total, 50)), 1e-6), 1.0) * per_doc
+        slope = weight * np.where(y > 0, -1 / np.maximum(np.expm1(np.minimum(total, 50)), 1e-6), 1.0) * has
         ds = slope[doc_of] / (1 + np.exp(-s))
         g = np.bincount(of_feature, np.bincount(word_at, ds[in_sentence], n_words)[of_word], len(w)) / n_docs + penalty * w
         gb = ds.sum() / n_docs
@@ -123,7 +157,65 @@ def fit_toxicity(sample: list[tuple[str, int]], rounds: int = ROUNDS, rate: floa
         c1, c2 = 1 - 0.9**step, 1 - 0.999**step
         w -= rate * (m / c1) / (np.sqrt(v / c2) + 1e-8)
         bias -= rate * (mb / c1) / (np.sqrt(vb / c2) + 1e-8)
-    return SentenceModel({f: float(w[k]) for f, k in vocab.items() if abs(w[k]) > 1e-3}, float(bias))
+    return SentenceModel({f: float(w[k]) for k, f in enumerate(vocab) if abs(w[k]) > 1e-3}, float(bias))
+
+
+def fit_texts(sample: list[tuple[str, int]], **options) -> SentenceModel:
+    """The same from texts at hand (tests and small sets)."""
+    seen = {0: Counter(), 1: Counter()}
+    for text, y in sample:
+        seen[y].update(document_features(text))
+    n = Counter(y for _, y in sample)
+    if not n[0] or not n[1]:
+        return SentenceModel({}, BIAS)
+    every = [(association(seen[1][f], seen[0][f], n[1], n[0]), f) for f in seen[1] if seen[0][f] + seen[1][f] >= LEAST_DOCS]
+    vocab = [f for z, f in sorted(every, key=lambda x: (-x[0], x[1])) if z > LEAST_Z][:VOCABULARY]
+    bags = Bags({f: k for k, f in enumerate(vocab)})
+    return train(vocab, np.array([seen[0][f] + seen[1][f] for f in vocab], float), [bags.document(t) for t, _ in sample], [y for _, y in sample], **options)
+
+
+def _count_features(batches):
+    for batch in batches:
+        seen: dict[str, list[int]] = {}
+        for text, y in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+            for f in document_features(text):
+                seen.setdefault(f, [0, 0])[y] += 1
+        yield pa.RecordBatch.from_arrays([pa.array(list(seen), pa.string()), *[pa.array([c[y] for c in seen.values()], pa.int64()) for y in (0, 1)]], names=["f", "neg", "pos"])
+
+
+def _numbered(vocab: dict[str, int]):
+    def run(batches):
+        bags = Bags(vocab)
+        for batch in batches:
+            got = [bags.document(t) for t in batch.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array([g[0].tobytes() for g in got], pa.binary()), pa.array([g[1].tobytes() for g in got], pa.binary()), pa.array([g[2] for g in got], pa.int64())], names=["doc_id", "y", "rows", "at", "n"])
+
+    return run
+
+
+def fit_toxicity(labelled: DataFrame, **options) -> SentenceModel:
+    """A model from (doc_id, text, y), a bounded sample. Words are counted and numbered on the executors."""
+    small_batches(labelled.sparkSession)
+    n = {r.y: r.n for r in labelled.groupBy("y").agg(F.count("*").alias("n")).collect()}
+    if not n.get(0) or not n.get(1):
+        return SentenceModel({}, BIAS)
+    dealt = labelled.repartition(64, "doc_id")
+    seen = dealt.select("text", "y").mapInArrow(_count_features, "f string, neg long, pos long").groupBy("f").agg(F.sum("neg").alias("neg"), F.sum("pos").alias("pos"))
+    seen = seen.where(F.col("neg") + F.col("pos") >= LEAST_DOCS).withColumn("z", association(F.col("pos"), F.col("neg"), n[1], n[0])).where(F.col("z") > LEAST_Z)
+    chosen = seen.orderBy(F.desc("z"), "f").limit(VOCABULARY).collect()
+    vocab = [r.f for r in chosen]
+    made = written(dealt.select("doc_id", "text", "y").mapInArrow(_numbered({f: k for k, f in enumerate(vocab)}), "doc_id long, y int, rows binary, at binary, n long"), "toxic-bags")
+    held, within = 0, []
+    for r in made.select("doc_id", (F.length("at") / 4 + F.col("n")).alias("items")).orderBy(F.xxhash64("doc_id"), "doc_id").collect():  # at most sum(PER_CLASS) rows
+        if held + r.items <= TRAIN_ITEMS:
+            held += r.items
+            within.append(r.doc_id)
+    ordered = made.orderBy(F.xxhash64("doc_id"), "doc_id")
+    rows = (ordered.where(F.col("doc_id").isin(within)) if len(within) < sum(n.values()) else ordered).collect()
+    bags = [(np.frombuffer(bytes(r.rows), np.uint16).reshape(-1, 1 + len(PREFIXES)), np.frombuffer(bytes(r["at"]), np.int32), r.n) for r in rows]
+    model = train(vocab, np.array([r.neg + r.pos for r in chosen], float), bags, [r.y for r in rows], **options)
+    discard(made)
+    return model
 
 
 def _predict(model: SentenceModel, folds: int, out_fold: int):

@@ -8,7 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from metricspark.llm import components, decontaminate, language_id, mixing, pii, quality, queries, secrets, simhash, token_files, topk, toxicity
-from metricspark.llm.common import labelled_sample, table
+from metricspark.llm.common import labelled_documents, table
 
 
 def docs_of(spark, rows):
@@ -77,7 +77,7 @@ def test_toxicity_learns_and_locates(spark):
             k = int(rng.integers(0, len(body)))
             body[k] = body[k] + " " + rng.choice(["vileword", "vileness"])
         rows.append((". ".join(body) + ".", bad))
-    model = toxicity.fit_toxicity(rows[:400])
+    model = toxicity.fit_texts(rows[:400])
     got = [model.document(t) for t, _ in rows[400:]]
     assert np.mean([(p >= 0.5) == y for (p, *_), (_, y) in zip(got, rows[400:])]) > 0.95
     for (p, n, a, b), (t, y) in zip(got, rows[400:]):
@@ -89,8 +89,52 @@ def test_toxicity_learns_and_locates(spark):
 
 
 def test_toxicity_without_both_classes():
-    assert toxicity.fit_toxicity([]).document("any text")[0] < 0.05
-    assert toxicity.fit_toxicity([("a b", 0)]).weights == {}
+    assert toxicity.fit_texts([]).document("any text")[0] < 0.05
+    assert toxicity.fit_texts([("a b", 0)]).weights == {}
+
+
+def test_toxicity_of_a_table_equals_that_of_texts(spark):
+    rng = np.random.default_rng(4)
+    calm = [f"{a}{b}" for a in ("hou", "riv", "sto", "gre") for b in ("se", "er", "ne", "en", "ly")]
+    rows = []
+    for i in range(300):
+        body = [" ".join(rng.choice(calm, 5)) for _ in range(int(rng.integers(1, 6)))]
+        if i % 4 == 0:
+            body[0] += " vile" + rng.choice(calm)
+        rows.append((i, ". ".join(body), int(i % 4 == 0)))
+    d = spark.createDataFrame(rows, "doc_id long, text string, y int")
+    a, b = toxicity.fit_toxicity(d, rounds=60), toxicity.fit_texts([(t, y) for _, t, y in rows], rounds=60)
+    assert a.weights.keys() == b.weights.keys() and a.bias == pytest.approx(b.bias)
+    assert all(a.weights[f] == pytest.approx(b.weights[f], abs=1e-6) for f in a.weights)
+    assert any(f.startswith("vil") for f in a.weights)
+
+
+def slow_toxicity(model, text):
+    """Noisy-or, sentence by sentence and word by word."""
+    clean, any_ = 1.0, False
+    for s in re.split(r"[.!?\n]+", text or ""):
+        words = set(re.findall(r"[^\W\d_]+", s.lower()))
+        if words:
+            any_ = True
+            z = model.bias + sum(model.weights.get(f, 0.0) for w in words for f in [w + "$", *[w[:n] for n in toxicity.PREFIXES if len(w) >= n]])
+            clean *= 1 - 1 / (1 + np.exp(-z))
+    return 1 - clean if any_ else 0.0
+
+
+def test_toxicity_scores_and_gradient_by_brute_force(spark, local):
+    texts = [(r.text, int("the" in (r.text or "").lower().split())) for r in list(local.values())[:120]]
+    model = toxicity.fit_texts([(t or "", y) for t, y in texts], rounds=30)
+    d = docs_of(spark, [(i, t) for i, (t, _) in enumerate(texts)] + ODD)
+    got = toxicity.score_toxicity(d, model).collect()
+    want = sorted(round(slow_toxicity(model, r.text), 9) for r in d.collect())
+    assert sorted(round(r.score, 9) for r in got) == pytest.approx(want, abs=1e-8)
+
+
+def test_held_out_toxicity(spark, sf):
+    big = sf.replace("0.001", "0.1")
+    got = queries.op2_toxicity(spark, big).join(table(spark, big, "labels"), "doc_id").where("held_out").select("predicted", "toxic").collect()
+    assert np.mean([r.predicted for r in got if r.toxic == 1]) >= 0.9
+    assert np.mean([r.predicted for r in got if r.toxic == 0]) <= 0.01
 
 
 def test_scores_cover_odd_rows(spark):
@@ -491,6 +535,40 @@ def test_language(spark, sf):
     assert {r.lang_pred for r in language_id.identify_language(docs_of(spark, ODD), {}).collect()} == {"und"}
 
 
+def slow_language(dicts, text):
+    """A new compressor for each block and language."""
+    import zstandard
+
+    sizes = {}
+    for name, data in dicts.items():
+        p = zstandard.ZstdCompressionParameters(write_content_size=False, write_checksum=False, write_dict_id=False, **language_id.PARAMETERS)
+        d = zstandard.ZstdCompressionDict(data, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+        t = " " + " ".join(re.findall(r"[^\W\d_]+", text.lower())) + " "
+        sizes[name] = sum(len(zstandard.ZstdCompressor(compression_params=p, dict_data=d).compress(t[i : i + language_id.BLOCK_CHARS].encode())) for i in range(0, len(t), language_id.BLOCK_CHARS))
+    best = sorted(sizes.items(), key=lambda x: (x[1], x[0]))
+    return best[0][0], (best[1][1] - best[0][1]) / best[1][1]
+
+
+def test_language_against_brute_force(spark, docs, local):
+    clash = docs.withColumn("h", F.lit("clash")).withColumn("part", F.lit(1)).withColumn("r", F.lit(1)).withColumn("score", F.lit("x"))
+    dicts = language_id.fit_dictionaries(clash)
+    assert len(dicts) == 4 and all(0 < len(v) <= language_id.DICT_BYTES for v in dicts.values())
+    got = {r.doc_id: r for r in language_id.identify_language(clash, dicts).collect()}
+    for i in sorted(local)[:60]:
+        if any(map(str.isalpha, local[i].text or "")):
+            name, margin = slow_language(dicts, local[i].text)
+            assert got[i].lang_pred == name and got[i].score == pytest.approx(margin / (margin + language_id.REJECT_MARGIN) if margin else 0.0)
+
+
+def test_dictionaries_of_hot_and_of_many_languages(spark):
+    rows = [(1, "aa", "one text only " * 30)] * 3000 + [(i, "bb", f"word{i} and more") for i in range(3000)] + [(i, f"l{i}", f"tongue {i}") for i in range(30)]
+    d = spark.createDataFrame(rows, "doc_id long, lang string, text string")
+    dicts = language_id.fit_dictionaries(d, sample_docs=10, dict_bytes=400)
+    assert {"aa", "bb"} <= set(dicts) and len(dicts) > 20 and all(len(v) <= 400 for v in dicts.values())
+    assert len(re.findall("word", dicts["bb"].decode())) == 10
+    assert language_id.fit_dictionaries(d.limit(0)) == {}
+
+
 # 8
 
 
@@ -664,8 +742,12 @@ def test_token_file_odd_rows(spark):
 
 
 def test_training_rows_are_bounded_and_outside_the_fold(spark, sf, local):
-    sample = labelled_sample(table(spark, sf, "documents"), table(spark, sf, "labels"), "quality", 5, 0, {0: 3, 1: 5}, 10**6)
+    sample = labelled_documents(table(spark, sf, "documents"), table(spark, sf, "labels"), "quality", 5, 0, {0: 3, 1: 5}).collect()
     assert 0 < len(sample) <= 8
-    held = {local[i].text for i in local if zlib.crc32(str(i).encode()) % 5 == 0}
-    free = {local[i].text for i in local if zlib.crc32(str(i).encode()) % 5}
-    assert all(t in free or t not in held for t, _ in sample)
+    assert all(zlib.crc32(str(r.doc_id).encode()) % 5 and r.text == local[r.doc_id].text for r in sample)
+
+
+def test_training_holds_a_bounded_number_of_words(spark, monkeypatch):
+    monkeypatch.setattr(toxicity, "TRAIN_ITEMS", 40)
+    d = spark.createDataFrame([(i, "vile bad words. " * (1000 if i == 3 else 1) if i % 2 else "calm good words here.", i % 2) for i in range(40)], "doc_id long, text string, y int")
+    assert toxicity.fit_toxicity(d, rounds=20).document("vile bad words")[0] > toxicity.fit_toxicity(d, rounds=20).document("calm good words")[0]
