@@ -37,6 +37,17 @@ class Metric:
         """Objects in the form that `kernel` takes."""
         return encode_strings(objs) if self.kind == "string" else np.array(objs, float).reshape(len(objs), -1)
 
+    def from_arrow(self, col) -> object:
+        """The same from an Arrow column; vectors of one length are read without Python lists."""
+        if self.kind == "string":
+            return encode_strings(col.to_pylist())
+        flat = col.flatten().to_numpy(zero_copy_only=False)
+        return flat.astype(float, copy=False).reshape(len(col), -1) if len(col) else np.empty((0, 0))
+
+    def take(self, batch, rows: np.ndarray):
+        """Some rows of a batch."""
+        return (batch[0][rows], batch[1][rows]) if isinstance(batch, tuple) else batch[rows]
+
 
 def _unrolled(a: Column, b: Column, dim: int, each) -> list[Column]:
     return [each(F.get(a, F.lit(i)) - F.get(b, F.lit(i))) for i in range(dim)]

@@ -26,31 +26,44 @@ def register_index(spark: SparkSession, idx: MetricIndex, name: str) -> None:
     executor must not start jobs, so objects are joined outside on pid and verified there.
     """
     tree, metric = idx.tree, idx.metric
-    place = {r.pid for r in idx.placement.select("pid").collect()}
+    loose = lambda r: r if metric.integer_valued else r * (1 + 1e-9) + 1e-12
 
-    def near(q):
+    def far(q, ids):
+        """(node, distance) of some nodes, in one call of the kernel."""
         import numpy as np
 
+        nodes = [tree.nodes[i] for i in ids if tree.nodes[i].n_objects]
+        if not nodes:
+            return []
         q = q if isinstance(q, str) else np.asarray(q, float)
-        return [(n, float(metric.kernel(metric.batch([n.center]), q)[0])) for n in tree.leaves() if n.pid in place and n.n_objects]
+        return list(zip(nodes, metric.kernel(metric.batch([n.center for n in nodes]), q).tolist()))
 
     class Range:
         def eval(self, q, r):
-            for n, d in near(q):
-                if d <= r * (1 + 1e-9) + 1e-12 + n.radius:
-                    yield n.pid, float(r)
+            front = far(q, tree.top())
+            while front:
+                kept = [(n, d) for n, d in front if d <= loose(r) + n.radius]
+                for n, _ in kept:
+                    if n.pid >= 0:
+                        yield n.pid, float(r)
+                # children that the distance between centres excludes need no distance of their own
+                front = far(q, [c for n, d in kept for c in n.children if abs(tree.nodes[c].dist_to_parent - d) <= loose(r) + tree.nodes[c].radius])
 
     class Knn:
         def eval(self, q, k):
-            found = sorted(((d + n.radius, n.n_objects) for n, d in near(q)))
-            held, bound = 0, float("inf")
-            for u, c in found:
-                held += c
-                if held >= k:
-                    bound = u
-                    break
-            for n, d in near(q):
-                if d <= bound * (1 + 1e-9) + 1e-12 + n.radius:
+            front, bound, found = far(q, tree.top()), float("inf"), []
+            while front:
+                held = 0
+                for n, d in sorted(front, key=lambda x: x[1] + x[0].radius):
+                    held += n.n_objects
+                    if held >= k:
+                        bound = min(bound, d + n.radius)
+                        break
+                kept = [(n, d) for n, d in front if d - n.radius <= loose(bound)]
+                found += [(n, d) for n, d in kept if n.pid >= 0]
+                front = far(q, [c for n, d in kept for c in n.children if abs(tree.nodes[c].dist_to_parent - d) <= loose(bound) + tree.nodes[c].radius])
+            for n, d in found:
+                if d - n.radius <= loose(bound):
                     yield n.pid, bound
 
     spark.udtf.register(f"{name}_range", F.udtf(Range, returnType="pid bigint, bound double"))
@@ -105,8 +118,9 @@ def distance_histogram(objects: DataFrame, metric, n: int = 200, steps: int = 20
 def top_k_aggregate(objects: DataFrame, metric, queries: DataFrame, k: int, dim: int | None = None, lanes: int = 64) -> DataFrame:
     """[qid, rank, oid, dist]: per query and lane the k best, then the k best of the lanes; each state is bounded by k rows."""
     from ..operators.search import rank_answers
+    from ..operators.sizes import sized
 
-    near = objects.select("oid", "obj").crossJoin(F.broadcast(queries.select("qid", "q")))
+    near = objects.select("oid", "obj").crossJoin(sized(queries.select("qid", "q")))
     near = near.select("qid", "oid", metric.column(F.col("q"), F.col("obj"), dim).alias("dist"), F.pmod("oid", F.lit(lanes)).alias("lane"))
     first = Window.partitionBy("qid", "lane").orderBy(F.round("dist", 9), "oid")
     return rank_answers(near.withColumn("r_", F.row_number().over(first)).where(F.col("r_") <= k).withColumn("k", F.lit(k)))

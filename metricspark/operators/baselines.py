@@ -14,12 +14,11 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window, functions as F
 
 from ..functions.metrics import Metric, pair_column, within
-from ..sources.tables import written
-from .global_index import plan_tree, summarise  # noqa: F401
+from ..sources.tables import discard, written
+from .global_index import plan_tree
 from .sampling import hash_sample, pair_distances
 from .search import best_first, rank_answers, with_radius
-
-MOST_QUERIES = 100_000  # queries are broadcast up to here, beyond it they are dealt out in blocks
+from .sizes import MOST_ROWS, sized
 
 
 class NotSupported(Exception):
@@ -30,8 +29,8 @@ class NotSupported(Exception):
 
 
 def scan_range(objects: DataFrame, metric: Metric, queries: DataFrame, r: float | None = None, dim: int | None = None) -> DataFrame:
-    """[qid, oid, dist]: every object against every query of the broadcast batch."""
-    q = F.broadcast(with_radius(queries, r))
+    """[qid, oid, dist]: every object against every query: a broadcast batch of queries, or blocks of both sides where there are too many."""
+    q = sized(with_radius(queries, r))
     j = objects.select("oid", "obj").crossJoin(q)
     d, ok = within(metric, F.col("q"), F.col("obj"), F.col("r"), dim)
     return j.withColumn("dist", d).where(ok if metric.name == "edit" else F.col("dist") <= F.col("r")).select("qid", "oid", "dist")
@@ -39,7 +38,7 @@ def scan_range(objects: DataFrame, metric: Metric, queries: DataFrame, r: float
 
 def scan_knn(objects: DataFrame, metric: Metric, queries: DataFrame, k: int, dim: int | None = None) -> DataFrame:
     """[qid, rank, oid, dist]: the k best a task, then the k best of these."""
-    j = objects.select("oid", "obj").crossJoin(F.broadcast(queries.select("qid", "q")))
+    j = objects.select("oid", "obj").crossJoin(sized(queries.select("qid", "q")))
     return rank_answers(j.withColumn("dist", pair_column(metric, F.col("q"), F.col("obj"), dim)).withColumn("k", F.lit(k)))
 
 
@@ -90,7 +89,7 @@ def pivot_key_candidates(idx: PivotKeyIndex, queries: DataFrame) -> DataFrame:
     cells = cells.withColumn("near_", nearest).where((F.col("d_q") - r <= F.col("p_max")) & ((F.col("d_q") - F.col("near_")) / 2 <= r))  # ball and hyperplane tests
     low, high = F.greatest(F.col("d_q") - r, F.lit(0.0)), F.least(F.col("d_q") + r, F.col("p_max"))
     cells = cells.select("qid", "q", "r", F.col("pivot").alias("c_"), (F.col("pivot") * idx.spread + low - 1e-9).alias("k0"), (F.col("pivot") * idx.spread + high + 1e-9).alias("k1"))
-    return idx.objects.join(F.broadcast(cells), (F.col("pivot") == F.col("c_")) & F.col("key").between(F.col("k0"), F.col("k1"))).select("qid", "q", "r", "oid", "obj")
+    return idx.objects.join(sized(cells), (F.col("pivot") == F.col("c_")) & F.col("key").between(F.col("k0"), F.col("k1"))).select("qid", "q", "r", "oid", "obj")
 
 
 def _verified(cand: DataFrame, metric: Metric, dim) -> DataFrame:
@@ -104,7 +103,6 @@ def pivot_key_range(idx: PivotKeyIndex, queries: DataFrame, r: float | None = No
 
 def _widening(objects: DataFrame, metric: Metric, dim, queries: DataFrame, k: int, search) -> DataFrame:
     """Range searches with doubling radii until every query has k answers; queries still open beyond the sampled diameter are scanned."""
-    spark = objects.sparkSession
     n = objects.count()
     stats = pair_distances(objects, metric, 60, 3, dim).agg(F.percentile("d", F.lit(min(1.0, 2.0 * k / max(1, n)))).alias("r"), F.max("d").alias("m")).first()
     r, most = max(stats.r or 0.0, (stats.m or 1.0) / 1024, 1e-9), 4 * (stats.m or 1.0)
@@ -114,10 +112,9 @@ def _widening(objects: DataFrame, metric: Metric, dim, queries: DataFrame, k: in
         full = found.groupBy(F.col("qid").alias("f_")).agg(F.count("*").alias("n_")).where(F.col("n_") >= min(k, n))
         ok = found.join(full, F.col("qid") == F.col("f_"), "left_semi")
         done = ok if done is None else done.unionByName(ok)
-        rows = left.join(full, F.col("qid") == F.col("f_"), "left_anti").collect()  # the queries still open
-        if not rows:
+        left = written(left.join(full, F.col("qid") == F.col("f_"), "left_anti"), "open-queries")
+        if left.isEmpty():
             return rank_answers(done.withColumn("k", F.lit(k)))
-        left = spark.createDataFrame(rows, left.schema)
         if r > most:  # the sample says nothing of farther objects
             rest = scan_knn(objects, metric, left, k, dim).select("qid", "oid", "dist")
             return rank_answers(done.unionByName(rest).withColumn("k", F.lit(k)))
@@ -140,22 +137,23 @@ class LayeredPivotIndex:
     objects: DataFrame  # [box, v, oid, obj]
 
 
-def layered_pivot_build(objects: DataFrame, metric: Metric, n_pivots: int = 4, cuts: int = 8, n_w: int = 10, seed: int = 9, dim: int | None = None) -> LayeredPivotIndex:
-    """Objects as vectors of distances to the pivots; pivot space is cut into blocks by quantiles (layer 1), blocks go to
-    workers by number (layer 2), and every block keeps its box of least and largest distances (layer 3)."""
+def layered_pivot_build(objects: DataFrame, metric: Metric, n_pivots: int = 4, box_rows: int = 500, n_w: int = 10, seed: int = 9, dim: int | None = None) -> LayeredPivotIndex:
+    """Objects as vectors of distances to the pivots; pivot space is cut into blocks by quantiles of the distance to each pivot in turn (layer 1),
+    as many as give about `box_rows` objects a block, blocks go to workers by number (layer 2), and every block keeps
+    its box of least and largest distances (layer 3)."""
     pivots = _pivots(objects, n_pivots, seed)
     lit = lambda o: F.lit(o) if isinstance(o, str) else F.array(*[F.lit(float(x)) for x in o])
-    mapped = objects.select("oid", "obj", F.array(*[metric.column(F.col("obj"), lit(p), dim) for p in pivots]).alias("v"))
-    n = len(pivots)
-    per = max(2, round(cuts ** (1 / max(1, min(n, 2)))))
-    qs = [list(mapped.agg(F.percentile_approx(F.col("v")[k], [j / per for j in range(1, per)], 1000)).first()[0] or []) for k in range(min(n, 2))]
-    cell = F.lit(0)
-    for k, cutpoints in enumerate(qs):
-        c = F.lit(0)
-        for x in cutpoints:
-            c = c + (F.col("v")[k] > F.lit(float(x))).cast("int")
-        cell = cell * per + c
-    boxed = written(mapped.withColumn("box", cell.cast("int")).repartition(n_w, "box").sortWithinPartitions("box"), "layered-pivot")
+    mapped = written(objects.select("oid", "obj", F.array(*[metric.column(F.col("obj"), lit(p), dim) for p in pivots]).alias("v")), "pivot-vectors")
+    n, rows = len(pivots), mapped.count()
+    per = max(2, round(max(1, rows / box_rows) ** (1 / max(1, n))))
+    # the cut points of a pivot's distances, all pivots at once: n * (per - 1) numbers
+    qs = mapped.agg(*[F.percentile_approx(F.col("v")[k], [j / per for j in range(1, per)], 1000).alias(f"q{k}") for k in range(n)]).first() if n else []
+    cell = F.lit(0).cast("long")
+    for k in range(n):
+        cuts = F.array(*[F.lit(float(x)) for x in qs[k] or []])
+        cell = cell * per + F.size(F.filter(cuts, lambda x: F.col("v")[k] > x))
+    boxed = written(mapped.withColumn("box", cell).repartition(n_w, "box").sortWithinPartitions("box"), "layered-pivot")
+    discard(mapped)
     boxes = boxed.groupBy("box").agg(F.array(*[F.min(F.col("v")[k]) for k in range(n)]).alias("lo"), F.array(*[F.max(F.col("v")[k]) for k in range(n)]).alias("hi"), F.count("*").alias("n"))
     return LayeredPivotIndex(metric, dim, pivots, written(boxes, "boxes"), boxed)
 
@@ -168,11 +166,11 @@ def layered_pivot_candidates(idx: LayeredPivotIndex, queries: DataFrame) -> Data
     meet = F.lit(True)
     for k in range(n):
         meet = meet & (F.col("qv")[k] + r >= F.col("lo")[k]) & (F.col("qv")[k] - r <= F.col("hi")[k])
-    hit = q.crossJoin(F.broadcast(idx.boxes)).where(meet).select("qid", "q", "r", "qv", F.col("box").alias("b_"))
+    hit = q.crossJoin(sized(idx.boxes)).where(meet).select("qid", "q", "r", "qv", F.col("box").alias("b_"))
     near = F.lit(True)
     for k in range(n):
         near = near & (F.abs(F.col("v")[k] - F.col("qv")[k]) <= r)
-    return idx.objects.join(F.broadcast(hit), F.col("box") == F.col("b_")).where(near).select("qid", "q", "r", "oid", "obj", "box")
+    return idx.objects.join(sized(hit), F.col("box") == F.col("b_")).where(near).select("qid", "q", "r", "oid", "obj", "box")
 
 
 def layered_pivot_range(idx: LayeredPivotIndex, queries: DataFrame, r: float | None = None) -> DataFrame:
@@ -186,9 +184,17 @@ def layered_pivot_knn(idx: LayeredPivotIndex, queries: DataFrame, k: int) -> Dat
 # ---- one tree on one machine ----
 
 
+def _bounded(queries: DataFrame) -> list[tuple]:
+    """The queries of a method that hands all of them to every task; more than MOST_ROWS are refused."""
+    rows = queries.select("qid", "q").limit(MOST_ROWS + 1).collect()
+    if len(rows) > MOST_ROWS:
+        raise ValueError(f"more than {MOST_ROWS} queries; ask them in batches")
+    return [(r.qid, r.q) for r in rows]
+
+
 def single_mtree(objects: DataFrame, metric: Metric, queries: DataFrame, k: int | None = None, r: float | None = None, n_p: int = 200, fanout: int = 20) -> DataFrame:
     """[qid, rank, oid, dist] or [qid, oid, dist] from one tree that a single task builds and searches; small inputs only."""
-    asked = [(row.qid, row.q) for row in queries.select("qid", "q").collect()]
+    asked = _bounded(queries)
 
     def run(batches):
         frames = list(batches)
@@ -311,7 +317,7 @@ class SmallWorld:
 def graph_ann_knn(objects: DataFrame, metric: Metric, queries: DataFrame, k: int, n_w: int = 4, m: int = 8, ef: int = 40, group_rows: int = 20_000) -> DataFrame:
     """[qid, rank, oid, dist], approximate: a graph per group of at most about `group_rows` objects, all queries to all groups, best k merged."""
     groups = max(n_w, -(-objects.count() // group_rows))
-    asked = [(r.qid, r.q) for r in queries.select("qid", "q").collect()]
+    asked = _bounded(queries)
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         g = SmallWorld(metric, m, ef)
@@ -350,7 +356,7 @@ def grid_range(objects: DataFrame, queries: DataFrame, r: float) -> DataFrame:
 
 def per_slot_knn(idx, queries: DataFrame, k: int) -> DataFrame:
     """Every slot answers on its own without any bound; N_w full searches are merged. The costly contrast."""
-    j = idx.objects.select("slot", "oid", "obj").crossJoin(F.broadcast(queries.select("qid", "q")))
+    j = idx.objects.select("slot", "oid", "obj").crossJoin(sized(queries.select("qid", "q")))
     j = j.withColumn("dist", pair_column(idx.metric, F.col("q"), F.col("obj"), idx.dim))
     w = Window.partitionBy("qid", "slot").orderBy(F.round("dist", 9), "oid")
     return rank_answers(j.withColumn("r_", F.row_number().over(w)).where(F.col("r_") <= k).withColumn("k", F.lit(k)))

@@ -1,8 +1,12 @@
-"""Stage 3: local trees. One shuffle moves the objects to their bucket; each partition is clustered anew inside it.
+"""Stage 3: local trees. One shuffle moves the objects to their bucket; each partition becomes a tree of its own inside it.
 
-"tree": local leaves of about `fanout` objects around random local centres; objects keep their distance to it.
-"flat": no local structure. "vantage": per partition, distances to vantage objects, cut into cells on the first.
+"tree": an M-tree a partition: random centres, about one a `fanout` of objects, under levels of sub-samples of them, every node with at most
+about `fanout` children; objects hang at the nearest centre level by level and keep their distance to the last one.
+Nodes keep covering radius, distance to their parent's centre and number of objects. "flat": no local structure.
+"vantage": per partition, distances to vantage objects, cut into cells on the first.
 A partition is at most a few times N / N_p objects; identical objects that no centre splits are cut by hash.
+
+Objects and local nodes come out of one pass and are written together, told apart by `part`.
 """
 from __future__ import annotations
 
@@ -13,10 +17,11 @@ import pandas as pd
 from pyspark.sql import DataFrame, functions as F
 
 from ..functions.metrics import Metric
-from .global_index import _nearest
+from .global_index import _descend, _key, plan_tree
 
 CHOP = 200_000  # most objects of a group in one task
 VANTAGES = 3
+NODE_COLUMNS = ["slot", "bucket", "pid", "lnode_id", "parent_id", "level", "is_leaf", "dist_to_parent", "radius", "n_objects", "center"]
 
 
 def _order(oids: np.ndarray, seed: int) -> np.ndarray:
@@ -24,58 +29,76 @@ def _order(oids: np.ndarray, seed: int) -> np.ndarray:
     return np.lexsort((oids, mixed ^ (mixed >> np.uint64(31))))
 
 
+def tree_of(metric: Metric, objs: list, batch, order, fanout: int):
+    """(tree, leaf of each object, distance to its centre): a tree over random distinct centres, radii and counts filled in."""
+    want, seen, chosen = max(1, math.ceil(len(objs) / fanout)), set(), []
+    for i in order:
+        key = _key(objs[i])
+        if key not in seen:
+            seen.add(key)
+            chosen.append(objs[i])
+        if len(chosen) == want:
+            break
+    tree = plan_tree(chosen, max(2, fanout), metric, 1 << 20)
+    at, d = _descend(metric, tree, batch)
+    node = at.copy()
+    for level in range(tree.height - 1, -1, -1):
+        ids, where = np.unique(node, return_inverse=True)
+        most = np.zeros(len(ids))
+        np.maximum.at(most, where, d[:, level])
+        for k, (i, n) in enumerate(zip(ids.tolist(), np.bincount(where).tolist())):
+            tree.nodes[i].radius, tree.nodes[i].n_objects = float(most[k]), n
+            node[where == k] = tree.nodes[i].parent_id
+    return tree, at, d[:, -1]
+
+
 def _cluster(metric: Metric, fanout: int, seed: int, local: str):
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         objs, n = list(pdf["obj"]), len(pdf)
         base = int(pdf["pid"].iloc[0]) << 32 | int(pdf["chop"].iloc[0]) << 20
         batch = metric.batch(objs)
         order = _order(pdf["oid"].to_numpy(), seed)
+        none = {"part": "object", "parent_id": -1, "level": 0, "is_leaf": False, "dist_to_parent": 0.0, "radius": 0.0, "n_objects": 0}
         if local == "vantage":
             dv = np.stack([metric.kernel(batch, objs[i] if isinstance(objs[i], str) else np.asarray(objs[i], float)) for i in order[:VANTAGES]], axis=1)
             cells = max(1, math.ceil(n / (fanout * 4)))
             cell = np.argsort(np.argsort(dv[:, 0], kind="stable"), kind="stable") * cells // n
             rank = np.full(n, -1)
             rank[order[:VANTAGES]] = np.arange(len(order[:VANTAGES]))
-            return pdf.assign(lnode_id=base, cell=cell.astype(np.int32), d_leaf=dv[:, 0], is_center=False, dv=list(dv), rank_v=rank)
-        k = max(1, min(n, math.ceil(n / fanout) if n <= 4000 else math.ceil(math.sqrt(n))))
-        seen, chosen = set(), []
-        for i in order:
-            key = objs[i] if isinstance(objs[i], str) else tuple(objs[i])
-            if key not in seen:
-                seen.add(key)
-                chosen.append(i)
-            if len(chosen) == k:
-                break
-        which, d = _nearest(metric, batch, [objs[i] for i in chosen])
-        return pdf.assign(lnode_id=base | which.astype(np.int64), cell=np.int32(0), d_leaf=d, is_center=_own(which, chosen, n), dv=[np.empty(0)] * n, rank_v=-1)
+            return pdf.assign(lnode_id=base, cell=cell.astype(np.int32), d_leaf=dv[:, 0], dv=list(dv), rank_v=rank, **none)
+        tree, leaf, d = tree_of(metric, objs, batch, order, fanout)
+        out = pdf.assign(lnode_id=base | leaf.astype(np.int64), cell=np.int32(0), d_leaf=d, dv=[np.empty(0)] * n, rank_v=-1, **none)
+        one = pdf.iloc[0]
+        nodes = [(x, base | x.node_id, base | x.parent_id if x.parent_id >= 0 else -1) for x in tree.nodes if x.n_objects]
+        made = pd.DataFrame({
+            "slot": one["slot"], "bucket": one["bucket"], "pid": one["pid"], "chop": one["chop"], "oid": -1, "obj": [x.center for x, *_ in nodes], "d_center": 0.0,
+            "lnode_id": [i for _, i, _ in nodes], "cell": np.int32(0), "d_leaf": 0.0, "dv": [np.empty(0)] * len(nodes), "rank_v": -1, "part": "node", "parent_id": [p for *_, p in nodes],
+            "level": [x.level for x, *_ in nodes], "is_leaf": [x.level == tree.height for x, *_ in nodes], "dist_to_parent": [x.dist_to_parent for x, *_ in nodes],
+            "radius": [x.radius for x, *_ in nodes], "n_objects": [x.n_objects for x, *_ in nodes],
+        })
+        return pd.concat([out, made], ignore_index=True)
 
     return run
 
 
-def _own(which, chosen, n):
-    """A centre object that belongs to the cluster it is the centre of."""
-    out = np.zeros(n, bool)
-    for k, i in enumerate(chosen):
-        out[i] = which[i] == k
-    return out
-
-
 def build(assigned: DataFrame, placement: DataFrame, metric: Metric, fanout: int, seed: int, local: str = "tree") -> DataFrame:
-    """[slot, bucket, pid, lnode_id, d_leaf, d_center, oid, obj, ...] ready to be written."""
+    """Objects and local nodes of [oid, obj, leaf, d_center], ready to be written. `placement` has one row a partition."""
     kind = assigned.schema["obj"].dataType.simpleString()
     p = placement.select(F.col("pid").alias("p_"), "node_id", "bucket", "slot", "n_objects")
     moved = assigned.join(F.broadcast(p), F.col("leaf") == F.col("node_id"))
     chop = F.pmod(F.xxhash64("oid"), F.greatest(F.ceil(F.col("n_objects") / CHOP), F.lit(1))).cast("int")
     moved = moved.select("slot", "bucket", F.col("p_").alias("pid"), chop.alias("chop"), "oid", "obj", "d_center")
-    schema = f"slot int, bucket int, pid long, chop int, oid long, obj {kind}, d_center double, lnode_id long, cell int, d_leaf double, is_center boolean, dv array<double>, rank_v long"
+    schema = f"slot int, bucket int, pid long, chop int, oid long, obj {kind}, d_center double, lnode_id long, cell int, d_leaf double, dv array<double>, rank_v long, part string, parent_id long, level int, is_leaf boolean, dist_to_parent double, radius double, n_objects long"
     if local == "flat":
-        return moved.select("*", (F.col("pid") * F.lit(1 << 32)).alias("lnode_id"), F.lit(0).alias("cell"), F.col("d_center").alias("d_leaf"), F.lit(False).alias("is_center"), F.array().cast("array<double>").alias("dv"), F.lit(-1).cast("long").alias("rank_v")).repartition("slot", "bucket")
+        own = {"lnode_id": F.col("pid") * F.lit(1 << 32), "cell": F.lit(0), "d_leaf": F.col("d_center"), "dv": F.array().cast("array<double>"), "rank_v": F.lit(-1).cast("long"), "part": F.lit("object"), "parent_id": F.lit(-1).cast("long"), "level": F.lit(0), "is_leaf": F.lit(False), "dist_to_parent": F.lit(0.0), "radius": F.lit(0.0), "n_objects": F.lit(0).cast("long")}
+        return moved.select("*", *[c.alias(n) for n, c in own.items()]).repartition("slot", "bucket")
     return moved.groupBy("slot", "bucket", "pid", "chop").applyInPandas(_cluster(metric, fanout, seed, local), schema)
 
 
-def local_nodes(objects: DataFrame, nodes: DataFrame, local: str) -> DataFrame:
-    """[slot, bucket, pid, lnode_id, center, radius, n_objects] of the local clusters; a flat index has its partitions instead."""
-    if local == "flat":
-        leaves = nodes.where("is_leaf").select(F.col("pid").alias("p_"), "center", "radius")
-        return objects.groupBy("slot", "bucket", "pid", "lnode_id").agg(F.count("*").alias("n_objects")).join(F.broadcast(leaves), F.col("pid") == F.col("p_")).select("slot", "bucket", "pid", "lnode_id", "center", "radius", "n_objects")
-    return objects.groupBy("slot", "bucket", "pid", "lnode_id").agg(F.max(F.when(F.col("is_center"), F.col("obj"))).alias("center"), F.max("d_leaf").alias("radius"), F.count("*").alias("n_objects"))
+def local_nodes(written: DataFrame, objects: DataFrame, nodes: DataFrame, local: str) -> DataFrame:
+    """NODE_COLUMNS of the local nodes; an index without local trees has its partitions instead."""
+    if local == "tree":
+        return written.where("part = 'node'").withColumnRenamed("obj", "center").select(*NODE_COLUMNS)
+    leaves = nodes.where("is_leaf").select(F.col("pid").alias("p_"), "center", "radius")
+    groups = objects.groupBy("slot", "bucket", "pid", "lnode_id").agg(F.count("*").alias("n_objects")).join(F.broadcast(leaves), F.col("pid") == F.col("p_"))
+    return groups.select("slot", "bucket", "pid", "lnode_id", F.lit(-1).cast("long").alias("parent_id"), F.lit(1).alias("level"), F.lit(True).alias("is_leaf"), F.lit(0.0).alias("dist_to_parent"), "radius", "n_objects", "center")

@@ -14,6 +14,7 @@ from ..functions import bounds
 from ..functions.metrics import Metric, pair_column, within
 from .index import MetricIndex
 from .intermediate import locate
+from .sizes import MOST_BYTES
 
 
 def with_radius(queries: DataFrame, r: float | None) -> DataFrame:
@@ -21,14 +22,21 @@ def with_radius(queries: DataFrame, r: float | None) -> DataFrame:
     return queries.select("qid", "q", (F.lit(float(r)) if r is not None else F.col("r").cast("double")).alias("r"))
 
 
+def level_of(idx: MetricIndex, level: int) -> DataFrame:
+    """One level of the global tree, broadcast where its size, known from the tree, allows it; else Spark joins it."""
+    n = idx.nodes.where(F.col("level") == level).select(F.col("node_id").alias("n_"), F.col("parent_id").alias("pa_"), "center", "radius", "dist_to_parent", F.col("n_objects").alias("no_"), F.col("pid").alias("np_"))
+    here = [x for x in idx.tree.nodes if x.level == level and x.n_objects]
+    size = sum(len(x.center) * (1 if idx.metric.kind == "string" else 8) + 64 for x in here)
+    return F.broadcast(n) if size <= MOST_BYTES else n
+
+
 def global_candidates(idx: MetricIndex, queries: DataFrame) -> DataFrame:
-    """[qid, q, r, pid, validated, d_qc]: partitions no rule excludes. Queries meet broadcast tree levels; no shuffle."""
+    """[qid, q, r, pid, validated, d_qc]: partitions no rule excludes. Queries meet the tree level by level; no shuffle of queries while levels are broadcast."""
     m, cand = idx.metric, None
     for level in range(1, idx.height + 1):
-        n = idx.nodes.where(F.col("level") == level).select(F.col("node_id").alias("n_"), F.col("parent_id").alias("pa_"), "center", "radius", "dist_to_parent", F.col("pid").alias("np_"))
-        n = F.broadcast(n)
+        n = level_of(idx, level)
         if cand is None:
-            step = queries.crossJoin(n).withColumn("validated", F.lit(False))
+            step = queries.crossJoin(n).withColumn("validated", F.lit(False))  # the top level has at most a fanout of nodes
         else:
             step = cand.join(n, F.col("node") == F.col("pa_"))
             step = step.where(F.col("validated") | ~bounds.parent_prunable(F.col("dist_to_parent"), F.col("d_qc"), F.col("radius"), m.slack(F.col("r")))).drop("d_qc")
@@ -39,18 +47,36 @@ def global_candidates(idx: MetricIndex, queries: DataFrame) -> DataFrame:
     return (cand if cand is not None else queries.select("qid", "q", "r", F.lit(None).cast("long").alias("node"), F.lit(None).cast("long").alias("pid"), F.lit(False).alias("validated"), F.lit(0.0).alias("d_qc")).limit(0)).drop("node")
 
 
+def local_levels(idx: MetricIndex, cand: DataFrame) -> list[tuple[DataFrame, DataFrame]]:
+    """Per level of the local trees (tested, survivors): [qid, q, r, slot, bucket, pid, lnode_id, validated, d_ql, is_leaf] joined by partition, then by parent."""
+    m, out, now = idx.metric, [], None
+    columns = ["qid", "q", "r", "slot", "bucket", "pid", "lnode_id", "validated", "d_ql", "is_leaf"]
+    for level in range(1, idx.local_height + 1):
+        ln = idx.local_nodes.where(F.col("level") == level).select(F.col("pid").alias("lp_"), F.col("parent_id").alias("lu_"), F.col("lnode_id").alias("ln_"), "is_leaf", F.col("center").alias("lc_"), F.col("radius").alias("lr_"), F.col("dist_to_parent").alias("ld_"))
+        if now is None:
+            j = locate(cand, idx.placement.select("pid", "bucket", "slot")).join(ln, F.col("pid") == F.col("lp_"))
+        else:
+            j = now.where("not is_leaf").drop("is_leaf").join(ln, F.col("lnode_id") == F.col("lu_"))
+            j = j.where(F.col("validated") | ~bounds.parent_prunable(F.col("ld_"), F.col("d_ql"), F.col("lr_"), m.slack(F.col("r")))).drop("d_ql", "lnode_id")
+        j = j.withColumn("lnode_id", F.col("ln_")).withColumn("d_ql", m.column(F.col("q"), F.col("lc_"), idx.dim))
+        kept = j.where(F.col("validated") | ~bounds.cluster_prunable(F.col("d_ql"), F.col("lr_"), m.slack(F.col("r"))))
+        now = kept.withColumn("validated", F.col("validated") | bounds.cluster_valid(F.col("d_ql"), F.col("lr_"), m.tight(F.col("r")))).select(*columns)
+        out.append((j, now))
+    return out
+
+
 def local_candidates(idx: MetricIndex, cand: DataFrame) -> DataFrame:
-    """[qid, q, r, slot, lnode_id, validated, d_ql]: local clusters that no rule excludes."""
-    m = idx.metric
-    ln = idx.local_nodes.select(F.col("pid").alias("lp_"), "lnode_id", F.col("center").alias("lc_"), F.col("radius").alias("lr_"))
+    """[qid, q, r, slot, bucket, pid, lnode_id, validated, d_ql]: local leaves that no rule excludes, by a walk down the local trees."""
+    columns = ["qid", "q", "r", "slot", "bucket", "pid", "lnode_id", "validated", "d_ql"]
+    if idx.local == "tree":
+        out = None
+        for _, kept in local_levels(idx, cand):
+            part = kept.where("is_leaf").select(*columns)
+            out = part if out is None else out.unionByName(part)
+        return out
+    ln = idx.local_nodes.select(F.col("pid").alias("lp_"), "lnode_id")
     j = locate(cand, idx.placement.select("pid", "bucket", "slot")).join(ln, F.col("pid") == F.col("lp_"))
-    if idx.local == "flat":
-        return j.select("qid", "q", "r", "slot", "bucket", "pid", "lnode_id", "validated", F.col("d_qc").alias("d_ql"))
-    if idx.local == "vantage":
-        return j.select("qid", "q", "r", "slot", "bucket", "pid", "lnode_id", "validated", F.lit(None).cast("double").alias("d_ql"))
-    j = j.withColumn("d_ql", m.column(F.col("q"), F.col("lc_"), idx.dim))
-    j = j.where(F.col("validated") | ~bounds.cluster_prunable(F.col("d_ql"), F.col("lr_"), m.slack(F.col("r"))))
-    return j.select("qid", "q", "r", "slot", "bucket", "pid", "lnode_id", (F.col("validated") | bounds.cluster_valid(F.col("d_ql"), F.col("lr_"), m.tight(F.col("r")))).alias("validated"), "d_ql")
+    return j.withColumn("d_ql", F.col("d_qc") if idx.local == "flat" else F.lit(None).cast("double")).select(*columns)
 
 
 def candidate_objects(idx: MetricIndex, lcand: DataFrame) -> DataFrame:
@@ -83,10 +109,8 @@ def _vantage_objects(idx: MetricIndex, lcand: DataFrame, o: DataFrame) -> DataFr
     return j.select("qid", "q", "r", "slot", "bucket", "oid", "obj", "validated", F.when(F.col("validated"), "validated_cluster").otherwise("verified").alias("decided_by"))
 
 
-def range_query(idx: MetricIndex, queries: DataFrame, r: float | None = None, with_dist: bool = True) -> DataFrame:
-    """[qid, oid, dist, decided_by]: all objects within r, inclusive. Without `with_dist` validated ones need no distance and have null."""
-    cand = global_candidates(idx, with_radius(queries, r))
-    objs = candidate_objects(idx, local_candidates(idx, cand))
+def decided(idx: MetricIndex, objs: DataFrame, with_dist: bool = True) -> DataFrame:
+    """[qid, oid, dist, decided_by] of candidate objects: the metric decides what no bound did."""
     d, ok = within(idx.metric, F.col("q"), F.col("obj"), F.col("r"), idx.dim)
     if with_dist:
         return objs.withColumn("dist", d).where(ok if idx.metric.name == "edit" else F.col("dist") <= F.col("r")).select("qid", "oid", "dist", "decided_by")
@@ -94,6 +118,12 @@ def range_query(idx: MetricIndex, queries: DataFrame, r: float | None = None, wi
     return objs.where(F.col("validated") | ((F.col("dist") >= 0) & (F.col("dist") <= F.col("r")))).select("qid", "oid", "dist", "decided_by")
 
 
+def range_query(idx: MetricIndex, queries: DataFrame, r: float | None = None, with_dist: bool = True) -> DataFrame:
+    """[qid, oid, dist, decided_by]: all objects within r, inclusive. Without `with_dist` validated ones need no distance and have null."""
+    cand = global_candidates(idx, with_radius(queries, r))
+    return decided(idx, candidate_objects(idx, local_candidates(idx, cand)), with_dist)
+
+
 def range_count(idx: MetricIndex, queries: DataFrame, r: float | None = None) -> DataFrame:
     """[qid, n], zero for queries without answers."""
     n = range_query(idx, queries, r, with_dist=False).groupBy(F.col("qid").alias("k_")).agg(F.count("*").alias("n"))
@@ -115,18 +145,33 @@ def range_anti(idx: MetricIndex, queries: DataFrame, r: float | None = None, oth
 # ---- k nearest neighbours ----
 
 
-def leaf_distances(idx: MetricIndex, queries: DataFrame) -> DataFrame:
-    """[qid, q, k, pid, d_qc, radius, n]: every query against every partition centre, N_q x N_p small rows."""
-    leaves = idx.nodes.where("is_leaf").select("pid", "center", "radius", F.col("n_objects").alias("n"))
-    return queries.crossJoin(F.broadcast(leaves)).withColumn("d_qc", idx.metric.column(F.col("q"), F.col("center"), idx.dim)).drop("center")
+def nearest_partitions(idx: MetricIndex, queries: DataFrame) -> DataFrame:
+    """[qid, q, k, pid, d_qc, radius, n, d_k]: the partitions that may hold one of the k nearest, by a descent with a shrinking bound.
 
-
-def count_bound(leaves: DataFrame) -> DataFrame:
-    """[qid, d_k]: the upper bound at which the partitions counted so far hold k objects; null if all hold fewer."""
-    up = leaves.withColumn("upper_", bounds.upper(F.col("d_qc"), F.col("radius")))
-    w = Window.partitionBy("qid").orderBy("upper_", "pid")
-    held = up.withColumn("held_", F.sum("n").over(w))
-    return held.groupBy("qid").agg(F.min(F.when(F.col("held_") >= F.col("k"), F.col("upper_"))).alias("d_k"))
+    On every level the least upper bounds (distance to the centre plus radius) of surviving nodes are counted up until they hold k
+    objects; that upper bound, `d_k`, surely holds the k nearest, and nodes whose lower bound exceeds it are left out before their
+    children are looked at. Children that the distance between centres excludes need no distance of their own.
+    """
+    m, cand = idx.metric, None
+    for level in range(1, idx.height + 1):
+        n = level_of(idx, level)
+        if cand is None:
+            step = queries.crossJoin(n).withColumn("d_k", F.lit(float("inf")))  # the top level has at most a fanout of nodes
+        else:
+            step = cand.join(n, F.col("node") == F.col("pa_"))
+            step = step.where(~bounds.parent_prunable(F.col("dist_to_parent"), F.col("d_qc"), F.col("radius"), m.slack(F.col("d_k")))).drop("d_qc")
+        step = step.withColumn("d_qc", m.column(F.col("q"), F.col("center"), idx.dim)).withColumn("upper_", bounds.upper(F.col("d_qc"), F.col("radius")))
+        held = F.sum("no_").over(Window.partitionBy("qid").orderBy("upper_", "n_"))
+        step = step.withColumn("held_", held)
+        bound = F.min(F.when(F.col("held_") >= F.col("k"), F.col("upper_"))).over(Window.partitionBy("qid"))
+        step = step.withColumn("d_k", F.least("d_k", F.coalesce(bound, F.lit(float("inf")))))
+        step = step.where(bounds.lower(F.col("d_qc"), F.col("radius")) <= m.slack(F.col("d_k")))
+        cand = step.select("qid", "q", "k", F.col("n_").alias("node"), F.col("np_").alias("pid"), "d_qc", "radius", F.col("no_").alias("n"), "d_k")
+        if level < idx.height:
+            cand = cand.drop("radius", "n")
+    if cand is None:
+        return queries.select("qid", "q", "k", F.lit(None).cast("long").alias("pid"), F.lit(0.0).alias("d_qc"), F.lit(0.0).alias("radius"), F.lit(0).cast("long").alias("n"), F.lit(0.0).alias("d_k")).limit(0)
+    return cand.drop("node")
 
 
 def probe_bound(idx: MetricIndex, leaves: DataFrame) -> DataFrame:
@@ -140,13 +185,20 @@ def probe_bound(idx: MetricIndex, leaves: DataFrame) -> DataFrame:
 
 
 def knn_bounds(idx: MetricIndex, queries: DataFrame) -> DataFrame:
-    """[qid, d_k, d_t, r]: a radius that surely holds the k nearest, the least of both bounds, infinite if neither exists."""
-    leaves = leaf_distances(idx, queries)
-    dk = count_bound(leaves).withColumnRenamed("qid", "qk_")
+    """[qid, q, k, d_k, d_t, r, parts]: a radius that surely holds the k nearest, the least of both bounds (infinite if the index holds
+    fewer), with the partitions (pid, d_qc, radius) that survived the descent."""
+    leaves = nearest_partitions(idx, queries)
+    dk = leaves.groupBy(F.col("qid").alias("qk_")).agg(F.min("d_k").alias("d_k"), F.collect_list(F.struct("pid", "d_qc", "radius")).alias("parts"))  # at most N_p a query
     dt = probe_bound(idx, leaves).withColumnRenamed("qid", "qt_")
     b = queries.join(dk, F.col("qid") == F.col("qk_"), "left").join(dt, F.col("qid") == F.col("qt_"), "left")
     bound = F.coalesce(F.least("d_k", "d_t"), F.lit(float("inf")))
-    return b.select("qid", "q", "k", "d_k", "d_t", idx.metric.slack(bound).alias("r"))
+    return b.select("qid", "q", "k", "d_k", "d_t", idx.metric.slack(bound).alias("r"), "parts")
+
+
+def knn_candidates(idx: MetricIndex, bound: DataFrame) -> DataFrame:
+    """[qid, q, r, pid, validated, d_qc]: the surviving partitions that the final radius does not exclude."""
+    c = bound.select("qid", "q", "r", F.explode("parts").alias("p_")).select("qid", "q", "r", "p_.*")
+    return c.where(~bounds.knn_prunable(F.col("d_qc"), F.col("radius"), F.col("r"))).select("qid", "q", "r", "pid", F.lit(False).alias("validated"), "d_qc")
 
 
 def rank_answers(found: DataFrame, by: str = "oid") -> DataFrame:
@@ -156,10 +208,10 @@ def rank_answers(found: DataFrame, by: str = "oid") -> DataFrame:
 
 
 def knn_query(idx: MetricIndex, queries: DataFrame, k: int | None = None, by: str = "oid") -> DataFrame:
-    """[qid, rank, oid, dist]: the k nearest, ties by (distance, oid). Bound first, then one range search with the bound."""
+    """[qid, rank, oid, dist]: the k nearest, ties by (distance, oid). A pruned descent gives a bound and partitions, then they are searched within it."""
     q = queries.select("qid", "q", (F.lit(int(k)) if k is not None else F.col("k").cast("int")).alias("k"))
     bound = knn_bounds(idx, q)
-    objs = candidate_objects(idx, local_candidates(idx, global_candidates(idx, bound.select("qid", "q", "r"))))
+    objs = candidate_objects(idx, local_candidates(idx, knn_candidates(idx, bound)))
     found = objs.withColumn("dist", pair_column(idx.metric, F.col("q"), F.col("obj"), idx.dim)).where("dist <= r")
     ks = q.select(F.col("qid").alias("kq_"), "k")
     found = found.join(ks, F.col("qid") == F.col("kq_"))

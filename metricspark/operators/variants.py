@@ -3,6 +3,8 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, Window, functions as F
 
+from . import search
+
 
 def random_placement(parts: DataFrame, n_w: int, seed: int = 3) -> DataFrame:
     """Tree leaves dealt at random; no intermediate order."""
@@ -34,3 +36,21 @@ def replicated_placement(placement: DataFrame, n_w: int, copies: int = 2) -> Dat
     """Every partition on `copies` slots: balances by choice of copy, at as much storage."""
     each = placement.withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(copies - 1))))
     return each.withColumn("slot", F.pmod(F.col("slot") + F.col("copy") * F.lit(max(1, n_w // copies)), F.lit(n_w)).cast("int"))
+
+
+def range_by_object(idx, place, queries: DataFrame, r: float) -> DataFrame:
+    """Range search over objects placed one by one by `place`: no slot can be left out, so every candidate cluster is asked on all of them."""
+    placed = idx.with_objects(place(idx.objects.drop("slot"), idx.n_w))
+    lcand = search.local_candidates(idx, search.global_candidates(idx, search.with_radius(queries, r)))
+    everywhere = lcand.drop("slot").withColumn("slot", F.explode(F.sequence(F.lit(0), F.lit(idx.n_w - 1))))
+    return search.decided(idx, search.candidate_objects(placed, everywhere))
+
+
+def range_replicated(idx, queries: DataFrame, r: float, copies: int = 2) -> DataFrame:
+    """Range search over partitions kept on several slots: each query asks one copy of a partition, chosen by its hash, so copies share the load."""
+    spread = replicated_placement(idx.placement, idx.n_w, copies).select(F.col("pid").alias("rp_"), F.col("copy").alias("copy_"), F.col("slot").alias("rs_"))
+    objects = idx.objects.drop("slot").join(F.broadcast(spread), F.col("pid") == F.col("rp_")).withColumnRenamed("rs_", "slot").drop("rp_", "copy_")  # a few rows a partition
+    lcand = search.local_candidates(idx, search.global_candidates(idx, search.with_radius(queries, r)))
+    mine = lcand.drop("slot").withColumn("c_", F.pmod(F.xxhash64("qid"), F.lit(copies)))
+    mine = mine.join(F.broadcast(spread), (F.col("pid") == F.col("rp_")) & (F.col("c_") == F.col("copy_"))).withColumnRenamed("rs_", "slot").drop("rp_", "copy_", "c_")
+    return search.decided(idx, search.candidate_objects(idx.with_objects(objects), mine))

@@ -33,10 +33,12 @@ def pruning(idx: MetricIndex, queries: DataFrame, r: float | None = None) -> Dat
     cut = lambda x: F.coalesce(F.sum(x.cast("long")), F.lit(0))
     a = alld.agg(F.lit("partitions").alias("stage"), cut(pr).alias("filtered"), cut(va).alias("validated"), cut(~pr & ~va).alias("survived"), F.count("*").alias("distance_calls"))
     cand = search.global_candidates(idx, q)
-    ln = idx.local_nodes.select(F.col("pid").alias("lp_"), "lnode_id", F.col("center").alias("lc_"), F.col("radius").alias("lr_"))
-    j = cand.where("not validated").join(ln, F.col("pid") == F.col("lp_")).withColumn("d", m.column(F.col("q"), F.col("lc_"), idx.dim))
-    pr, va = bounds.cluster_prunable(F.col("d"), F.col("lr_"), m.slack(F.col("r"))), bounds.cluster_valid(F.col("d"), F.col("lr_"), m.tight(F.col("r")))
-    b = j.agg(F.lit("clusters").alias("stage"), cut(pr).alias("filtered"), cut(va).alias("validated"), cut(~pr & ~va).alias("survived"), F.count("*").alias("distance_calls"))
+    b = None
+    for tested, _ in search.local_levels(idx, cand.where("not validated")):
+        pr, va = bounds.cluster_prunable(F.col("d_ql"), F.col("lr_"), m.slack(F.col("r"))), bounds.cluster_valid(F.col("d_ql"), F.col("lr_"), m.tight(F.col("r")))
+        step = tested.where("not validated").select(pr.alias("pr"), va.alias("va"))
+        b = step if b is None else b.unionByName(step)
+    b = b.agg(F.lit("clusters").alias("stage"), cut(F.col("pr")).alias("filtered"), cut(F.col("va")).alias("validated"), cut(~F.col("pr") & ~F.col("va")).alias("survived"), F.count("*").alias("distance_calls"))
     lcand = search.local_candidates(idx, cand).where("not validated")
     o = idx.objects.select(F.col("slot").alias("os_"), F.col("lnode_id").alias("ol_"), "d_leaf")
     k = o.join(lcand, (F.col("os_") == F.col("slot")) & (F.col("ol_") == F.col("lnode_id")))

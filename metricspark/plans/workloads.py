@@ -47,27 +47,39 @@ def _method(objects: DataFrame, name: str, method: str, **options):
         lp = baselines.layered_pivot_build(objects, s.metric, dim=s.dim, n_w=n_w)
         return lp, lambda q, r: baselines.layered_pivot_range(lp, q, r), lambda q, k: baselines.layered_pivot_knn(lp, q, k)
     if method == "single_mtree":
+        _run(baselines.single_mtree(objects, s.metric, objects.select(F.col("oid").alias("qid"), F.col("obj").alias("q")).limit(0), k=1))  # the build alone
         return None, lambda q, r: baselines.single_mtree(objects, s.metric, q, r=r), lambda q, k: baselines.single_mtree(objects, s.metric, q, k=k)
     if method == "graph_ann":
-        return None, baselines.graph_ann_range, lambda q, k: baselines.graph_ann_knn(objects, s.metric, q, k)
+        _run(baselines.graph_ann_knn(objects, s.metric, objects.select(F.col("oid").alias("qid"), F.col("obj").alias("q")).limit(0), 1, n_w=n_w))
+        return None, baselines.graph_ann_range, lambda q, k: baselines.graph_ann_knn(objects, s.metric, q, k, n_w=n_w)
     if method == "scan":
         return None, lambda q, r: baselines.scan_range(objects, s.metric, q, r, s.dim), lambda q, k: baselines.scan_knn(objects, s.metric, q, k, s.dim)
     raise KeyError(method)
 
 
+def _run(df: DataFrame) -> None:
+    df.write.format("noop").mode("overwrite").save()
+
+
+def _bytes(spark, built) -> int | None:
+    """Bytes of a method's files; one tree in a task and the graphs of the workers are never stored."""
+    if isinstance(built, MetricIndex):
+        return measures.index_bytes(spark, built.path)
+    return measures.index_bytes(spark, built.objects._written_at) if built is not None else None
+
+
 def _frame(spark, rows: list[tuple]) -> DataFrame:
     return spark.createDataFrame([(w, o, m, p, float(v), ms, None if x is None else float(x)) for w, o, m, p, v, ms, x in rows], SCHEMA)
 
 
-def construction(spark, sf_dir, objects: Iterable[str] = ("event_points", "letters_l1"), methods: Iterable[str] = EXACT, n_queries: int = 100, seed: int = 1) -> DataFrame:
+def construction(spark, sf_dir, objects: Iterable[str] = ("event_points", "letters_l1"), methods: Iterable[str] = (*EXACT, "single_mtree", "graph_ann"), n_queries: int = 100, seed: int = 1) -> DataFrame:
     rows = []
     for name in objects:
         objs = _objects(spark, sf_dir, name)
         for method in methods:
             built, s = measures.timed(lambda: _method(objs, name, method)[0])
             rows.append(("construction", name, method, "-", 0, "seconds", s))
-            if isinstance(built, MetricIndex):
-                rows.append(("construction", name, method, "-", 0, "bytes", measures.index_bytes(spark, built.path)))
+            rows.append(("construction", name, method, "-", 0, "bytes", _bytes(spark, built)))
     return _frame(spark, rows)
 
 
@@ -76,11 +88,15 @@ def _build_sweep(spark, sf_dir, objects, methods, label, parameter, values) -> D
     for name in objects:
         objs = _objects(spark, sf_dir, name)
         for method in methods:
+            took = {}
             for v in values:
                 idx, s = measures.timed_build(lambda: _tree(objs, name, method, **{parameter: v}))
                 rows += [(label, name, method, parameter, v, "seconds", s), (label, name, method, parameter, v, "bytes", measures.index_bytes(spark, idx.path)), (label, name, method, parameter, v, "partitions", idx.placement.count())]
+                took[v] = s
                 b = measures.placement_balance(idx).agg(F.stddev_pop("n_objects")).first()[0]
                 rows.append((label, name, method, parameter, v, "balance_stddev", b))
+            if parameter == "n_w":
+                rows += [(label, name, method, parameter, v, "speedup", x) for v, x in measures.speedup(took).items()]
     return _frame(spark, rows)
 
 
@@ -92,8 +108,9 @@ def build_by_partitions(spark, sf_dir, objects=("words", "event_points", "embed_
     return _build_sweep(spark, sf_dir, objects, methods, "build_by_partitions", "n_p", values)
 
 
-def update_cycle(spark, sf_dir, objects=("event_points",), methods=("tristage",), n_queries=100, seed=1, n: int = 1000) -> DataFrame:
-    """Delete `n` random objects and put them back; range search before and after. Updates go in one batch each way."""
+def update_cycle(spark, sf_dir, objects=("event_points",), methods=("tristage",), n_queries=100, seed=1, n: int = 1000, n_single: int = 2) -> DataFrame:
+    """Delete `n` random objects and put them back; range search before and after. Updates go in one batch each way; `n_single`
+    objects are deleted and put back one after the other, each change a batch of its own, whose cost is that of Spark jobs."""
     rows = []
     for name in objects:
         objs, s = _objects(spark, sf_dir, name), SETS[name]
@@ -103,6 +120,15 @@ def update_cycle(spark, sf_dir, objects=("event_points",), methods=("tristage",)
         some = written(hash_sample(objs, n, seed + 5), "moved")
         edited, secs = measures.timed(lambda: updates.insert(updates.delete(idx, some.select("oid")), some))
         after = measures.query_time(lambda: search.range_query(edited, q, s.r), n_queries)
+
+        def one_by_one():
+            now = idx
+            for r in some.orderBy("oid").limit(n_single).collect():
+                single = spark.createDataFrame([r], some.schema)
+                now = updates.insert(updates.delete(now, single.select("oid")), single)
+            return now
+
+        rows.append(("update_cycle", name, "tristage", "n", n_single, "ms_per_single_update", measures.update_cost(measures.timed(one_by_one)[1], n_single)))
         same = search.range_query(idx, q, s.r).select("qid", "oid").exceptAll(search.range_query(edited, q, s.r).select("qid", "oid")).count()
         rows += [("update_cycle", name, "tristage", "n", n, "ms_per_update", measures.update_cost(secs, n)), ("update_cycle", name, "tristage", "n", n, "seconds_before", before), ("update_cycle", name, "tristage", "n", n, "seconds_after", after), ("update_cycle", name, "tristage", "n", n, "answers_lost", same)]
     return _frame(spark, rows)
@@ -143,14 +169,21 @@ def _query_sweep(spark, sf_dir, objects, methods, n_queries, seed, label, parame
                     if method == "graph_ann":
                         continue
                     rows.append((label, name, method, parameter, v, "seconds_per_query", measures.query_time(lambda: rng(q, r), n_queries)))
-                    if isinstance(built, MetricIndex):
-                        c = measures.stage_counts(built, q, r).first()
-                        rows += [(label, name, method, parameter, v, "verified", c.verified), (label, name, method, parameter, v, "shipped", c.candidate_partitions)]
+                    rows += [(label, name, method, parameter, v, m, x) for m, x in _search_counts(built, q, r)]
                 else:
                     rows.append((label, name, method, parameter, v, "seconds_per_query", measures.query_time(lambda: knn(q, int(v)), n_queries)))
     return _frame(spark, rows)
 
 
+def _search_counts(built, q, r) -> list[tuple[str, float]]:
+    """Objects whose distance is computed, and (query, partition) pairs sent on, where the method has such."""
+    if isinstance(built, MetricIndex):
+        c = measures.stage_counts(built, q, r).first()
+        return [("verified", c.verified), ("shipped", c.candidate_partitions)]
+    candidates = {baselines.PivotKeyIndex: baselines.pivot_key_candidates, baselines.LayeredPivotIndex: baselines.layered_pivot_candidates}.get(type(built))
+    return [("verified", candidates(built, search.with_radius(q, r)).count())] if candidates else []
+
+
 def radius_sweep(spark, sf_dir, objects=("words", "event_points", "embed_l2", "letters_l1"), methods=EXACT, n_queries=100, seed=1, values=RADII) -> DataFrame:
     return _query_sweep(spark, sf_dir, objects, methods, n_queries, seed, "radius_sweep", "percent", values, "range")
 
@@ -189,8 +222,21 @@ def partition_sweep(spark, sf_dir, objects=("event_points", "embed_l2"), methods
     return _index_sweep(spark, sf_dir, objects, n_queries, seed, "partition_sweep", "n_p", values, lambda v: {"n_p": v}, knn=True)
 
 
-def worker_sweep(spark, sf_dir, objects=("words", "letters_l1"), methods=("tristage", "tristage_random"), n_queries=100, seed=1, values=WORKERS) -> DataFrame:
-    return _index_sweep(spark, sf_dir, objects, n_queries, seed, "worker_sweep", "n_w", values, lambda v: {"n_w": v}, methods=methods)
+def worker_sweep(spark, sf_dir, objects=("words", "letters_l1"), methods=("tristage", "tristage_random", "pivot_key", "layered_pivot"), n_queries=100, seed=1, values=WORKERS) -> DataFrame:
+    """Time, and mean, deviation and variation of the workers' loads (objects to verify), for our index and the pivot baselines."""
+    rows = []
+    for name in objects:
+        objs, s = _objects(spark, sf_dir, name), SETS[name]
+        q = _queries(objs, n_queries, seed)
+        for method in methods:
+            took = {}
+            for v in values:
+                built, rng, _ = _method(objs, name, method, n_w=v)
+                took[v] = measures.query_time(lambda: rng(q, s.r), n_queries)
+                rows.append(("worker_sweep", name, method, "n_w", v, "seconds_per_query", took[v]))
+                rows += [("worker_sweep", name, method, "n_w", v, m, x) for m, x in _spread(_load(built, q, s.r, v))]
+            rows += [("worker_sweep", name, method, "n_w", v, "speedup", x) for v, x in measures.speedup(took).items()]
+    return _frame(spark, rows)
 
 
 def cardinality_sweep(spark, sf_dir, objects=("words", "event_points", "embed_l2", "letters_l1", "line_vectors"), methods=("tristage",), n_queries=100, seed=1, values=CARDINALITIES) -> DataFrame:
@@ -206,32 +252,43 @@ def cardinality_sweep(spark, sf_dir, objects=("words", "event_points", "embed_l2
     return _frame(spark, rows)
 
 
+def _load(built, q, r: float, n_w: int) -> list[float]:
+    """Objects to verify per worker. Ranges of keys, and boxes by number, are the workers of the pivot baselines."""
+    if isinstance(built, MetricIndex):
+        return [x.verified + x.validated for x in measures.workload(built, q, r).collect()]  # one row a worker
+    if isinstance(built, baselines.LayeredPivotIndex):
+        of = baselines.layered_pivot_candidates(built, search.with_radius(q, r)).select(F.pmod("box", F.lit(n_w)).alias("w"))
+    else:
+        cuts = built.objects.select(F.percentile_approx("key", [i / n_w for i in range(1, n_w)], 10000).alias("c")).first().c or []
+        where = F.lit(0)
+        for c in cuts:
+            where = where + (F.col("key") > F.lit(float(c))).cast("int")
+        cand = baselines.pivot_key_candidates(built, search.with_radius(q, r)).select(F.col("oid").alias("o_"))
+        of = cand.join(built.objects.select("oid", where.alias("w")), F.col("o_") == F.col("oid"))
+    got = {x.w: x.n for x in of.groupBy("w").agg(F.count("*").alias("n")).collect()}
+    return [got.get(w, 0) for w in range(n_w)]
+
+
 def _loads(objs, name, q, n_w) -> dict[str, list[float]]:
     """Objects to verify per worker, by method."""
     s, out = SETS[name], {}
     for method, options in (("tristage", {}), ("tristage_random", {"placement": "random"}), ("homogeneous", {"placement": "homogeneous"})):
-        idx = build_index(objs, s.metric, s.dim, n_p=DEFAULT["n_p"], n_w=n_w, **options)
-        out[method] = [r.verified + r.validated for r in measures.workload(idx, q, s.r).collect()]
-    pk = baselines.pivot_key_build(objs, s.metric, dim=s.dim, n_w=n_w)
-    cuts = pk.objects.select(F.percentile_approx("key", [i / n_w for i in range(1, n_w)], 10000).alias("c")).first().c
-    where = F.lit(0)
-    for c in cuts or []:
-        where = where + (F.col("key") > F.lit(float(c))).cast("int")
-    cand = baselines.pivot_key_candidates(pk, search.with_radius(q, s.r)).select(F.col("oid").alias("o_"))
-    got = {r.w: r.n for r in cand.join(pk.objects.select("oid", where.alias("w")), F.col("o_") == F.col("oid")).groupBy("w").agg(F.count("*").alias("n")).collect()}
-    out["pivot_key"] = [got.get(w, 0) for w in range(n_w)]
-    lp = baselines.layered_pivot_build(objs, s.metric, dim=s.dim, n_w=n_w)
-    got = {r.w: r.n for r in baselines.layered_pivot_candidates(lp, search.with_radius(q, s.r)).groupBy(F.pmod("box", F.lit(n_w)).alias("w")).agg(F.count("*").alias("n")).collect()}
-    out["layered_pivot"] = [got.get(w, 0) for w in range(n_w)]
+        out[method] = _load(build_index(objs, s.metric, s.dim, n_p=DEFAULT["n_p"], n_w=n_w, **options), q, s.r, n_w)
+    out["pivot_key"] = _load(baselines.pivot_key_build(objs, s.metric, dim=s.dim, n_w=n_w), q, s.r, n_w)
+    out["layered_pivot"] = _load(baselines.layered_pivot_build(objs, s.metric, dim=s.dim, n_w=n_w), q, s.r, n_w)
     return out
 
 
+def _spread(xs: list[float]) -> list[tuple[str, float | None]]:
+    mean = sum(xs) / len(xs)
+    sd = (sum((x - mean) ** 2 for x in xs) / len(xs)) ** 0.5
+    return [("load_mean", mean), ("load_stddev", sd), ("load_variation", sd / mean if mean else None)]
+
+
 def _imbalance(spark, label, name, loads) -> DataFrame:
     rows = []
     for method, xs in loads.items():
-        mean = sum(xs) / len(xs)
-        sd = (sum((x - mean) ** 2 for x in xs) / len(xs)) ** 0.5
-        rows += [(label, name, method, "n_w", len(xs), m, v) for m, v in (("most", max(xs)), ("least", min(xs)), ("mean", mean), ("stddev", sd), ("variation", sd / mean if mean else None))]
+        rows += [(label, name, method, "n_w", len(xs), m, v) for m, v in (("most", max(xs)), ("least", min(xs)), *_spread(xs))]
     return _frame(spark, rows)
 
 
@@ -264,11 +321,12 @@ def lookup_ablation(spark, sf_dir, objects=("event_points",), methods=(), n_quer
         idx = _tree(_objects(spark, sf_dir, name), name, n_p=max(values))
         entries = [(r.dist_to_parent, r.pid) for r in idx.placement.collect()]
         for v in values:
+            some = sorted(entries, key=lambda e: (e[1] * 2654435761 % (1 << 32), e[1]))[:v]
             for method in ("ordered", "linear"):
-                index = OrderedLeafIndex(entries[:v], DEFAULT["fanout"])
-                for _, pid in entries[:v][: n_queries]:
+                index = OrderedLeafIndex(some, DEFAULT["fanout"])
+                for _, pid in some:
                     index.lookup(pid) if method == "ordered" else index.lookup_linear(pid)
-                rows.append(("lookup_ablation", name, method, "n_p", v, "comparisons", index.comparisons / max(1, min(n_queries, len(entries[:v])))))
+                rows.append(("lookup_ablation", name, method, "n_p", v, "comparisons", index.comparisons / max(1, len(some))))
     return _frame(spark, rows)
 
 

@@ -3,6 +3,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
+from .operators.sizes import sized
 from .sources.tables import event_points, micros, new_path, table
 
 QUERIES: dict = {}
@@ -94,12 +95,12 @@ def join_shuffle_hash(spark, d):
     return _orders_lines(spark, d, "shuffle_hash")
 
 
-@query(f"with p as ({POINTS}) select q.oid as qid, c.oid as cid from p q join p c on sqrt((q.x - c.x) * (q.x - c.x) + (q.y - c.y) * (q.y - c.y)) <= 0.05 + 0.1 where q.oid % 97 = 0 and q.oid < 970 and c.oid % 101 = 0")
+@query(f"with p as ({POINTS}) select q.oid as qid, c.oid as cid from p q join p c on sqrt((q.x - c.x) * (q.x - c.x) + (q.y - c.y) * (q.y - c.y)) <= 0.005 + 0.01 where q.oid % 50 = 0")
 def join_theta(spark, d):
     p = event_points(spark, d).select("oid", F.col("obj")[0].alias("x"), F.col("obj")[1].alias("y"))
-    q, c = p.where("oid % 97 = 0 and oid < 970").alias("q"), p.where("oid % 101 = 0").alias("c")
+    q, c = p.where("oid % 50 = 0").alias("q"), p.alias("c")
     dist = F.expr("sqrt((q.x - c.x) * (q.x - c.x) + (q.y - c.y) * (q.y - c.y))")
-    return c.join(F.broadcast(q), dist <= F.lit(0.05) + F.lit(0.1)).select(F.col("q.oid").alias("qid"), F.col("c.oid").alias("cid"))
+    return c.join(sized(q), dist <= F.lit(0.005) + F.lit(0.01)).select(F.col("q.oid").alias("qid"), F.col("c.oid").alias("cid"))
 
 
 @query("with r as (select o_custkey as k, o_totalprice as lo, o_totalprice + 50 as hi from orders where o_orderkey % 50 = 0) select k, lo, o_orderkey from r join orders on o_totalprice between lo and hi")
@@ -128,10 +129,11 @@ def join_left(spark, d):
     return c.join(o, c.c_custkey == o.o_custkey, "left").select("c_custkey", "o_orderkey")
 
 
-@query("select s_suppkey, c_custkey from (select * from supplier where s_suppkey % 2 = 0) full join (select * from customer where c_custkey % 3 = 0) on s_suppkey = c_custkey")
+@query("select s_suppkey, c_custkey from supplier full join customer on s_suppkey = 2 * c_custkey")
 def join_full(spark, d):
-    s, c = table(spark, d, "supplier").where("s_suppkey % 2 = 0"), table(spark, d, "customer").where("c_custkey % 3 = 0")
-    return s.join(c, s.s_suppkey == c.c_custkey, "full").select("s_suppkey", "c_custkey")
+    """Suppliers of odd keys and customers of large ones have no partner."""
+    s, c = table(spark, d, "supplier"), table(spark, d, "customer")
+    return s.join(c, s.s_suppkey == 2 * c.c_custkey, "full").select("s_suppkey", "c_custkey")
 
 
 @query("select r_name, n_name from region cross join nation")
@@ -140,10 +142,10 @@ def join_cross(spark, d):
     return table(spark, d, "region").crossJoin(F.broadcast(table(spark, d, "nation"))).select("r_name", "n_name")
 
 
-@query(f"with p as ({POINTS}) select q.oid as qid, o.oid from p q join p o on abs(o.x - q.x) <= 0.01 and abs(o.y - q.y) <= 0.01 where q.oid % 97 = 0 and q.oid < 970")
+@query(f"with p as ({POINTS}) select q.oid as qid, o.oid from p q join p o on abs(o.x - q.x) <= 0.01 and abs(o.y - q.y) <= 0.01 where q.oid % 50 = 0")
 def lateral_mrq(spark, d):
     event_points(spark, d).selectExpr("oid", "obj[0] as x", "obj[1] as y").createOrReplaceTempView("lateral_points")
-    return spark.sql("select q.oid as qid, t.oid from (select * from lateral_points where oid % 97 = 0 and oid < 970) q, lateral (select o.oid from lateral_points o where abs(o.x - q.x) <= 0.01D and abs(o.y - q.y) <= 0.01D) t")
+    return spark.sql("select q.oid as qid, t.oid from (select * from lateral_points where oid % 50 = 0) q, lateral (select o.oid from lateral_points o where abs(o.x - q.x) <= 0.01D and abs(o.y - q.y) <= 0.01D) t")
 
 
 @query("select l_returnflag, l_linestatus, count(*) as n, round(sum(l_extendedprice * (1 - l_discount)), 2) as revenue from lineitem group by all")

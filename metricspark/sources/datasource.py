@@ -41,7 +41,7 @@ class MetricIndexReader(DataSourceReader):
         from pyarrow import fs
 
         store, root = fs.FileSystem.from_uri(self.path) if "://" in self.path else (fs.LocalFileSystem(), self.path)
-        found = [i.path for i in store.get_file_info(fs.FileSelector(f"{root}/objects")) if i.type == fs.FileType.Directory]
+        found = [i.path for i in store.get_file_info(fs.FileSelector(f"{root}/objects/part=object")) if i.type == fs.FileType.Directory]
         slots = [(int(p.rpartition("slot=")[2]), p) for p in sorted(found)]
         return [SlotPartition(s, p) for s, p in slots if self.wanted.get("slot", s) == s]
 

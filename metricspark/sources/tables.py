@@ -30,7 +30,16 @@ def written(df: DataFrame, tag: str) -> DataFrame:
     """Write and read back: lineage is cut and a lost executor costs nothing already done."""
     path = new_path(df.sparkSession, tag)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._written_at = path
+    return out
+
+
+def discard(*frames: DataFrame) -> None:
+    """Remove tables made by `written` that nothing reads any more."""
+    for df in frames:
+        at = df.sparkSession._jvm.org.apache.hadoop.fs.Path(df._written_at)
+        at.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(at, True)
 
 
 @dataclass(frozen=True)
@@ -121,21 +130,15 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def frozen_queries(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    """[qid, q]: ten or so objects of the set, chosen by fixed ids."""
+    """[qid, q]: every object whose id is divisible by 50; of words those whose md5 is, since they have no id; of lines those of such orders."""
     s = load(spark, sf_dir, name)
-    if name in ("event_points", "order_points"):
-        s = s.where("oid % 97 = 0 and oid < 970")
-    elif name.startswith("embed"):
-        s = s.where("oid % 47 = 0 and oid < 470")
-    elif name == "letters_l1":
-        s = s.where("oid % 19 = 0 and oid < 190")
+    if name == "words":
+        s = s.where(F.conv(F.substring(F.md5("obj"), 1, 7), 16, 10).cast("long") % 50 == 0)
     elif name == "line_vectors":
-        t = table(spark, sf_dir, "lineitem").where("l_orderkey in (1, 97, 194)")
-        s = s.join(F.broadcast(t.select(F.xxhash64(*t.columns).alias("k_"))), F.col("oid") == F.col("k_"), "left_semi")
-    elif name == "words":
-        s = s.orderBy(F.md5("obj")).limit(10)
+        t = table(spark, sf_dir, "lineitem").where("l_orderkey % 50 = 0")
+        s = s.join(t.select(F.xxhash64(*t.columns).alias("k_")), F.col("oid") == F.col("k_"), "left_semi")
     else:
-        s = s.where("oid % 23 = 0 and oid < 230")
+        s = s.where("oid % 50 = 0")
     return s.select(F.col("oid").alias("qid"), F.col("obj").alias("q"))
 
 

@@ -61,3 +61,33 @@ def test_windows_of_other_kinds(spark, sf):
     assert streams.run_to_end(streams.sliding(streams.event_stream(spark, sf)), "sliding", "complete").count() > 0
     got = streams.run_to_end(streams.sessions(streams.event_stream(spark, sf)), "sessions", "complete")
     assert got.agg({"n": "sum"}).first()[0] == e.count()
+
+
+def test_stream_inserts_survive_a_restart(spark, sf):
+    from metricspark.functions import metrics
+    from metricspark.operators import baselines, index, search
+    from metricspark.sources import tables
+    from metricspark.streaming import streams
+
+    objs = tables.load(spark, sf, "event_points")
+    empty = index.build_index(objs.limit(0), metrics.l2(), 2, n_p=20)
+    folder = tables.new_path(spark, "restart")
+    first = streams.continuous_inserts(streams.event_stream(spark, sf), empty, folder)
+    again = streams.continuous_inserts(streams.event_stream(spark, sf), empty, folder)  # a new driver: nothing new in the stream, all batches are there
+    assert first.n == again.n == objs.count()
+    q = tables.frozen_queries(spark, sf, "event_points")
+    hits = lambda df: sorted((r.qid, r.oid) for r in df.collect())
+    assert hits(search.range_query(again, q, 0.05)) == hits(baselines.scan_range(objs, metrics.l2(), q, 0.05, 2))
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    from pyspark.sql import functions as F
+
+    from metricspark.streaming import streams
+
+    for n, hours in enumerate(([0, 1, 2], [100], [1, 101])):
+        rows = spark.createDataFrame([(h, 1.0, "a") for h in hours], "h int, value double, event_type string")
+        rows.select((F.lit("2024-01-01").cast("timestamp") + F.make_interval(hours=F.col("h"))).alias("ts"), "value", "event_type").coalesce(1).write.mode("append").parquet(f"{tmp_path}/in/part={n}")
+    s = spark.readStream.schema("ts timestamp, value double, event_type string").option("maxFilesPerTrigger", 1).option("latestFirst", "false").parquet(f"{tmp_path}/in/*")
+    got = streams.late_rows(s, "late").collect()
+    assert sum(r.n_input for r in got) == 6 and sum(r.n_late for r in got) == 1

@@ -56,16 +56,96 @@ def test_worked_examples(spark):
 
 def test_assignment_by_join_equals_the_broadcast_descent(spark, pts):
     m = metrics.l2()
-    tree = global_index.plan_tree([r.obj for r in pts.orderBy("oid").limit(40).collect()], 8, m)
-    assert tree.height == 2
-    top = global_index.Tree([n for n in tree.nodes if n.level == 1], 1, m.kind)
-    for n in top.nodes:
-        n.children = []
-    leaves = spark.createDataFrame([(n.node_id, n.center) for n in tree.nodes if n.level == 2], "leaf long, center array<double>")
-    full = global_index.plan_tree([r.obj for r in pts.orderBy("oid").limit(40).collect()], 8, m)
-    want = {r.oid: (r.leaf, round(r.d_center, 12)) for r in global_index.assign(pts, full, m).collect()}
-    got = {r.oid: (r.leaf, round(r.d_center, 12)) for r in global_index.assign_by_join(pts, top, leaves, m, 2).collect()}
-    assert got == want
+    for fanout, height in ((8, 2), (4, 3)):
+        tree = global_index.plan_tree([r.obj for r in pts.orderBy("oid").limit(40).collect()], fanout, m)
+        assert tree.height == height
+        rows = lambda df: {r.oid: (r.leaf, round(r.d_center, 12), [round(x, 12) for x in r.d_anc]) for r in df.collect()}
+        assert rows(global_index.assign_by_join(pts, tree, m, 2)) == rows(global_index.assign(pts, tree, m))
+
+
+def test_build_by_join_gives_the_same_index(pts, idx):
+    other = index.build_index(pts, metrics.l2(), 2, n_p=30, n_w=4, broadcast_nodes=0)
+    at = lambda i: {r.oid: (r.pid, r.lnode_id) for r in i.objects.select("oid", "pid", "lnode_id").collect()}
+    assert at(other) == at(idx)
+
+
+def test_every_level_is_nearest(idx):
+    rows = global_index.verify_nearest(idx).collect()
+    assert sorted(r.level for r in rows) == list(range(1, idx.height + 1)) and all(r.tested == idx.n and r.violated == 0 for r in rows)
+
+
+def test_rerouted_objects_equal_a_new_descent(spark, pts):
+    m = metrics.l2()
+    tree = global_index.plan_tree([r.obj for r in pts.orderBy("oid").limit(20).collect()], 5, m)
+    before = tables.written(global_index.assign(pts, tree, m), "t")
+    fresh = {}
+    for n, r in zip(tree.leaves()[::3], pts.orderBy(F.desc("oid")).limit(20).collect()):
+        new = global_index.add_leaf(tree, n.node_id, r.obj, m)
+        fresh.setdefault(n.parent_id, []).append(new)
+    rows = lambda df: {r.oid: (r.leaf, round(r.d_center, 12), [round(x, 12) for x in r.d_anc]) for r in df.collect()}
+    assert rows(global_index.reroute(before, tree, fresh, m)) == rows(global_index.assign(pts, tree, m))
+
+
+def test_local_trees_have_levels_within_the_fanout(pts):
+    i = index.build_index(pts, metrics.l2(), 2, n_p=4, n_w=2, fanout=5)
+    assert i.local_height >= 3
+    nodes = i.local_nodes
+    tops = {r.pid: r["count"] for r in nodes.where("level = 1").groupBy("pid").count().collect()}
+    assert max(tops.values()) <= 5 and len(tops) == i.placement.count()
+    children = nodes.where("parent_id >= 0").groupBy("parent_id").count().agg(F.avg("count")).first()[0]
+    assert children <= 7
+    totals = nodes.groupBy("level").agg(F.sum("n_objects").alias("n"), F.max("is_leaf").alias("leaf")).where("not leaf").collect()
+    assert all(r.n <= i.n for r in totals)
+    assert nodes.where("is_leaf").agg(F.sum("n_objects")).first()[0] == i.n
+    assert {r.rule: r.violated for r in global_index.verify(i).collect()} == dict.fromkeys(["has one partition", "within covering radius", "within local radius", "stored distance is right", "no object twice"], 0)
+
+
+def test_fanout_and_tree_save_distances(pts, asked):
+    calls = {}
+    for fanout in (5, 400):
+        i = index.build_index(pts, metrics.l2(), 2, n_p=4, n_w=2, fanout=fanout)
+        calls[fanout] = measures.pruning(i, asked, 0.02).where("stage = 'objects'").first().survived
+    assert calls[5] < calls[400]  # objects whose distance is computed
+
+
+def test_knn_descends_the_tree_with_bounds(pts, asked):
+    i = index.build_index(pts, metrics.l2(), 2, n_p=60, n_w=4, fanout=4)
+    q = asked.withColumn("k", F.lit(3))
+    reached = search.nearest_partitions(i, q)
+    assert reached.count() < 0.5 * q.count() * i.placement.count()
+    plan = reached._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("BroadcastNestedLoopJoin") == 1  # only the top level, of at most a fanout of nodes, meets all queries
+
+
+def test_overflowing_partitions_split(pts, asked, monkeypatch):
+    monkeypatch.setattr(updates, "OVERFLOW", 2)
+    base = index.build_index(pts.where("oid % 10 = 1"), metrics.l2(), 2, n_p=10, n_w=3)
+    crowd = pts.select((F.col("oid") + 100_000).alias("oid"), F.transform("obj", lambda x: F.lit(0.3) + x / 50).alias("obj"))
+    grown = updates.insert(updates.insert(base, pts.where("oid % 10 <> 1")), crowd)
+    assert grown.placement.count() > base.placement.count()
+    assert grown.objects.count() == grown.n == 2 * pts.count() and grown.objects.select("oid").distinct().count() == grown.n
+    cap = 2 * global_index.capacity(grown.n, 10)
+    assert grown.placement.agg(F.max("n_objects")).first()[0] <= 2 * cap
+    every = pts.select("oid", "obj").unionByName(crowd)
+    assert pairs(search.range_query(grown, asked, 0.05)) == pairs(baselines.scan_range(every, metrics.l2(), asked, 0.05, 2))
+    assert ranks(search.knn_query(grown, asked, 9)) == ranks(baselines.scan_knn(every, metrics.l2(), asked, 9, 2))
+    assert {r.rule: r.violated for r in global_index.verify(grown).collect()} == dict.fromkeys(["has one partition", "within covering radius", "within local radius", "stored distance is right", "no object twice"], 0)
+
+
+def test_many_queries_are_not_broadcast(pts, asked, monkeypatch):
+    from metricspark.operators import sizes
+
+    want = pairs(baselines.scan_range(pts, metrics.l2(), asked, 0.05, 2))
+    monkeypatch.setattr(sizes.sized, "__defaults__", (2,))
+    monkeypatch.setattr(search, "MOST_BYTES", 10)
+    assert pairs(baselines.scan_range(pts, metrics.l2(), asked, 0.05, 2)) == want
+    i = index.build_index(pts, metrics.l2(), 2, n_p=30, n_w=4)
+    assert pairs(search.range_query(i, asked, 0.05)) == want
+
+
+def test_boxes_of_the_layered_pivot_index_grow_with_the_objects(pts):
+    n = lambda rows: baselines.layered_pivot_build(pts, metrics.l2(), dim=2, box_rows=rows).boxes.count()
+    assert n(10) > n(200) > 1
 
 
 def test_invariants(idx):
