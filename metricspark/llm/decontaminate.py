@@ -14,6 +14,11 @@ Characters are compared in lower case (where that is one character), white space
 `rate` * m edits, less for passages so short that the bound would vanish. Empty passages match nothing. Null texts
 are empty. Passages shorter than q are sought as exact substrings. Each (document, passage) gives one row, for its
 best occurrence: fewest edits, then smallest start.
+
+Texts of any length are searched whole. Rows of equal doc_id, repeated rows and rows with a null doc_id are judged each by itself and keep their
+rows. Without documents or without passages nothing is found (and nothing dropped). `contaminated_spans` reads only doc_id and text,
+`drop_contaminated` carries all columns along, whatever their names. Passages reach the tasks in chunks of bounded size, each a pass over the
+documents; the benchmark is the small side by its nature, and its size is what bounds the number of passes.
 """
 from __future__ import annotations
 

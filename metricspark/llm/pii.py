@@ -40,6 +40,7 @@ CODES_OF_ONE = ["1", "7"]
 CODES_OF_TWO = "20 27 30 31 32 33 34 36 39 40 41 43 44 45 46 47 48 49 51 52 53 54 55 56 57 58 60 61 62 63 64 65 66 81 82 84 86 90 91 92 93 94 95 98".split()
 
 MOST_ROUNDS = 200
+DRAW_ROWS = 2000  # forms a task that draws surrogates
 _TITLES = "|".join(sorted(MALE_TITLES + FEMALE_TITLES + NEUTRAL_TITLES, key=len, reverse=True))
 _SMALL = "|".join(sorted(PARTICLES, key=len, reverse=True))
 _W = r"\p{L}\p{N}_"
@@ -206,10 +207,11 @@ def assign_surrogates(entities: DataFrame, key: str) -> DataFrame:
 
     Each round draws only the forms that still clash; the least form of those that share a surrogate keeps it.
     """
-    known = written(entities.where("kind <> 'keep'").groupBy("kind", "canon").agg(F.count("*").alias("n_")).repartition("kind", "canon"), "entities")
+    known = written(entities.where("kind <> 'keep'").groupBy("kind", "canon").agg(F.count("*").alias("n_")), "entities")
+    parts = 1 + known.count() // DRAW_ROWS
     still, settled, held = known.select("kind", "canon"), None, [known]
     for attempt in range(MOST_ROUNDS):
-        drawn = written(still.withColumn("sur", surrogate(key, F.col("kind"), F.col("canon"), F.lit(attempt))), "drawn")
+        drawn = written(still.repartition(parts, "canon").withColumn("sur", surrogate(key, F.col("kind"), F.col("canon"), F.lit(attempt))), "drawn")
         owner = drawn.groupBy(F.col("kind").alias("ok_"), F.col("sur").alias("os_")).agg(F.min("canon").alias("owner"))
         taken = known.select(F.col("kind").alias("tk_"), F.col("canon").alias("ts_"))
         if settled is not None:

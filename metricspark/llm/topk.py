@@ -1,20 +1,24 @@
 """Exact top-k by inner product with a three-phase uniform threshold.
 
 The components of the vectors are cut into `lists` runs; a vector's partial products over a run form one score list,
-and its score is the sum over lists. Vectors and queries are packed into blocks, and each block of queries meets
-each block of vectors once a pass.
-  1. Gather: each block of vectors gives, for every query, the leaders of each local list, their scores made
-     exact there. The k-th best score met for a query is a safe cutoff: the true k-th best is no lower.
-  2. Collect: with the cutoff spread over the lists, cutoff / lists, any vector that reaches it has some list at or
-     above the uniform threshold. Only vectors with such an entry are collected.
-  3. Resolve: their missing entries are bounded by the threshold; those whose bound reaches the cutoff get exact
-     scores, and the best k of a block that reach the cutoff go on. A last ranking over blocks gives the result.
-Cutoffs travel with the queries in a join, so nothing that grows with the data is broadcast.
+and its score is the sum over lists. Lists are kept apart: phases see entries of single lists, and sums are made only for chosen entries.
+  1. Gather: every list of a block of vectors gives its leaders for each query; the missing entries of these few are
+     looked up in the other lists. The k-th best score met for a query is a safe cutoff: the true k-th best is no lower.
+  2. Collect: with the cutoff spread evenly, cutoff / lists, any vector that reaches it has an entry at or above this
+     uniform threshold in some list. Only vectors with such an entry are collected.
+  3. Resolve: their missing entries are below the threshold, which bounds their score; for those whose bound reaches the cutoff the missing
+     entries are looked up, and the best k of a block that reach the cutoff go on. A last ranking over blocks gives the result.
+The lists lie together in a block, so entries are collected and looked up without a shuffle; what leaves a block is at most k rows
+a query. The lists of a block are made in both passes, since storing them would take a number a pair.
+
+Each block of vectors is shuffled once a pass, and the queries, the smaller side, go to each block; cutoffs travel with the queries. So
+nothing that grows with the data is broadcast, and a task holds one block of vectors and one of queries at a time.
 
 Components are floor(256 x) as integers. Products are exact: in float64 while sums stay under 2^53, in int64 beyond;
 scores must fit a long. Vectors that are null or hold a null or non-finite component, and rows with a null vec_id, take no part. Shorter
-vectors count as padded with zeros. A repeated vec_id stands for one candidate with its best score; a query is never a candidate for itself by id.
-Ties go to the smaller vec_id. An empty table gives an empty result.
+vectors count as padded with zeros, empty ones as zeros. A repeated vec_id stands for one candidate with its best score, and as a query for one
+query with its first vector in order of components; a query is never a candidate for itself by id. Ties go to the smaller vec_id. An empty table
+gives an empty result. Only vec_id and embedding are read, so other columns may have any names.
 """
 from __future__ import annotations
 
@@ -91,23 +95,31 @@ def _emit(qids, dids, rows, cols, scores):
     return pa.RecordBatch.from_arrays([pa.array(qids[rows]), pa.array(dids[cols]), pa.array(scores)], names=["query_id", "vec_id", "score"])
 
 
+def _summed(parts: list[np.ndarray], rows: np.ndarray, cols: np.ndarray) -> np.ndarray:
+    """Scores of single pairs: their entries looked up in every list."""
+    out = np.zeros(len(rows), np.int64)
+    for p in parts:
+        out += p[rows, cols]
+    return out
+
+
 def _gather(k: int, lists: int):
     def run(batches):
         for batch in batches:
             for r in batch.to_pylist():
                 (qi, q), (di, d) = _open(r["qids"], r["qw"], r["qm"]), _open(r["dids"], r["dw"], r["dm"])
                 parts = _partials(q, d, lists)
-                total = sum(parts)
-                chosen = np.zeros(total.shape, bool)
-                for p in parts:
-                    np.put_along_axis(chosen, _leaders(p, k + 1), True, axis=1)
-                chosen &= qi[:, None] != di[None, :]
-                top = np.where(chosen, total, NONE)
-                cols = _leaders(top, k)
-                rows = np.repeat(np.arange(len(qi)), cols.shape[1])
-                cols = cols.ravel()
-                ok = top[rows, cols] > NONE
-                yield _emit(qi, di, rows[ok], cols[ok], total[rows[ok], cols[ok]])
+                chosen = np.concatenate([_leaders(p, k + 1) for p in parts], axis=1)  # a query's leaders of every list
+                rows, cols = np.repeat(np.arange(len(qi)), chosen.shape[1]), chosen.ravel()
+                pair = np.unique(rows * np.int64(len(di)) + cols)
+                rows, cols = pair // max(1, len(di)), pair % max(1, len(di))
+                other = qi[rows] != di[cols]
+                rows, cols = rows[other], cols[other]
+                score = _summed(parts, rows, cols)
+                order = np.lexsort((di[cols], -score, rows))
+                rows, cols, score = rows[order], cols[order], score[order]
+                best = np.arange(len(rows)) - np.searchsorted(rows, rows, "left") < k
+                yield _emit(qi, di, rows[best], cols[best], score[best])
 
     return run
 
@@ -124,9 +136,7 @@ def _resolve(k: int, lists: int):
                 collected = np.logical_or.reduce(seen) & (qi[:, None] != di[None, :])
                 bound = sum(np.where(s, p, uniform + 1) for s, p in zip(seen, parts))
                 rows, cols = np.nonzero(collected & (bound >= cutoff[:, None]))
-                exact = np.zeros(len(rows), np.int64)
-                for p in parts:
-                    exact += p[rows, cols]
+                exact = _summed(parts, rows, cols)
                 ok = exact >= cutoff[rows]
                 rows, cols, exact = rows[ok], cols[ok], exact[ok]
                 order = np.lexsort((di[cols], -exact, rows))
@@ -142,15 +152,16 @@ def _resolve(k: int, lists: int):
 
 def top_k(vectors: DataFrame, queries: DataFrame, k: int = K, lists: int = LISTS) -> DataFrame:
     """query_id, rank, vec_id, score: the k best of `vectors` for each of `queries` (both vec_id, embedding)."""
-    data, asked = eligible(vectors), eligible(queries).dropDuplicates(["vec_id"])
+    data = eligible(vectors)
+    asked = eligible(queries).groupBy("vec_id").agg(F.min("comps").alias("comps"))
     n, nq = data.count(), asked.count()
     g, h = max(1, -(-n // BLOCK_ROWS)), max(1, -(-nq // QUERY_ROWS))
-    spread = lambda df, name, count: df.withColumn(name, F.explode(F.sequence(F.lit(0), F.lit(count - 1))))
-    d = spread(_blocks(data, "d", g, BLOCK_ROWS), "to_q", h)
+    d = _blocks(data, "d", g, BLOCK_ROWS)
 
     def meet(qs: DataFrame) -> DataFrame:
-        q = spread(qs, "to_d", g)
-        return d.join(q.hint("shuffle_hash"), (F.col("dg") == F.col("to_d")) & (F.col("to_q") == F.col("qg")))
+        # a row a group: the vectors are the side that is held, the queries pass by
+        q = qs.withColumn("to_d", F.explode(F.sequence(F.lit(0), F.lit(g - 1))))
+        return q.join(d.hint("shuffle_hash"), F.col("dg") == F.col("to_d"))
 
     best = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     one = lambda df: df.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
