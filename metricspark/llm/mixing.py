@@ -29,7 +29,7 @@ BLOCK_ROWS = 64
 BUCKET_ROWS = 1000
 CROWDED = 8  # a bucket of that many times BUCKET_ROWS holds a repeated doc_id
 MOST_SLOTS = 200_000  # of one period: the bound of what the driver plans and tasks get by broadcast
-MOST_CROWDED = 100_000  # crowded buckets that are broadcast; more are joined
+MOST_CROWDED = 100_000  # buckets that are broadcast; more are joined
 ADDED = ["block", "slot", "release", "deadline", "place"]
 SEED = "mix"
 
@@ -58,11 +58,16 @@ def tempered_units(counts: dict[str | None, int], temperature: float = 2.0, unit
     return {s: max(1, int(units * (n / top) ** (1 / temperature) + 0.5)) for s, n in counts.items()}
 
 
+def _key(source: str | None) -> str:
+    """Sources by a key that is never null, so that numbering and joins share one partitioning."""
+    return "" if source is None else f"={source}"
+
+
 def _source_counts(rows: DataFrame) -> dict[str | None, int]:
     found = rows.groupBy("s_").agg(F.count("*").alias("n")).limit(MOST_SLOTS + 1).collect()  # one row a source
     if len(found) > MOST_SLOTS:
         raise ValueError(f"more than {MOST_SLOTS} sources; give fewer, larger sources")
-    return {r.s_: r.n for r in found}
+    return {r.s_[1:] if r.s_ else None: r.n for r in found}
 
 
 def _units(counts: dict[str | None, int], weights: dict[str | None, int] | None) -> dict[str | None, int]:
@@ -82,7 +87,7 @@ def _cut_crowded(rows: DataFrame, sizes: DataFrame, bucket_rows: int) -> tuple[D
         return rows.withColumn("part_", F.lit(0).cast("long")), True
     crowded = F.broadcast(crowded) if n <= MOST_CROWDED else crowded
     lane = F.pmod(F.xxhash64("t_", F.monotonically_increasing_id()), F.coalesce("parts_", F.lit(1)))
-    return rows.join(crowded, F.col("s_").eqNullSafe(F.col("cs_")) & (F.col("k_") == F.col("ck_")), "left").withColumn("part_", lane.cast("long")).drop("cs_", "ck_", "parts_"), False
+    return rows.join(crowded, (F.col("s_") == F.col("cs_")) & (F.col("k_") == F.col("ck_")), "left").withColumn("part_", lane.cast("long")).drop("cs_", "ck_", "parts_"), False
 
 
 def _rows_before(sizes: DataFrame, coarse: int) -> DataFrame:
@@ -91,7 +96,7 @@ def _rows_before(sizes: DataFrame, coarse: int) -> DataFrame:
     total = runs.groupBy(F.col("s_").alias("rs_"), F.col("c_").alias("rc_")).agg(F.sum("n_").alias("r_"))
     total = total.withColumn("earlier_", F.sum("r_").over(Window.partitionBy("rs_").orderBy("rc_")) - F.col("r_"))
     inside = runs.withColumn("in_", F.sum("n_").over(Window.partitionBy("s_", "c_").orderBy("k_", "part_")) - F.col("n_"))
-    both = inside.join(total, F.col("s_").eqNullSafe(F.col("rs_")) & (F.col("c_") == F.col("rc_")))
+    both = inside.join(total, (F.col("s_") == F.col("rs_")) & (F.col("c_") == F.col("rc_")))
     return both.select(F.col("s_").alias("bs_"), F.col("k_").alias("bk_"), F.col("part_").alias("bp_"), (F.col("earlier_") + F.col("in_")).alias("before_"))
 
 
@@ -99,13 +104,13 @@ def _placed(docs: DataFrame, weights: dict[str | None, int] | None, block_rows:
     """[row_, block, slot, release, deadline, place]; row_ holds the whole row, so no column of it can clash."""
     spark = docs.sparkSession
     hashed = [f.name for f in docs.schema.fields if "map<" not in f.dataType.simpleString()]
-    rows = docs.select(F.col("source").cast("string").alias("s_"), F.col("doc_id").cast("long").alias("id_"), F.xxhash64(*hashed).alias("t_"), F.struct("*").alias("row_"))
+    rows = docs.select(F.coalesce(F.concat(F.lit("="), F.col("source").cast("string")), F.lit("")).alias("s_"), F.col("doc_id").cast("long").alias("id_"), F.xxhash64(*hashed).alias("t_"), F.struct("*").alias("row_"))
     counts = _source_counts(rows)
     units = _units(counts, weights)
     names = sorted(counts, key=lambda s: (s is not None, s or ""))
     whole = sum(units.values())
-    slots = _rows(spark, [{"ps_": names[s], "i_": i, "t0_": t} for s, i, t in period([units[s] for s in names])], "array<struct<ps_:string,i_:bigint,t0_:bigint>>")
-    amounts = _rows(spark, [{"us_": s, "u_": u} for s, u in units.items()], "array<struct<us_:string,u_:bigint>>")
+    slots = _rows(spark, [{"ps_": _key(names[s]), "i_": i, "t0_": t} for s, i, t in period([units[s] for s in names])], "array<struct<ps_:string,i_:bigint,t0_:bigint>>")
+    amounts = _rows(spark, [{"us_": _key(s), "u_": u} for s, u in units.items()], "array<struct<us_:string,u_:bigint>>")
 
     digits = 1
     while max(counts.values(), default=0) > bucket_rows * 16**digits:
@@ -116,12 +121,13 @@ def _placed(docs: DataFrame, weights: dict[str | None, int] | None, block_rows:
     cut, whole_buckets = _cut_crowded(rows, sizes, bucket_rows)
     fine = sizes.withColumn("part_", F.lit(0).cast("long")) if whole_buckets else cut.groupBy("s_", "k_", "part_").agg(F.count("*").alias("n_"))
     before = _rows_before(fine, digits // 2)
+    before = F.broadcast(before) if whole_buckets and sizes.count() <= MOST_CROWDED else before
     order = Window.partitionBy("s_", "k_", "part_").orderBy("h_", "id_", "t_")
     numbered = cut.withColumn("r_", F.row_number().over(order) - 1)
-    numbered = numbered.join(before, F.col("s_").eqNullSafe(F.col("bs_")) & (F.col("k_") == F.col("bk_")) & (F.col("part_") == F.col("bp_"))).withColumn("r_", F.col("r_") + F.col("before_"))
+    numbered = numbered.join(before, (F.col("s_") == F.col("bs_")) & (F.col("k_") == F.col("bk_")) & (F.col("part_") == F.col("bp_"))).withColumn("r_", F.col("r_") + F.col("before_"))
     numbered = numbered.withColumn("block", F.expr(f"r_ div {block_rows}")).withColumn("place", F.col("r_") % block_rows)
-    with_units = numbered.join(F.broadcast(amounts), F.col("s_").eqNullSafe(F.col("us_"))).withColumn("b_", F.col("block") % F.col("u_"))
-    out = with_units.join(F.broadcast(slots), F.col("s_").eqNullSafe(F.col("ps_")) & (F.col("b_") == F.col("i_")))
+    with_units = numbered.join(F.broadcast(amounts), F.col("s_") == F.col("us_")).withColumn("b_", F.col("block") % F.col("u_"))
+    out = with_units.join(F.broadcast(slots), (F.col("s_") == F.col("ps_")) & (F.col("b_") == F.col("i_")))
     out = out.withColumn("slot", F.expr(f"block div u_ * {whole} + t0_"))
     out = out.withColumn("release", F.expr(f"(block * {whole}) div u_")).withColumn("deadline", F.expr(f"((block + 1) * {whole} + u_ - 1) div u_"))
     return out.select("row_", *ADDED)

@@ -254,27 +254,53 @@ def star_pairs(member: DataFrame, tried: DataFrame | None) -> DataFrame:
     return best.select("rep", (-F.col("b_.minus")).alias("hub"))
 
 
+MASKS = [f"m{k}" for k in range(16)]  # 1024 bits
+
+
+def _masked(batches):
+    for batch in batches:
+        rows = []
+        for k in range(batch.num_rows):
+            has = batch.column(1)[k].values.to_numpy()
+            own = batch.column(2)[k].values
+            common = has if own is None else np.setdiff1d(has, own.to_numpy(), assume_unique=True)
+            bits = np.zeros(1024, bool)
+            bits[(common.view(np.uint64) >> np.uint64(54)).astype(np.int64)] = True
+            rows.append((len(has), len(common), np.packbits(bits).view(np.int64)))
+        masks = np.array([r[2] for r in rows], np.int64).reshape(len(rows), len(MASKS))
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int64()), *[pa.array(masks[:, k]) for k in range(len(MASKS))]], names=["s_", "size", "common", *MASKS])
+
+
 def sizes_of(sets: DataFrame, member: DataFrame) -> DataFrame:
-    """(s_, size, common) of the texts of `member`: how many shingles, and how many of these any other of the texts has."""
+    """(s_, size, common, m0 ..) of the texts of `member`: how many shingles, how many of these any other of the texts has, and a bit for each hash range that these fall in."""
     mine = sets.join(member.select(F.col("rep").alias("m_")).distinct(), F.col("doc_id") == F.col("m_"), "left_semi")
     each = mine.select("doc_id", F.explode("has").alias("s"))
-    only = each.groupBy("s").agg(F.count("*").alias("n"), F.min("doc_id").alias("doc")).where("n = 1").groupBy("doc").agg(F.count("*").alias("own"))
-    total = mine.groupBy(F.col("doc_id").alias("s_")).agg(F.max(F.size("has")).alias("size"))
-    return total.join(only, F.col("s_") == F.col("doc"), "left").select("s_", "size", (F.col("size") - F.coalesce("own", F.lit(0))).alias("common"))
+    only = each.groupBy("s").agg(F.count("*").alias("n"), F.min("doc_id").alias("doc")).where("n = 1").groupBy("doc").agg(F.collect_list("s").alias("own"))  # a part of one text
+    schema = "s_ long, size long, common long, " + ", ".join(f"{m} long" for m in MASKS)
+    return mine.join(only, F.col("doc_id") == F.col("doc"), "left").select("doc_id", "has", "own").mapInArrow(_masked, schema)
 
 
 def other_pairs(member: DataFrame, sizes: DataFrame, least: float) -> DataFrame:
     """Distinct (rep, hub), rep > hub: all pairs of `member` with a code in common and in different components that can be similar.
 
-    Two texts have at most the lesser of their common shingles together, so their similarity has the bound c / (size + size - c). A code of many
-    texts is cut into CELL^2 blocks of pairs, so no task gets all of its pairs.
+    Two texts share no more than the common shingles of either, less one for each hash range where it has some and the other has none; with n shared
+    the similarity is at most n / (size + size - n). So copies that differ from a lost original in different places part without a
+    comparison. A code of many texts is cut into CELL^2 blocks of pairs, so no task gets all of its pairs.
     """
     parts = F.ceil(F.col("n_") / CELL).cast("int")
     member = member.join(sizes, F.col("rep") == F.col("s_")).where(F.col("common") >= least * F.col("size") - 1e-9)
     member = written(member.withColumn("at", F.pmod(F.xxhash64("rep"), parts).cast("int")), "open-members")
-    low = member.select("code", "rep", "of_", "size", "common", F.col("at").alias("i"), F.explode(F.sequence("at", parts - 1)).alias("j"))
-    high = member.select(F.col("code").alias("c_"), F.col("rep").alias("hub"), F.col("of_").alias("with_"), F.col("size").alias("z_"), F.col("common").alias("k_"), F.col("at").alias("j_"), F.explode(F.sequence(F.lit(0), "at")).alias("i_"))
-    same = F.least("common", "k_")
+    low = member.select("code", "rep", "of_", "size", "common", *MASKS, F.col("at").alias("i"), F.explode(F.sequence("at", parts - 1)).alias("j"))
+    other = [F.col(m).alias(f"o{m}") for m in MASKS]
+    high = member.select(F.col("code").alias("c_"), F.col("rep").alias("hub"), F.col("of_").alias("with_"), F.col("size").alias("z_"), F.col("common").alias("k_"), *other, F.col("at").alias("j_"), F.explode(F.sequence(F.lit(0), "at")).alias("i_"))
+
+    def only(mine: str, theirs: str):
+        out = F.lit(0)
+        for m in MASKS:
+            out = out + F.bit_count(F.col(f"{mine}{m}").bitwiseAND(F.bitwise_not(F.col(f"{theirs}{m}"))))
+        return out
+
+    same = F.least(F.col("common") - only("", "o"), F.col("k_") - only("o", ""))
     can = same >= least * (F.col("size") + F.col("z_") - same) - 1e-9
     met = low.join(high, (F.col("code") == F.col("c_")) & (F.col("i") == F.col("i_")) & (F.col("j") == F.col("j_")) & (F.col("of_") != F.col("with_")) & ((F.col("i") < F.col("j")) | (F.col("rep") < F.col("hub"))) & can)
     return met.select(F.greatest("rep", "hub").alias("rep"), F.least("rep", "hub").alias("hub")).distinct()
