@@ -6,7 +6,9 @@ postings are bit sets of rows. Queries intersect and unite postings; the candida
 itself on the whole text. A rule whose query is trivially true scans every text. Postings never leave their
 segment, so nothing is shuffled and memory is bounded by a segment.
 
-Null texts are empty texts. Positions are code points, ends exclusive.
+Null texts are empty texts. Positions are code points, ends exclusive. Texts of any length are scanned whole. Spans that begin at one place are
+ordered by the rule, in the order the rules are listed. Repeated rows, and rows with an equal or null doc_id, keep their rows and get equal
+results. An empty table gives an empty result. Only doc_id and text are read, so other columns may have any names.
 """
 from __future__ import annotations
 

@@ -600,6 +600,13 @@ def test_secrets_against_brute_force(spark, docs):
     assert any("github:" in r.spans for r in got)
 
 
+def test_secrets_with_clashing_columns_and_empty_table(spark):
+    d = docs_of(spark, ODD + [(8, "token = abcdef123456")])
+    clash = d.withColumn("n_assign", F.lit("clash")).withColumn("spans", F.lit(1)).withColumn("base_sha256", F.lit(None).cast("string"))
+    assert sorted(map(str, secrets.find_secrets(clash).collect())) == sorted(map(str, secrets.find_secrets(d).collect()))
+    assert secrets.find_secrets(d.limit(0)).count() == 0
+
+
 def test_trigram_queries():
     assert secrets.trigram_query(r"[0-9a-f]+") == secrets.ANY
     assert secrets.trigrams_of(secrets.trigram_query(r"AKIA[A-Z0-9]+")) == {"aki", "kia"}
@@ -656,6 +663,43 @@ def test_decontamination_against_brute_force(spark):
     assert decontaminate.contaminated_spans(docs_of(spark, rows), b.limit(0)).count() == 0
 
 
+def slow_spans(p, t, budget):
+    """(edits, start, end) of the occurrences with fewest edits, by a table that carries starts; None over the budget."""
+    row = [(0, j) for j in range(len(t) + 1)]
+    for i, c in enumerate(p, 1):
+        new = [(i, 0)]
+        for j, x in enumerate(t, 1):
+            new.append(min((row[j][0] + 1, row[j][1]), (new[-1][0] + 1, new[-1][1]), (row[j - 1][0] + (c != x), row[j - 1][1])))
+        row = new
+    least = min(d for d, _ in row)
+    return {(s, j) for j, (d, s) in enumerate(row) if d == least} if least <= budget else None
+
+
+def test_decontamination_spans_and_long_texts(spark):
+    rng = np.random.default_rng(17)
+    text = lambda n: "".join(rng.choice(list("abcdefghijk "), n))
+    items = [(i, text(int(rng.integers(60, 200)))) for i in range(5)]
+    rows, want = [], {}
+    for i in range(40):
+        k = i % 5
+        p = list(items[k][1])
+        for _ in range(i % 4):
+            p[int(rng.integers(0, len(p)))] = "z"
+        before = text(200_000 if i in (3, 4) else int(rng.integers(0, 80)))
+        rows.append((i, before + "".join(p) + text(int(rng.integers(0, 80)))))
+        want[i, k] = (len(before), len(before) + len(p), sum(a != b for a, b in zip(p, items[k][1])))
+    clash = docs_of(spark, rows).withColumn("start", F.lit("clash")).withColumn("item_id", F.lit(1))
+    got = {(r.doc_id, r.item_id): (r.start, r.end, r.edits) for r in decontaminate.contaminated_spans(clash, spark.createDataFrame(items, "item_id long, text string")).collect()}
+    assert got.keys() == want.keys()
+    for key, (a, b, d) in got.items():
+        assert d == want[key][2] and abs(a - want[key][0]) <= d and abs(b - want[key][1]) <= d
+        if d == 0:
+            assert (a, b) == want[key][:2]
+        t = dict(rows)[key[0]]
+        lo = max(0, a - 300)
+        assert (a - lo, b - lo) in slow_spans(dict(items)[key[1]], t[lo : b + 300], 20)
+
+
 # 10
 
 
