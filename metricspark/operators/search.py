@@ -48,15 +48,20 @@ def global_candidates(idx: MetricIndex, queries: DataFrame) -> DataFrame:
 
 
 def local_levels(idx: MetricIndex, cand: DataFrame) -> list[tuple[DataFrame, DataFrame]]:
-    """Per level of the local trees (tested, survivors): [qid, q, r, slot, bucket, pid, lnode_id, validated, d_ql, is_leaf] joined by partition, then by parent."""
+    """Per level of the local trees (tested, survivors): [qid, q, r, slot, bucket, pid, lnode_id, validated, d_ql] joined by partition, then by parent.
+
+    Local trees differ in height: the leaf of a lower one is its own only child on the levels below it (`again`), so one chain of joins reaches all leaves.
+    """
     m, out, now = idx.metric, [], None
-    columns = ["qid", "q", "r", "slot", "bucket", "pid", "lnode_id", "validated", "d_ql", "is_leaf"]
+    columns = ["qid", "q", "r", "slot", "bucket", "pid", "lnode_id", "validated", "d_ql"]
     for level in range(1, idx.local_height + 1):
-        ln = idx.local_nodes.where(F.col("level") == level).select(F.col("pid").alias("lp_"), F.col("parent_id").alias("lu_"), F.col("lnode_id").alias("ln_"), "is_leaf", F.col("center").alias("lc_"), F.col("radius").alias("lr_"), F.col("dist_to_parent").alias("ld_"))
+        here = F.col("level") == level
+        ln = idx.local_nodes.where(here | (F.col("is_leaf") & (F.col("level") < level)))
+        ln = ln.select(F.col("pid").alias("lp_"), F.when(here, F.col("parent_id")).otherwise(F.col("lnode_id")).alias("lu_"), F.col("lnode_id").alias("ln_"), F.col("center").alias("lc_"), F.col("radius").alias("lr_"), F.when(here, F.col("dist_to_parent")).otherwise(0.0).alias("ld_"), (~here).alias("again"))
         if now is None:
             j = locate(cand, idx.placement.select("pid", "bucket", "slot")).join(ln, F.col("pid") == F.col("lp_"))
         else:
-            j = now.where("not is_leaf").drop("is_leaf").join(ln, F.col("lnode_id") == F.col("lu_"))
+            j = now.join(ln, F.col("lnode_id") == F.col("lu_"))
             j = j.where(F.col("validated") | ~bounds.parent_prunable(F.col("ld_"), F.col("d_ql"), F.col("lr_"), m.slack(F.col("r")))).drop("d_ql", "lnode_id")
         j = j.withColumn("lnode_id", F.col("ln_")).withColumn("d_ql", m.column(F.col("q"), F.col("lc_"), idx.dim))
         kept = j.where(F.col("validated") | ~bounds.cluster_prunable(F.col("d_ql"), F.col("lr_"), m.slack(F.col("r"))))
@@ -69,11 +74,7 @@ def local_candidates(idx: MetricIndex, cand: DataFrame) -> DataFrame:
     """[qid, q, r, slot, bucket, pid, lnode_id, validated, d_ql]: local leaves that no rule excludes, by a walk down the local trees."""
     columns = ["qid", "q", "r", "slot", "bucket", "pid", "lnode_id", "validated", "d_ql"]
     if idx.local == "tree":
-        out = None
-        for _, kept in local_levels(idx, cand):
-            part = kept.where("is_leaf").select(*columns)
-            out = part if out is None else out.unionByName(part)
-        return out
+        return local_levels(idx, cand)[-1][1]
     ln = idx.local_nodes.select(F.col("pid").alias("lp_"), "lnode_id")
     j = locate(cand, idx.placement.select("pid", "bucket", "slot")).join(ln, F.col("pid") == F.col("lp_"))
     return j.withColumn("d_ql", F.col("d_qc") if idx.local == "flat" else F.lit(None).cast("double")).select(*columns)

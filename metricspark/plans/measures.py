@@ -36,7 +36,7 @@ def pruning(idx: MetricIndex, queries: DataFrame, r: float | None = None) -> Dat
     b = None
     for tested, _ in search.local_levels(idx, cand.where("not validated")):
         pr, va = bounds.cluster_prunable(F.col("d_ql"), F.col("lr_"), m.slack(F.col("r"))), bounds.cluster_valid(F.col("d_ql"), F.col("lr_"), m.tight(F.col("r")))
-        step = tested.where("not validated").select(pr.alias("pr"), va.alias("va"))
+        step = tested.where("not validated and not again").select(pr.alias("pr"), va.alias("va"))
         b = step if b is None else b.unionByName(step)
     b = b.agg(F.lit("clusters").alias("stage"), cut(F.col("pr")).alias("filtered"), cut(F.col("va")).alias("validated"), cut(~F.col("pr") & ~F.col("va")).alias("survived"), F.count("*").alias("distance_calls"))
     lcand = search.local_candidates(idx, cand).where("not validated")
