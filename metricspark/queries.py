@@ -630,8 +630,8 @@ for _label, _f in {
     "w08_tree_fanout_sweep": lambda s, d: _W.tree_fanout_sweep(s, d, _E),
     "w09_leaf_fanout_sweep": lambda s, d: _W.leaf_fanout_sweep(s, d, _E),
     "w10_partition_sweep": lambda s, d: _W.partition_sweep(s, d, _E),
-    "w11_worker_sweep": lambda s, d: _W.worker_sweep(s, d, ("letters_l1",)),
-    "w12_cardinality_sweep": lambda s, d: _W.cardinality_sweep(s, d, _E, ("tristage", "pivot_key", "layered_pivot")),
+    "w11_worker_sweep": lambda s, d: _W.worker_sweep(s, d, ("letters_l1",), values=(2, 6, 10)),
+    "w12_cardinality_sweep": lambda s, d: _W.cardinality_sweep(s, d, _E, ("tristage", "pivot_key")),
     "w13_motivating_imbalance": lambda s, d: _W.motivating_imbalance(s, d),
     "w14_hot_spot": lambda s, d: _W.hot_spot(s, d, ("order_points",)),
     "w15_lookup_ablation": lambda s, d: _W.lookup_ablation(s, d),

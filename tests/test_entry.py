@@ -28,7 +28,7 @@ def test_query_equals_sql(spark, sf, name):
 
 def test_flagship(spark):
     df = entry.entry(spark)
-    assert df.columns == ["qid", "oid", "dist"] and df.count() == 117
+    assert df.columns == ["qid", "oid", "dist"] and df.count() == 168
 
 
 def test_every_oracle_has_a_query():
