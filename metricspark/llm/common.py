@@ -15,14 +15,23 @@ def shared_dir(spark: SparkSession) -> str:
     return spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints"
 
 
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def written(df: DataFrame, tag: str) -> DataFrame:
     """Write `df` as Parquet to the shared folder and read it back, which cuts its lineage.
 
-    The table survives lost executors and goes when the JVM ends; `discard` removes it earlier.
+    The table survives lost executors and goes when the JVM ends; `discard` removes it earlier. Nothing reads the shuffles behind
+    it again, so they go at the end of the write and not when the driver's garbage happens to be collected.
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/metricspark/{tag}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    before = spark.conf.get(CLEANUP, None)
+    spark.conf.set(CLEANUP, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.unset(CLEANUP) if before is None else spark.conf.set(CLEANUP, before)
     jvm_path = spark._jvm.org.apache.hadoop.fs.Path(path)
     jvm_path.getFileSystem(spark._jsc.hadoopConfiguration()).deleteOnExit(jvm_path)
     out = spark.read.schema(df.schema).parquet(path)
