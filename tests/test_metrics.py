@@ -69,3 +69,17 @@ def test_bad_objects_are_counted_and_left_out(spark):
     df = spark.createDataFrame([(1, [0.0, 1.0]), (2, None), (3, [float("nan"), 1.0]), (4, [1.0]), (5, [None, 1.0])], "oid long, obj array<double>")
     assert {r.reason: r.n for r in tables.rejected(df, metrics.l2(), 2).collect()} == {"null": 1, "not finite": 2, "wrong length": 1}
     assert [r.oid for r in tables.accepted(df, metrics.l2(), 2).collect()] == [1]
+
+
+def test_rows_add_in_the_order_of_components():
+    """As SQL does, so that a pair at the radius falls on the same side."""
+    rng = np.random.default_rng(5)
+    x, y = rng.random((300, 26)), rng.random((300, 26))
+    for m, each, last in ((metrics.l1(), abs, float), (metrics.l2(), lambda d: d * d, np.sqrt)):
+        want = []
+        for a, b in zip(x, y):
+            total = 0.0
+            for p, q in zip(a, b):
+                total += each(p - q)
+            want.append(last(total))
+        assert m.rows(x, y).tolist() == want
