@@ -23,7 +23,7 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group linked at 0.8 over five-word shingles the rows of the smallest doc_id stay, and rows without a doc_id. Empty texts are one group."""
+    """Of each group linked at 0.8 over five-word shingles, found by ball hashing and by bands of minima, the rows of the smallest doc_id stay, and rows without a doc_id. Empty texts are one group."""
     return keep_one_of_each(docs)
 
 

@@ -128,13 +128,13 @@ def simhash_components(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
     return marked.join(of_fp, F.col("fp") == F.col("f_")).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-# ---- groups of similar texts: bands of minima of the word shingles themselves ----
+# ---- groups of similar texts: ball hashing, then bands of minima of the word shingles for pairs that are similar beyond 3 bits ----
 
 BANDS, SIG = 40, 320  # 8 minima a band
 CELL = 256  # texts a side in a block of pairs
 STAR_ROUNDS = 2
 SIMILARITY, WORDS = 0.8, 5
-SKETCH_SCHEMA = "doc_id long, key string, codes array<long>"
+SKETCH_SCHEMA = "doc_id long, key string, codes array<long>, fp long"
 NONE = np.iinfo(np.uint64).max
 _RNG = np.random.default_rng(11)
 _FACTORS = _RNG.integers(0, 1 << 63, SIG, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -186,7 +186,8 @@ def _sketches(words_n: int):
             ids, col = batch.column(0).to_pylist(), batch.column(1)
             for at in range(0, len(ids), 1000):
                 got = [sketch(col[k].as_py(), words_n) for k in range(at, min(at + 1000, len(ids)))]
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(got)), pa.array([g[0] for g in got]), pa.array([g[1] for g in got], pa.list_(pa.int64()))], names=["doc_id", "key", "codes"])
+                fps = pa.array([simhash(col[k].as_py()) for k in range(at, at + len(got))], pa.int64())
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(got)), pa.array([g[0] for g in got]), pa.array([g[1] for g in got], pa.list_(pa.int64())), fps], names=["doc_id", "key", "codes", "fp"])
 
     return run
 
@@ -223,6 +224,15 @@ def _similar(least: float):
     return run
 
 
+def ball_pairs(one: DataFrame) -> DataFrame:
+    """(rep, hub), rep > hub, of `one` (rep, fp): texts of one fingerprint with the first of them, and the firsts of fingerprints linked by ball hashing."""
+    firsts = one.groupBy(F.col("fp").alias("f_")).agg(F.min("rep").alias("first_"))
+    same = one.join(firsts, F.col("fp") == F.col("f_")).where("rep <> first_").select("rep", F.col("first_").alias("hub"))
+    a, b = (firsts.select(F.col("f_").alias(f"f{k}"), F.col("first_").alias(f"i{k}")) for k in (1, 2))
+    close = close_links(firsts.select(F.col("f_").alias("fp"))).join(a, F.col("a") == F.col("f1")).join(b, F.col("b") == F.col("f2"))
+    return same.unionByName(close.select(F.greatest("i1", "i2").alias("rep"), F.least("i1", "i2").alias("hub")))
+
+
 def shared_codes(codes: DataFrame) -> DataFrame:
     """(code, rep, n_) of `codes` (rep, code) where n_ > 1 texts have the code."""
     many = codes.groupBy("code").agg(F.count("*").alias("n_")).where("n_ > 1")
@@ -309,8 +319,10 @@ def other_pairs(member: DataFrame, sizes: DataFrame, least: float) -> DataFrame:
 def similar_groups(docs: DataFrame, similarity: float = SIMILARITY, words_n: int = WORDS) -> DataFrame:
     """(doc_id, component_id) of every row: components over pairs whose `words_n`-word shingles have the similarity.
 
-    Candidates: texts that agree on one of 40 bands of 8 minima of the shingles. A minimum agrees with the Jaccard
-    similarity J, whatever the edit, so a pair is missed with about (1 - J^8)^40: 6e-4 at 0.8, less above. First each
+    First ball hashing: texts of equal fingerprints and those that `close_links` links, as in `simhash_components`. Texts at 0.8 differ
+    in about 10 bits, beyond any ball that can be emitted, so further candidates agree on one of 40 bands of 8 minima of
+    the shingles. A minimum agrees with the Jaccard
+    similarity J, whatever the edit, so a pair is missed with about (1 - J^8)^40: 6e-4 at 0.8, less above. Of these each
     text is compared with the weightiest one of its codes, which joins the copies of an original in linear work, then
     all pairs of a code that this left unconnected and that may still be similar. Every pair is verified by the exact
     Jaccard similarity of the sets of hashed shingles. Texts of equal words are one, and rows of one doc_id are one document.
@@ -319,16 +331,17 @@ def similar_groups(docs: DataFrame, similarity: float = SIMILARITY, words_n: int
     only by their words; it is null if no row of these has a doc_id. An empty table gives an empty result.
     """
     made = written(text_batches(docs, _sketches(words_n), SKETCH_SCHEMA), "sketches")
-    one = written(made.groupBy("key").agg(F.min("doc_id").alias("rep"), F.first("codes").alias("codes")).where("rep is not null"), "distinct-sketches")
+    one = written(made.groupBy("key").agg(F.min("doc_id").alias("rep"), F.first("codes").alias("codes"), F.first("fp").alias("fp")).where("rep is not null"), "distinct-sketches")
     rows, reps = written(made.select("doc_id", "key"), "keys"), written(one.select("key", "rep"), "reps")
     discard(made)
+    close = written(ball_pairs(one.select("rep", "fp")), "ball-pairs")
     shared = written(weighted(shared_codes(one.select("rep", F.explode(F.array_distinct("codes")).alias("code")))), "shared-codes")
     discard(one)
-    ids = shared.select(F.col("rep").alias("asked_")).distinct()
+    ids = shared.select("rep").unionByName(close.select("rep")).unionByName(close.select(F.col("hub").alias("rep"))).select(F.col("rep").alias("asked_")).distinct()
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     texts = texts.join(ids, F.col("doc_id") == F.col("asked_"), "left_semi")
     sets = written(text_batches(texts, _shingle_sets(words_n), "doc_id long, has array<long>").dropDuplicates(), "shingle-sets")
-    held = [shared, sets]
+    held = [shared, sets, close]
 
     def verified(pairs):
         a, b = (sets.select(F.col("doc_id").alias(f"r{k}"), F.col("has").alias(f"s{k}")) for k in (1, 2))
@@ -337,16 +350,15 @@ def similar_groups(docs: DataFrame, similarity: float = SIMILARITY, words_n: int
         held.append(found)
         return found
 
-    links = tried = roots = None
+    tried, links = close, verified(close)
+    roots = connected_components(links, "a", "b")
     for _ in range(STAR_ROUNDS):
         member = open_members(shared, roots)
         pairs = written(star_pairs(member, tried), "star-pairs")
         held.append(pairs)
-        tried = pairs if tried is None else tried.unionByName(pairs)
-        found = verified(pairs)
-        links = found if links is None else links.unionByName(found)
-        if roots is not None:
-            held.append(roots)
+        tried = tried.unionByName(pairs)
+        links = links.unionByName(verified(pairs))
+        held.append(roots)
         roots = connected_components(links, "a", "b")
     member = written(open_members(shared, roots), "mixed-codes")
     rest = other_pairs(member, sizes_of(sets, member), similarity)

@@ -151,3 +151,20 @@ def test_similarity_is_exact(spark):
         want |= {i: i, i + 1: i if n % 2 else i + 1}
     got = simhash.similar_groups(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
     assert {r.doc_id: r.component_id for r in got} == want
+
+
+def test_ball_hashing_finds_candidates_of_the_stage(spark, monkeypatch):
+    """Fingerprints within 3 bits are candidates by themselves: no band is shared here."""
+    monkeypatch.setattr(simhash, "shared_codes", lambda codes: codes.withColumn("n_", F.lit(1).cast("long")).where("false"))
+    rng, rows = np.random.default_rng(21), []
+    for n in range(40):
+        base = word_run(rng, 3000)
+        rows += [(2 * n, " ".join(base)), (2 * n + 1, " ".join([*base, "more"]))]
+    fp = {i: simhash.simhash(t) for i, t in rows}
+    near = {i for i in range(0, 80, 2) if bin((fp[i] ^ fp[i + 1]) & (1 << 64) - 1).count("1") <= 3}
+    assert len(near) > 20
+    got = {r.doc_id: r.component_id for r in simhash.similar_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {i: i - 1 if i % 2 and i - 1 in near else i for i in fp}
+    # fingerprints may be close where shingles are not: that is checked
+    pairs = simhash.ball_pairs(spark.createDataFrame([(1, 5), (2, 5), (3, 7), (4, -1)], "rep long, fp long")).collect()
+    assert {tuple(p) for p in pairs} == {(2, 1), (3, 1)}
