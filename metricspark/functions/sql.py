@@ -117,9 +117,12 @@ def distance_histogram(objects: DataFrame, metric, n: int = 200, steps: int = 20
 
 def top_k_aggregate(objects: DataFrame, metric, queries: DataFrame, k: int, dim: int | None = None, lanes: int = 64) -> DataFrame:
     """[qid, rank, oid, dist]: per query and lane the k best, then the k best of the lanes; each state is bounded by k rows."""
-    from ..operators.search import rank_answers
+    from ..operators.search import BLOCK, nearest_by_block, rank_answers
     from ..operators.sizes import sized
 
+    if metric.kind == "vector":
+        lanes = max(lanes, -(-objects.count() // BLOCK))
+        return rank_answers(nearest_by_block(objects, metric, queries, k, lanes, F.pmod(F.xxhash64("oid"), F.lit(lanes)), dim))
     near = objects.select("oid", "obj").crossJoin(sized(queries.select("qid", "q")))
     near = near.select("qid", "oid", metric.column(F.col("q"), F.col("obj"), dim).alias("dist"), F.pmod("oid", F.lit(lanes)).alias("lane"))
     first = Window.partitionBy("qid", "lane").orderBy(F.round("dist", 9), "oid")
