@@ -92,3 +92,29 @@ def test_late_rows_are_counted(spark, tmp_path):
     s = spark.readStream.schema("ts timestamp, value double, event_type string").option("maxFilesPerTrigger", 1).option("latestFirst", "false").parquet(f"{tmp_path}/in/*")
     got = streams.late_rows(s, "late").collect()
     assert sum(r.n_input for r in got) == 7 and sum(r.n_late for r in got) == 1
+
+
+def plan_of(df):
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_theta_and_grid_joins_meet_by_cells(spark, sf):
+    from metricspark.queries import QUERIES
+
+    for name in ("join_theta", "grid_mrq_points"):
+        plan = plan_of(QUERIES[name](spark, sf))
+        assert "ShuffledHashJoin" in plan and "NestedLoop" not in plan and "Cartesian" not in plan
+
+
+def test_attributes_are_filtered_before_the_search(spark, sf):
+    from metricspark.queries import QUERIES
+
+    plan = QUERIES["filter_attr_then_mrq"](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    assert 0 <= plan.index("Join Inner") < plan.index("Join LeftSemi")
+
+
+def test_slots_are_scanned_for_events(spark, sf):
+    from metricspark.queries import QUERIES
+
+    files = QUERIES["scan_index_slots"](spark, sf).inputFiles()
+    assert any("events.parquet" in f for f in files) and any("slot=" in f for f in files)
