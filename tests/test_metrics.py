@@ -83,3 +83,20 @@ def test_rows_add_in_the_order_of_components():
                 total += each(p - q)
             want.append(last(total))
         assert m.rows(x, y).tolist() == want
+
+
+def test_edit_extremes_equal_single_distances(spark, monkeypatch):
+    from metricspark.operators import search
+
+    rng = np.random.default_rng(5)
+    words = ["".join(rng.choice(list("abé\U0001f600"), rng.integers(0, 12))) for _ in range(60)] + ["http://a.example/" + str(i) * 3 for i in range(40)]
+    words += ["ab" * n for n in (31, 32, 33, 40, 200)] + ["a" * 64, "b" * 65, "a" * 300 + "x", "a" * 300 + "y", words[0]]
+    objs = spark.createDataFrame(list(enumerate(words)), "oid long, obj string")
+    asked = objs.where("oid % 3 = 0 or length(obj) > 60").selectExpr("oid as qid", "obj as q")
+    d = F.levenshtein("obj", "q").cast("double")
+    want = {tuple(r) for r in objs.crossJoin(asked).groupBy("oid").agg(F.min(d), F.max(d)).collect()}
+    monkeypatch.setattr(search, "EDIT_TEXTS", 40)
+    monkeypatch.setattr(search, "EDIT_QUERIES", 30)
+    monkeypatch.setattr(metrics, "LANES", 16)
+    assert {tuple(r) for r in search.edit_extremes_by_block(objs, asked).collect()} == want
+    assert search.edit_extremes_by_block(objs, asked.limit(0)).count() == 0
