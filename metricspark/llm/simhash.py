@@ -372,10 +372,14 @@ def similar_groups(docs: DataFrame, similarity: float = SIMILARITY, words_n: int
     return out
 
 
+MOST_DROPPED = 2_000_000  # doc_ids (16 bytes and their places in a table) that are broadcast; more are joined, which shuffles whole rows
+
+
 def keep_one_of_each(docs: DataFrame, similarity: float = SIMILARITY, words_n: int = WORDS) -> DataFrame:
     """`docs`, all columns, with the row of the smallest doc_id of each group; rows with a null doc_id stay."""
     groups = similar_groups(docs, similarity, words_n)
     out = groups.where("doc_id is not null and doc_id <> component_id").select(F.col("doc_id").alias("dropped_")).distinct()
+    out = F.broadcast(out) if out.limit(MOST_DROPPED + 1).count() <= MOST_DROPPED else out
     kept = docs.withColumnRenamed("dropped_", "dropped__") if "dropped_" in docs.columns else docs
     kept = kept.join(out, kept["doc_id"].cast("long") == out["dropped_"], "left_anti")
     return kept.withColumnRenamed("dropped__", "dropped_") if "dropped_" in docs.columns else kept

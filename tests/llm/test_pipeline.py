@@ -168,3 +168,19 @@ def test_ball_hashing_finds_candidates_of_the_stage(spark, monkeypatch):
     # fingerprints may be close where shingles are not: that is checked
     pairs = simhash.ball_pairs(spark.createDataFrame([(1, 5), (2, 5), (3, 7), (4, -1)], "rep long, fp long")).collect()
     assert {tuple(p) for p in pairs} == {(2, 1), (3, 1)}
+
+
+def test_texts_are_not_shuffled_to_drop_copies(spark, monkeypatch):
+    docs = spark.createDataFrame([(i, f"some words of text {i % 3} " * 9, "a") for i in range(30)], "doc_id long, text string, source string")
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        plan = lambda df: df._jdf.queryExecution().executedPlan().toString()
+        kept = simhash.keep_one_of_each(docs)
+        assert "BroadcastHashJoin" in plan(kept) and "SortMergeJoin" not in plan(kept)
+        monkeypatch.setattr(simhash, "MOST_DROPPED", 3)
+        joined = simhash.keep_one_of_each(docs)
+        assert "BroadcastHashJoin" not in plan(joined)
+        assert sorted(r.doc_id for r in kept.collect()) == sorted(r.doc_id for r in joined.collect()) == [0, 1, 2]
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
