@@ -316,6 +316,11 @@ def other_pairs(member: DataFrame, sizes: DataFrame, least: float) -> DataFrame:
     return met.select(F.greatest("rep", "hub").alias("rep"), F.least("rep", "hub").alias("hub")).distinct()
 
 
+def joined_components(roots: DataFrame, found: DataFrame) -> DataFrame:
+    """(node, root) over the links (a, b) of `found` and all that `roots` was made of: its rows connect the same texts."""
+    return connected_components(found.unionByName(roots.select(F.col("node").alias("a"), F.col("root").alias("b"))), "a", "b")
+
+
 def similar_groups(docs: DataFrame, similarity: float = SIMILARITY, words_n: int = WORDS) -> DataFrame:
     """(doc_id, component_id) of every row: components over pairs whose `words_n`-word shingles have the similarity.
 
@@ -350,22 +355,21 @@ def similar_groups(docs: DataFrame, similarity: float = SIMILARITY, words_n: int
         held.append(found)
         return found
 
-    tried, links = close, verified(close)
-    roots = connected_components(links, "a", "b")
+    tried = close
+    roots = connected_components(verified(close), "a", "b")
     for _ in range(STAR_ROUNDS):
         member = open_members(shared, roots)
         pairs = written(star_pairs(member, tried), "star-pairs")
         held.append(pairs)
         tried = tried.unionByName(pairs)
-        links = links.unionByName(verified(pairs))
         held.append(roots)
-        roots = connected_components(links, "a", "b")
+        roots = joined_components(roots, verified(pairs))
     member = written(open_members(shared, roots), "mixed-codes")
     rest = other_pairs(member, sizes_of(sets, member), similarity)
     both_ways = tried.unionByName(tried.select(F.col("hub").alias("rep"), F.col("rep").alias("hub")))
     found = verified(rest.join(both_ways, ["rep", "hub"], "left_anti"))
     held += [member, roots]
-    roots = connected_components(links.unionByName(found), "a", "b")
+    roots = joined_components(roots, found)
     of_rep = reps.join(roots, F.col("rep") == F.col("node"), "left").select(F.col("key").alias("k_"), F.coalesce("root", "rep").alias("component_id"))
     out = written(rows.join(of_rep, F.col("key") == F.col("k_"), "left").select("doc_id", "component_id"), "groups")
     discard(*held, roots, rows, reps)
