@@ -26,7 +26,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import small_batches
+from .common import lean, small_batches
 
 Q = 8
 RATE = 0.08
@@ -277,5 +277,5 @@ def drop_contaminated(docs: DataFrame, benchmark: DataFrame, rate: float = RATE,
                 keep = [not f for _, texts in _segments(batch.column(text_at), batch.num_rows) for f in passages.near(texts)]
                 yield batch.filter(pa.array(keep, pa.bool_()))
 
-        docs = docs.mapInArrow(run, docs.schema)
+        docs = docs.mapInArrow(lean(run), docs.schema)
     return docs

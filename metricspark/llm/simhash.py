@@ -31,7 +31,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, Window, functions as F
 
-from .common import discard, text_batches, written
+from .common import discard, lean, text_batches, written
 from .components import connected_components
 
 RADIUS, BITS, SHINGLE = 3, 64, 3
@@ -287,7 +287,7 @@ def sizes_of(sets: DataFrame, member: DataFrame) -> DataFrame:
     each = mine.select("doc_id", F.explode("has").alias("s"))
     only = each.groupBy("s").agg(F.count("*").alias("n"), F.min("doc_id").alias("doc")).where("n = 1").groupBy("doc").agg(F.collect_list("s").alias("own"))  # a part of one text
     schema = "s_ long, size long, common long, " + ", ".join(f"{m} long" for m in MASKS)
-    return mine.join(only, F.col("doc_id") == F.col("doc"), "left").select("doc_id", "has", "own").mapInArrow(_masked, schema)
+    return mine.join(only, F.col("doc_id") == F.col("doc"), "left").select("doc_id", "has", "own").mapInArrow(lean(_masked), schema)
 
 
 def other_pairs(member: DataFrame, sizes: DataFrame, least: float) -> DataFrame:
@@ -335,7 +335,7 @@ def similar_groups(docs: DataFrame, similarity: float = SIMILARITY, words_n: int
     Null and empty texts have no shingles and are alike by their equal (empty) words. Rows with a null doc_id have a component
     only by their words; it is null if no row of these has a doc_id. An empty table gives an empty result.
     """
-    made = written(text_batches(docs, _sketches(words_n), SKETCH_SCHEMA), "sketches")
+    made = written(text_batches(docs, lean(_sketches(words_n)), SKETCH_SCHEMA), "sketches")
     one = written(made.groupBy("key").agg(F.min("doc_id").alias("rep"), F.first("codes").alias("codes"), F.first("fp").alias("fp")).where("rep is not null"), "distinct-sketches")
     rows, reps = written(made.select("doc_id", "key"), "keys"), written(one.select("key", "rep"), "reps")
     discard(made)
@@ -345,13 +345,13 @@ def similar_groups(docs: DataFrame, similarity: float = SIMILARITY, words_n: int
     ids = shared.select("rep").unionByName(close.select("rep")).unionByName(close.select(F.col("hub").alias("rep"))).select(F.col("rep").alias("asked_")).distinct()
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     texts = texts.join(ids, F.col("doc_id") == F.col("asked_"), "left_semi")
-    sets = written(text_batches(texts, _shingle_sets(words_n), "doc_id long, has array<long>").dropDuplicates(), "shingle-sets")
+    sets = written(text_batches(texts, lean(_shingle_sets(words_n)), "doc_id long, has array<long>").dropDuplicates(), "shingle-sets")
     held = [shared, sets, close]
 
     def verified(pairs):
         a, b = (sets.select(F.col("doc_id").alias(f"r{k}"), F.col("has").alias(f"s{k}")) for k in (1, 2))
         both = pairs.join(a, F.col("rep") == F.col("r1")).join(b, F.col("hub") == F.col("r2"))
-        found = written(both.select("rep", "hub", "s1", "s2").mapInArrow(_similar(similarity), "a long, b long"), "similar-pairs")
+        found = written(both.select("rep", "hub", "s1", "s2").mapInArrow(lean(_similar(similarity)), "a long, b long"), "similar-pairs")
         held.append(found)
         return found
 

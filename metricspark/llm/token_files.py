@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window, functions as F
 
-from .common import small_batches, written
+from .common import lean, small_batches, written
 
 BLOCK_IDS = 1 << 20
 FLUSH_CHARS = 1 << 19
@@ -340,7 +340,7 @@ def write_token_file(docs: DataFrame, tokenizer: str, end_id: int = 0, block_ids
     small_batches(docs.sparkSession)
     spread = slim.repartitionByRange(shards, *keys) if shards else slim.repartitionByRange(*keys)
     inside = keys if order else ["doc_id", "h_", "text"]
-    blocks = spread.sortWithinPartitions(*inside).select("doc_id", "text").mapInArrow(_blocks(tokenizer, end_id, block_ids), BLOCKS)
+    blocks = spread.sortWithinPartitions(*inside).select("doc_id", "text").mapInArrow(lean(_blocks(tokenizer, end_id, block_ids)), BLOCKS)
     return written(blocks, "token-file")
 
 

@@ -25,7 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
-from .common import discard, small_batches, text_batches, written
+from .common import discard, lean, small_batches, text_batches, written
 
 PER_CLASS = {0: 3500, 1: 2500}  # most labelled documents of each class that training sees
 TRAIN_ITEMS = 10_000_000  # most sentences and known words that training holds; documents beyond it, by hash, are left out of the sample
@@ -245,4 +245,4 @@ def drop_toxic(docs: DataFrame, model: SentenceModel, cut: float = 0.5) -> DataF
             col = batch.column(text_at)
             yield batch.filter(pa.array([model.document(col[k].as_py() or "")[0] < cut for k in range(batch.num_rows)], pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(lean(run), docs.schema)
