@@ -1,6 +1,6 @@
 """Connected components: a bounded number of links in one task, more by alternating large-star and small-star steps, all in joins and aggregates.
 
-Each step plans some ten exchanges and broadcasts, whose threads, code and hash tables the driver holds however few the links are. So links that
+Each step plans several exchanges and broadcasts, whose threads, code and hash tables the driver holds however few the links are. So links that
 one task can hold by their count are solved there; they don't pass through the driver.
 """
 from __future__ import annotations
